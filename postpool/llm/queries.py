@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from . import chat, flac, packing, sharding, token_counts, warc
+from . import chat, decontaminate, flac, language_id, packing, sharding, token_counts, warc
 from .common import table
 
 
@@ -14,6 +14,10 @@ def op1_length_histogram(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.length_histogram(lengths)
 
 
+def op2_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_id.learn_and_predict(table(spark, sf_dir, "documents"))
+
+
 def op3_flac(spark: SparkSession, sf_dir: str) -> DataFrame:
     return flac.features(flac.store(table(spark, sf_dir, "documents")))
 
@@ -58,6 +62,27 @@ SELECT doc_id, slot, 'shard-' || lpad(CAST(o[slot + 1] AS VARCHAR), 3, '0') AS s
 """
 
 
+def op9_suffix_arrays(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = decontaminate.find(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    return found.select("doc_id", "n_words", "n_hit", F.size("item_ids").cast("long").alias("n_items"), F.sha2(F.array_join("item_ids", ","), 256).alias("items_sha256"), decontaminate.is_contaminated().alias("contaminated"))
+
+
+OP9_SQL = r"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents),
+b AS (SELECT item_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM benchmark),
+bw AS (SELECT DISTINCT item_id, least(13, len(w)) AS n, array_to_string(w[i : i + least(13, len(w)) - 1], ' ') AS win
+       FROM (SELECT *, unnest(range(1, len(w) - least(13, len(w)) + 2)) AS i FROM b WHERE len(w) > 0)),
+ns AS (SELECT DISTINCT n FROM bw),
+dw AS (SELECT r, i, n, array_to_string(w[i : i + n - 1], ' ') AS win FROM (SELECT r, w, n, unnest(range(1, len(w) - n + 2)) AS i FROM d, ns WHERE len(w) >= n)),
+m AS (SELECT dw.r, dw.i, dw.n, bw.item_id FROM dw JOIN bw ON dw.n = bw.n AND dw.win = bw.win),
+h AS (SELECT r, count(DISTINCT p) AS n_hit FROM (SELECT r, unnest(range(i, i + n)) AS p FROM (SELECT DISTINCT r, i, n FROM m)) GROUP BY r),
+k AS (SELECT r, count(*) AS n_items, string_agg(s, ',' ORDER BY s) AS ids FROM (SELECT DISTINCT r, coalesce(CAST(item_id AS VARCHAR), 'null') AS s FROM m) GROUP BY r)
+SELECT doc_id, len(w) AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_items, 0) AS n_items, sha256(coalesce(ids, '')) AS items_sha256,
+       coalesce(n_hit, 0) > 0 AND 20 * coalesce(n_hit, 0) >= len(w) AS contaminated
+FROM d LEFT JOIN h USING (r) LEFT JOIN k USING (r)
+"""
+
+
 def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     bundles = warc.archive(table(spark, sf_dir, "pages"))
     return warc.read_records(bundles, payloads=False).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
@@ -74,13 +99,15 @@ FROM d
 
 QUERIES = {
     "op1_length_histogram": op1_length_histogram,
+    "op2_mixture": op2_mixture,
     "op3_flac": op3_flac,
     "op4_first_fit": op4_first_fit,
     "op6_chat": op6_chat,
     "op8_lookup": op8_lookup,
+    "op9_suffix_arrays": op9_suffix_arrays,
     "op10_warc": op10_warc,
 }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op6_chat": OP6_SQL, "op8_lookup": _op8_sql(), "op10_warc": OP10_SQL}
+    return {"op6_chat": OP6_SQL, "op8_lookup": _op8_sql(), "op9_suffix_arrays": OP9_SQL, "op10_warc": OP10_SQL}
