@@ -26,3 +26,15 @@ def batches(fn: Callable[[pa.RecordBatch], pa.RecordBatch]) -> Callable[[Iterato
                 yield fn(batch)
 
     return run
+
+
+def filter_rows(df: DataFrame, text: str, keep: Callable[[list[str | None]], list[bool]]) -> DataFrame:
+    """The rows that `keep` chooses from their texts, with all columns as they are; `keep` gets one Arrow batch at a time."""
+    at = df.columns.index(text)
+
+    def kernel(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in it:
+            if batch.num_rows:
+                yield batch.filter(pa.array(keep(batch.column(at).to_pylist()), pa.bool_()))
+
+    return df.mapInArrow(kernel, df.schema)

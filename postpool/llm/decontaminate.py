@@ -22,7 +22,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import pick
+from .common import filter_rows, pick
 
 WINDOW, SHARD_WORDS = 13, 1 << 20
 #: Benchmark text that is sent to each executor at most; a larger benchmark is refused, to be searched in parts.
@@ -188,56 +188,58 @@ def bounded_items(benchmark: DataFrame, limit: int = BLOCK_CHARS) -> list[tuple[
 FOUND = "n_words long, n_hit long, item_ids array<string>, hits array<struct<start:long,length:long>>"
 
 
-def find(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, shard_words: int = SHARD_WORDS, extra: dict[str, str] | None = None, limit: int = BLOCK_CHARS) -> DataFrame:
-    """docs' doc_id (and `extra` columns, with their types) and FOUND: hits are maximal runs of hit words.
-
-    No shuffle; the benchmark is one broadcast of checked size.
-    """
+def search(texts: list[str | None], wanted: Targets, shard_words: int = SHARD_WORDS) -> Iterator[tuple[int, int, list[str], list[dict]]]:
+    """FOUND of each text, shard by shard."""
+    depth = max((n for n, _ in wanted.windows), default=1)
+    table = pa.RecordBatch.from_arrays([pa.array(range(len(texts)), pa.int64()), pa.array(texts, pa.string())], names=["row", "text"])
+    for _, ids, starts in _shards(iter([table]), wanted.vocabulary, shard_words):
+        place, length, which = occurrences(ids, suffix_array(ids, depth), wanted)
+        marks = np.zeros(len(ids) + 1, np.int64)
+        np.add.at(marks, place, 1)
+        np.add.at(marks, place + length, -1)
+        doc = np.searchsorted(starts, place, "right") - 1
+        listed: dict[int, set] = {}
+        for d, w in np.unique(np.stack([doc, which], axis=1), axis=0).tolist() if len(doc) else []:
+            listed.setdefault(d, set()).update(wanted.items[w])
+        covered = np.cumsum(marks)[:-1] > 0
+        total = np.concatenate([[0], np.cumsum(covered)])
+        hits = total[starts[1:]] - total[starts[:-1]]
+        for d, n_hit in enumerate(hits.tolist()):
+            runs = []
+            if n_hit:
+                edge = np.flatnonzero(np.diff(np.concatenate([[0], covered[starts[d] : starts[d + 1]], [0]]).astype(np.int8)))
+                runs = [{"start": int(a), "length": int(b - a)} for a, b in zip(edge[::2], edge[1::2])]
+            yield int(starts[d + 1] - starts[d] - 1), n_hit, sorted("null" if i is None else str(i) for i in listed.get(d, ())), runs
+
+
+def find(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, shard_words: int = SHARD_WORDS, limit: int = BLOCK_CHARS) -> DataFrame:
+    """(doc_id, FOUND): hits are maximal runs of hit words. No shuffle; the benchmark is one broadcast of checked size."""
     shared = docs.sparkSession.sparkContext.broadcast(bounded_items(benchmark, limit))
-    extra = extra or {}
-    names = ["doc_id", *extra]
 
     def kernel(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         wanted = targets(shared.value, window)
-        depth = max((n for n, _ in wanted.windows), default=1)
-        hit_kind = pa.list_(pa.struct([("start", pa.int64()), ("length", pa.int64())]))
-
-        def one(rows: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in rows:
-                table = pa.RecordBatch.from_arrays([pa.array(range(batch.num_rows), pa.int64()), batch.column(batch.num_columns - 1)], names=["row", "text"])
-                found = []
-                for _, ids, starts in _shards(iter([table]), wanted.vocabulary, shard_words):
-                    array = suffix_array(ids, depth)
-                    marks = np.zeros(len(ids) + 1, np.int64)
-                    n_docs = len(starts) - 1
-                    listed: dict[int, set] = {}
-                    place, length, which = occurrences(ids, array, wanted)
-                    np.add.at(marks, place, 1)
-                    np.add.at(marks, place + length, -1)
-                    doc = np.searchsorted(starts, place, "right") - 1
-                    for d, w in np.unique(np.stack([doc, which], axis=1), axis=0).tolist() if len(doc) else []:
-                        listed.setdefault(d, set()).update(wanted.items[w])
-                    covered = np.cumsum(marks)[:-1] > 0
-                    total = np.concatenate([[0], np.cumsum(covered)])
-                    hits = total[starts[1:]] - total[starts[:-1]]
-                    for d in range(n_docs):
-                        runs = []
-                        if hits[d]:
-                            edge = np.flatnonzero(np.diff(np.concatenate([[0], covered[starts[d] : starts[d + 1]], [0]]).astype(np.int8)))
-                            runs = [{"start": int(a), "length": int(b - a)} for a, b in zip(edge[::2], edge[1::2])]
-                        found.append((int(starts[d + 1] - starts[d] - 1), int(hits[d]), sorted("null" if i is None else str(i) for i in listed.get(d, ())), runs))
-                columns = [pa.array(c, k) for c, k in zip(zip(*found), (pa.int64(), pa.int64(), pa.list_(pa.string()), hit_kind))]
-                yield pa.RecordBatch.from_arrays([*batch.columns[:-1], *columns], names=[*names, "n_words", "n_hit", "item_ids", "hits"])
-
-        yield from one(b for b in it if b.num_rows)
-
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *(F.col(f"`{c}`").cast(t).alias(c) for c, t in extra.items()), F.col("text").cast("string").alias("searched_text"))
-    return rows.mapInArrow(kernel, ", ".join(["doc_id long", *(f"`{c}` {t}" for c, t in extra.items()), FOUND]))
+        kinds = (pa.int64(), pa.int64(), pa.list_(pa.string()), pa.list_(pa.struct([("start", pa.int64()), ("length", pa.int64())])))
+        for batch in it:
+            if batch.num_rows:
+                found = zip(*search(batch.column(1).to_pylist(), wanted, shard_words))
+                yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(found, kinds))], names=["doc_id", "n_words", "n_hit", "item_ids", "hits"])
+
+    return pick(docs, doc_id="long", text="string").mapInArrow(kernel, f"doc_id long, {FOUND}")
+
+
+#: A document goes if its hits are at least one word in so many.
+SHARE = 20
+
+
+def drop_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, share: int = SHARE, limit: int = BLOCK_CHARS) -> DataFrame:
+    """docs without the contaminated rows, all columns as they were."""
+    shared = docs.sparkSession.sparkContext.broadcast(bounded_items(benchmark, limit))
+    return filter_rows(docs, "text", lambda texts: [not (hit > 0 and share * hit >= n) for n, hit, _, _ in search(texts, targets(shared.value, window))])
 
 
 def is_contaminated():
     """The contract's rule over FOUND: a hit, and hits are at least a twentieth of the words."""
-    return (F.col("n_hit") > 0) & (20 * F.col("n_hit") >= F.col("n_words"))
+    return (F.col("n_hit") > 0) & (SHARE * F.col("n_hit") >= F.col("n_words"))
 
 
 def longest_matches(docs: DataFrame, benchmark: DataFrame, shard_words: int = SHARD_WORDS) -> DataFrame:

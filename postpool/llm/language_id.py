@@ -22,7 +22,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import pick
+from .common import filter_rows, pick
 
 UNKNOWN = "und"
 #: Trigram buckets, the most languages a model may have, letters of one unit (longer runs of letters are cut).
@@ -214,3 +214,9 @@ def learn_and_predict(docs: DataFrame) -> DataFrame:
     model = train(docs.where(~held_out()))
     out = predict(docs, model)
     return out.select("doc_id", held_out().alias("held_out"), "lang_pred", "score", "languages")
+
+
+def keep_identified(docs: DataFrame, model: tuple[list[str], np.ndarray], least: float = 0.5) -> DataFrame:
+    """docs, all columns as they were, without the rows whose text has no letter or no language of at least this share."""
+    shared = docs.sparkSession.sparkContext.broadcast(model[1])  # at most MOST_LANGUAGES x BUCKETS floats
+    return filter_rows(docs, "text", lambda texts: (proportions([t or "" for t in texts], shared.value).max(axis=1, initial=0.0) >= least).tolist())

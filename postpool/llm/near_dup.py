@@ -214,3 +214,16 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int =
     classes = reps.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("key", F.coalesce("label", "rep").alias("class_id"))
     classes = materialise(classes, "classes")
     return sketches.select("doc_id", "key").join(classes, "key", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"))
+
+
+def keep_one(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, size: int = WORDS) -> DataFrame:
+    """docs, all columns as they were, with the document of the smallest id of each class; repeated rows of one id and
+    text stay once. Null ids are a class of their own text each."""
+    classes = near_duplicates(docs, threshold, bands, rows, size)
+    kept = classes.where(F.col("doc_id").eqNullSafe(F.col("class_id"))).groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"))
+    kept = materialise(kept.select(F.col("doc_id").alias("kept_id"), "n"), "kept")
+    same = docs["doc_id"].cast("long").eqNullSafe(F.col("kept_id"))
+    once = docs.join(kept.where("n = 1"), same, "left_semi")
+    if kept.where("n > 1").isEmpty():
+        return once
+    return once.unionByName(docs.join(kept.where("n > 1"), same, "left_semi").dropDuplicates(["doc_id", "text"]))

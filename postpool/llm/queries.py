@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from . import chat, decontaminate, flac, language_id, packing, sharding, token_counts, warc
+from . import chat, decontaminate, flac, html_extract, language_id, near_dup, packing, sharding, token_counts, warc
 from .common import table
 
 
@@ -26,6 +26,10 @@ def op4_first_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
 
 
+def op5_boosted_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extract.main_text(table(spark, sf_dir, "pages"))
+
+
 def op6_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
     probe = spark.sql("SELECT -1L AS conv_id, turn, role, '</s>[INST] ok [/INST]' AS text FROM VALUES (0L, 'user'), (1L, 'assistant') AS t(turn, role)")
@@ -49,6 +53,10 @@ FROM c GROUP BY conv_id
 """
 
 
+def op7_prob_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dup.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op8_lookup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.place(table(spark, sf_dir, "documents").select("doc_id"), "doc_id")
 
@@ -102,7 +110,9 @@ QUERIES = {
     "op2_mixture": op2_mixture,
     "op3_flac": op3_flac,
     "op4_first_fit": op4_first_fit,
+    "op5_boosted_trees": op5_boosted_trees,
     "op6_chat": op6_chat,
+    "op7_prob_minhash": op7_prob_minhash,
     "op8_lookup": op8_lookup,
     "op9_suffix_arrays": op9_suffix_arrays,
     "op10_warc": op10_warc,
