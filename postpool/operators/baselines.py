@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from ..functions import schedule
-from .numbering import running_sum
+from .numbering import numbered, running_sum
 from .postings import RANGE
 
 
@@ -42,11 +42,11 @@ def term_churn(postings: DataFrame, budgets: list[int]) -> DataFrame:
 
 
 def geometric_merges(runs: DataFrame, ratio: int = 3) -> DataFrame:
-    """(run, target_partition, postings_rewritten) of (run, postings), runs from 0.
+    """(run, target_partition, postings_rewritten) of (run, postings), runs in order of their number.
 
     Partition j holds at most (ratio-1) * ratio**(j-1) runs, so that the n-th run cascades as far as n has trailing
     zeros in base `ratio`, and the partition it lands in then holds the last n mod ratio**j runs."""
-    rows = runs.select(F.col("run"), (F.col("run") + 1).alias("n"), "postings")
+    rows = numbered(runs.select("run", "postings"), [], F.floor(F.col("run") / F.lit(RANGE)), [F.col("run")], "n", first=1)
     zeros = F.size(F.filter(F.sequence(F.lit(1), F.lit(39 if ratio == 3 else 30)), lambda i: F.col("n") % F.pow(F.lit(ratio), i).cast("long") == 0))
     rows = rows.withColumn("target_partition", (zeros + 1).cast("long"))
     rows = rows.withColumn("held", F.col("n") % F.pow(F.lit(ratio), F.col("target_partition")).cast("long"))

@@ -461,7 +461,7 @@ def merged_runs(spark, sf_dir):
     return baselines.merged_runs(rows, budget_of(rows, 5)).select("term", "doc_id", "rank")
 
 
-@query("geometric_merges", twin("SELECT a.run, a.j AS target_partition, CAST(sum(b.postings) AS BIGINT) AS postings_rewritten FROM (SELECT run, n, (SELECT CAST(max(i) + 1 AS BIGINT) FROM range(0, 30) r(i) WHERE n % CAST(pow(3, i) AS BIGINT) = 0) AS j FROM numbered_) a JOIN numbered_ b ON b.n <= a.n AND b.n > a.n - a.n % CAST(pow(3, a.j) AS BIGINT) GROUP BY a.run, a.j", numbered_="SELECT run, run + 1 AS n, CAST(sum(n) AS BIGINT) AS postings FROM runs1 GROUP BY run", **RUNS))
+@query("geometric_merges", twin("SELECT a.run, a.j AS target_partition, CAST(sum(b.postings) AS BIGINT) AS postings_rewritten FROM (SELECT run, n, (SELECT CAST(max(i) + 1 AS BIGINT) FROM range(0, 30) r(i) WHERE n % CAST(pow(3, i) AS BIGINT) = 0) AS j FROM numbered_) a JOIN numbered_ b ON b.n <= a.n AND b.n > a.n - a.n % CAST(pow(3, a.j) AS BIGINT) GROUP BY a.run, a.j", numbered_="SELECT run, row_number() OVER (ORDER BY run) AS n, CAST(sum(n) AS BIGINT) AS postings FROM runs1 GROUP BY run", **RUNS))
 def geometric_merges(spark, sf_dir):
     rows = all_postings(spark, sf_dir)
     runs = baselines.full_flush(rows, budget_of(rows, 1)).select("run", "postings")
