@@ -6,10 +6,10 @@ of them go beyond one step. Equal registers estimate the probability Jaccard sim
 a text without repeated shingles has the plain Jaccard similarity.
 
 Classes: texts with equal words are first collapsed to their smallest document id. Bands of registers are bucket keys;
-every representative is verified against its buckets' smallest one, and connected components join what passes. Buckets
-that still hold several components get a second round, each member outside the first component against all members of
-other components, so within buckets no similar pair of different texts stays unlinked. Verification is exact: Jaccard
-of the sets of five-word shingles, at least the threshold.
+every representative is verified against its buckets' centres, and connected components join what passes. What the
+centres leave apart is compared in full, with links as the only output: members of one family outside its largest
+component against the family, and members of different families that share a bucket. So no similar pair that shares a
+bucket stays unlinked. Verification is exact: Jaccard of the sets of five-word shingles, at least the threshold.
 
 Edge cases: texts without a word form classes by equal text; a null text is a class of its own (by row id if that is
 null too: all such rows share class null); texts of fewer words than a shingle are one shingle; repeated rows get the
@@ -180,40 +180,106 @@ def components(links: DataFrame) -> DataFrame:
         labels = new.select("node", F.col("fresh").alias("label"))
 
 
-def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, size: int = WORDS) -> DataFrame:
+def centred(reps: DataFrame) -> DataFrame:
+    """(bucket, rep, n, centre, weight) of buckets with several representatives. A bucket's centre is the member that
+    meets most others over all its buckets (`weight`), as an original among its edited copies does; ties to the smaller."""
+    member = reps.where("rep IS NOT NULL").select("rep", "n", F.explode("bands").alias("bucket"))
+    sizes = member.groupBy("bucket").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
+    shared = materialise(member.join(sizes, "bucket"), "buckets")
+    weight = shared.groupBy("rep").agg(F.sum("size").alias("weight"))
+    shared = materialise(shared.join(weight, "rep").select("bucket", "rep", "n", "weight"), "buckets")
+    centre = shared.groupBy("bucket").agg(F.max(F.struct("weight", (-F.col("rep")).alias("c"))).alias("m"))
+    return materialise(shared.drop("weight").join(centre, "bucket").select("bucket", "rep", "n", (-F.col("m.c")).alias("centre"), F.col("m.weight").alias("weight")), "buckets")
+
+
+def within_families(families: DataFrame, texts: DataFrame, threshold: float, size: int, block: int) -> DataFrame:
+    """(a, b) links between components of a family, from (rep, hub, label).
+
+    All members outside a family's largest component meet all members, in blocks of about `block` rows a side. A block
+    pair emits no pairs but the links that join components it still sees apart, fewer than it has rows."""
+    counts = families.groupBy("hub", "label").agg(F.count(F.lit(1)).alias("n"))
+    whole = counts.groupBy("hub").agg(F.sum("n").alias("members"), F.max(F.struct("n", (-F.col("label")).alias("l"))).alias("main")).where("members > main.n")
+    whole = whole.select("hub", (-F.col("main.l")).alias("main"), F.ceil(F.col("members") / F.lit(block)).cast("int").alias("cols"), F.ceil((F.col("members") - F.col("main.n")) / F.lit(block)).cast("int").alias("rows"))
+    rows = families.join(whole, "hub").join(texts, "rep")
+    deal = lambda n: F.pmod(F.xxhash64("rep"), n).cast("int")
+    minor = rows.where("label <> main").select("hub", deal(F.col("rows")).alias("i"), F.explode(F.sequence(F.lit(0), F.col("cols") - 1)).alias("j"), F.lit(True).alias("minor"), "rep", "label", "text")
+    other = rows.select("hub", F.explode(F.sequence(F.lit(0), F.col("rows") - 1)).alias("i"), deal(F.col("cols")).alias("j"), F.lit(False).alias("minor"), "rep", "label", "text")
+
+    def kernel(table: pa.Table) -> pa.Table:
+        hasher, group = Hasher(), {}
+        side, reps, labels, texts = (table.column(c).to_pylist() for c in ("minor", "rep", "label", "text"))
+        sets = [np.unique(shingle_hashes(hasher(split_words(t)), size)) for t in texts]
+
+        def find(x: int) -> int:
+            while group.setdefault(x, x) != x:
+                group[x] = group[group[x]]
+                x = group[x]
+            return x
+
+        theirs = [i for i, m in enumerate(side) if not m]
+        found = []
+        if theirs and len(theirs) < len(side):
+            vocabulary, number = np.unique(np.concatenate([sets[i] for i in theirs]), return_inverse=True)
+            lengths = np.array([len(sets[i]) for i in theirs])
+            starts = np.concatenate([[0], np.cumsum(lengths)[:-1]])
+            mark = np.zeros(len(vocabulary), np.int32)
+            for i in (i for i, m in enumerate(side) if m):
+                at = np.minimum(np.searchsorted(vocabulary, sets[i]), len(vocabulary) - 1)
+                at = at[vocabulary[at] == sets[i]]
+                mark[at] = 1
+                both = np.add.reduceat(mark[number], starts)
+                mark[at] = 0
+                for k in np.flatnonzero(both >= threshold * (lengths + len(sets[i]) - both) - 1e-9).tolist():
+                    x, y = find(labels[i]), find(labels[theirs[k]])
+                    if x != y:
+                        group[max(x, y)] = min(x, y)
+                        found.append((reps[i], reps[theirs[k]]))
+        return pa.table({"a": pa.array([a for a, _ in found], pa.int64()), "b": pa.array([b for _, b in found], pa.int64())})
+
+    return minor.unionByName(other).groupBy("hub", "i", "j").applyInArrow(kernel, "a long, b long")
+
+
+#: Rows a side of a block pair.
+BLOCK = 96
+
+
+def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, size: int = WORDS, block: int = BLOCK) -> DataFrame:
     """(doc_id, class_id): one row per input row; class_id is the smallest document id of its class."""
     docs = pick(docs, doc_id="long", text="string")
     sketches = materialise(sketch(docs, bands, rows, size), "sketches")
     reps = materialise(sketches.where("key IS NOT NULL").groupBy("key").agg(F.min("doc_id").alias("rep"), F.any_value("bands").alias("bands"), F.any_value("n_shingles").alias("n")), "representatives")
 
-    member = reps.where("rep IS NOT NULL").select("rep", "n", F.explode("bands").alias("bucket"))
-    centre = member.groupBy("bucket").agg(F.min("rep").alias("centre"), F.max("rep").alias("last")).where("centre < last").select("bucket", "centre")
-    shared = materialise(member.join(centre, "bucket"), "buckets")
-    pairs = shared.where("rep <> centre").select(F.col("rep").alias("a"), F.col("centre").alias("b")).distinct()
-    # a representative's text: the row of its id with its key
-    wanted = shared.select("rep").distinct()
-    texts = docs.where("text IS NOT NULL").join(wanted.withColumnRenamed("rep", "doc_id"), "doc_id", "left_semi").groupBy(F.col("doc_id").alias("rep")).agg(F.min("text").alias("text"))
+    shared = centred(reps)
+    pairs = materialise(shared.where("rep <> centre").select(F.greatest("rep", "centre").alias("a"), F.least("rep", "centre").alias("b")).distinct(), "pairs")
+    # a representative's text: the row of its id
+    wanted = shared.select(F.col("rep").alias("doc_id")).distinct()
+    texts = docs.where("text IS NOT NULL").join(wanted.hint("merge"), "doc_id", "left_semi").groupBy(F.col("doc_id").alias("rep")).agg(F.min("text").alias("text"))
     texts = materialise(texts, "texts")
     links = materialise(verified(pairs, texts, threshold, size), "verified")
     labels = components(links)
 
-    # second round: buckets that hold more than one component
-    label = F.coalesce("label", "rep").alias("label")
-    known = shared.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("bucket", "rep", "n", label)
-    mixed = known.groupBy("bucket").agg(F.min("label").alias("main"), F.max("label").alias("other")).where("main < other").select("bucket", "main")
+    # what the centres leave open: components of one family (members with the same heaviest centre) ...
+    hubs = shared.groupBy("rep").agg(F.max(F.struct("weight", (-F.col("centre")).alias("c"))).alias("m")).select("rep", (-F.col("m.c")).alias("hub"))
+    labelled = hubs.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("rep", "hub", F.coalesce("label", "rep").alias("label"))
+    labelled = materialise(labelled, "families")
+    inside = materialise(within_families(labelled, texts, threshold, size, block), "verified")
+
+    # ... and buckets where families meet: members of another family than the centre's against the others
+    known = shared.select("bucket", "rep", "n", "centre").join(labelled, "rep")
+    mixed = known.groupBy("bucket").agg(F.min("hub").alias("h0"), F.max("hub").alias("h1"), F.min("label").alias("l0"), F.max("label").alias("l1"), F.min(F.when(F.col("rep") == F.col("centre"), F.col("hub"))).alias("main")).where("h0 < h1 AND l0 < l1").select("bucket", "main")
     known = materialise(known.join(mixed, "bucket"), "mixed")
-    minor = known.where("label <> main").select("bucket", F.col("rep").alias("a"), F.col("n").alias("n_a"), F.col("label").alias("label_a"))
-    other = known.select("bucket", F.col("rep").alias("b"), F.col("n").alias("n_b"), F.col("label").alias("label_b"), "main")
-    fits = (F.col("label_a") != F.col("label_b")) & ((F.col("label_b") == F.col("main")) | (F.col("a") < F.col("b"))) & (F.least("n_a", "n_b") >= threshold * F.greatest("n_a", "n_b"))
-    again = minor.join(other, "bucket").where(fits).select(F.least("a", "b").alias("b"), F.greatest("a", "b").alias("a")).select("a", "b").distinct()
-    again = again.join(pairs, ["a", "b"], "left_anti")
-    more = materialise(verified(again, texts, threshold, size), "verified")
+    odd = known.where("hub <> main").select("bucket", F.col("rep").alias("a"), F.col("n").alias("n_a"), F.col("label").alias("label_a"), F.col("hub").alias("hub_a"))
+    other = known.select("bucket", F.col("rep").alias("b"), F.col("n").alias("n_b"), F.col("label").alias("label_b"), F.col("hub").alias("hub_b"))
+    fits = (F.col("label_a") != F.col("label_b")) & (F.col("hub_a") != F.col("hub_b")) & (F.least("n_a", "n_b") >= threshold * F.greatest("n_a", "n_b"))
+    across = odd.join(other, "bucket").where(fits).select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+    across = across.join(pairs, ["a", "b"], "left_anti")
+    more = materialise(inside.unionByName(verified(across, texts, threshold, size)), "verified")
     if not more.isEmpty():
         labels = components(links.unionByName(more))
 
-    classes = reps.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("key", F.coalesce("label", "rep").alias("class_id"))
-    classes = materialise(classes, "classes")
-    return sketches.select("doc_id", "key").join(classes, "key", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"))
+    final = reps.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("key", F.coalesce("label", "rep").alias("class_id"))
+    final = materialise(final, "classes")
+    return sketches.select("doc_id", "key").join(final, "key", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"))
 
 
 def keep_one(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, size: int = WORDS) -> DataFrame:
