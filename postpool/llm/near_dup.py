@@ -289,7 +289,7 @@ def keep_one(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS,
     kept = classes.where(F.col("doc_id").eqNullSafe(F.col("class_id"))).groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"))
     kept = materialise(kept.select(F.col("doc_id").alias("kept_id"), "n"), "kept")
     same = docs["doc_id"].cast("long").eqNullSafe(F.col("kept_id"))
-    once = docs.join(kept.where("n = 1"), same, "left_semi")
+    once = docs.join(kept.where("n = 1").hint("merge"), same, "left_semi")  # one plan at any size: ids of kept rows grow with the input
     if kept.where("n > 1").isEmpty():
         return once
     return once.unionByName(docs.join(kept.where("n > 1"), same, "left_semi").dropDuplicates(["doc_id", "text"]))
