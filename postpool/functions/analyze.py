@@ -30,7 +30,7 @@ def strip_markup(html: Column) -> Column:
 def row_postings(words: Column) -> Column:
     """Within one row: array of (term, tf, positions) of a document's words. Word occurrences are sorted once and cut
     where the term changes, so that inverting a document needs no shuffle."""
-    occ = F.array_sort(F.transform(words, lambda w, i: F.struct(w.alias("term"), (i + 1).alias("pos"))))
+    occ = F.sort_array(F.transform(words, lambda w, i: F.struct(w.alias("term"), (i + 1).alias("pos"))))
     return occ
 
 

@@ -66,7 +66,7 @@ def remerge(segments: DataFrame) -> DataFrame:
 def in_place(segments: DataFrame, slack) -> DataFrame:
     """(term, reserved, used, wasted, relocations, copied): free space of slack(used) bytes is left behind a list; a
     segment that doesn't fit moves the list. A fold over the sizes of a term's segments, which a shard bounds."""
-    sizes = segments.groupBy("term").agg(F.transform(F.array_sort(F.collect_list(F.struct("seg_no", "n_bytes"))), lambda s: s["n_bytes"]).alias("sizes"))
+    sizes = segments.groupBy("term").agg(F.transform(F.sort_array(F.collect_list(F.struct("seg_no", "n_bytes"))), lambda s: s["n_bytes"]).alias("sizes"))
     zero = F.lit(0).cast("long")
     state = lambda r, u, n, c: F.struct(r.cast("long").alias("reserved"), u.cast("long").alias("used"), n.cast("long").alias("relocations"), c.cast("long").alias("copied"))
 

@@ -7,6 +7,7 @@ from dataclasses import dataclass, replace
 from pyspark.sql import DataFrame, functions as F
 
 from ..config import IndexConfig
+from ..functions import schedule
 from ..runtime import materialise
 from . import pool, postings as P
 
@@ -20,38 +21,44 @@ class Index:
     stats: DataFrame
     coll: DataFrame
 
+    def addresses(self, layout: str, cap_log2: int | None = None) -> DataFrame:
+        """(shard, term, term_id, seg_no, group_no, n_bytes, addr, next_addr, is_head, is_tail) in another layout; no
+        block is read."""
+        cfg = replace(self.cfg, layout=layout, cap_log2=self.cfg.cap_log2 if cap_log2 is None else cap_log2)
+        return addresses(self.postings, self.segments, cfg)
+
     def relaid(self, layout: str, cap_log2: int | None = None) -> DataFrame:
         """Segments with addresses and links of another layout; the blocks stay as they are."""
-        cfg = replace(self.cfg, layout=layout, cap_log2=self.cfg.cap_log2 if cap_log2 is None else cap_log2)
-        return laid_out(self.postings, self.segments.drop("addr", "next_addr", "is_head", "is_tail"), cfg)
+        return joined(self.segments.drop("addr", "next_addr", "is_head", "is_tail"), self.addresses(layout, cap_log2))
+
 
+def addresses(ranked: DataFrame, segments: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """Placed and linked segments without their blocks: only numbers take part in the windows."""
+    thin = segments.select("shard", "term", "term_id", "seg_no", schedule.group_of_segment(F.col("seg_no"), cfg.cap).alias("group_no"), "n_bytes")
+    return pool.link(pool.place(thin, pool.flush_events(ranked, cfg), cfg, ("shard",)), ("shard",))
 
-def laid_out(ranked: DataFrame, segments: DataFrame, cfg: IndexConfig) -> DataFrame:
-    """Segments placed and linked. Only (shard, term_id, segment, size) take part in the windows when blobs are there."""
-    from ..functions import schedule
 
-    segments = segments.withColumn("group_no", schedule.group_of_segment(F.col("seg_no"), cfg.cap))
-    thin = segments.select("shard", "term", "term_id", "seg_no", "group_no", "n_bytes")
-    placed = pool.link(pool.place(thin, pool.flush_events(ranked, cfg), cfg, ("shard",)), ("shard",))
-    return segments.join(placed.select("shard", "term_id", "seg_no", "addr", "next_addr", "is_head", "is_tail"), ["shard", "term_id", "seg_no"])
+def joined(segments: DataFrame, placed: DataFrame) -> DataFrame:
+    return segments.drop("group_no").join(placed.select("shard", "term_id", "seg_no", "group_no", "addr", "next_addr", "is_head", "is_tail"), ["shard", "term_id", "seg_no"])
 
 
 def build_index(docs: DataFrame, cfg: IndexConfig, id_col: str = "doc_id", text_col: str = "text", encode: bool = True) -> Index:
-    """Documents to a compressed index. Postings move once, keyed by (shard, term); shards are document ranges."""
+    """Documents to a compressed index. Shards are document ranges. Postings move with their rank, then by segment;
+    parsed postings, ranked postings and blocks are written to the shared folder, so that nothing is parsed or encoded
+    twice and a lost executor costs one stage."""
     per_shard = None
     if cfg.n_shards > 1:
         top = docs.agg(F.max(id_col)).first()[0] or 0
         per_shard = -(-(top + 1) // cfg.n_shards)
     stats = P.doc_stats(docs, id_col, text_col)
-    rows = P.build_postings(docs, id_col, text_col, cfg.positional).withColumn("shard", P.shard_of(F.col("doc_id"), per_shard))
+    rows = materialise(P.build_postings(docs, id_col, text_col, cfg.positional).withColumn("shard", P.shard_of(F.col("doc_id"), per_shard)), "parsed")
     keys = ("shard",) if cfg.threshold_scope == "shard" else ()
     dictionary = materialise(P.build_dictionary(rows, cfg, keys), "dictionary")
     kept = rows.join(dictionary.select(*keys, "term", "term_id"), [*keys, "term"])
     ranked = P.numbered(kept, ["shard", "term"], F.floor(F.col("doc_id") / F.lit(P.RANGE)), [F.col("doc_id")], "rank", first=1)
     ranked = materialise(ranked.join(stats, "doc_id"), "postings")
-    segments = pool.segment_bytes(pool.assemble(ranked, cfg, ("shard",)), cfg)
-    if encode:
-        segments = pool.encode(segments, cfg)
-    segments = materialise(laid_out(ranked, segments, cfg), "segments")
+    segments = pool.assemble(ranked, cfg, ("shard",))
+    segments = materialise(pool.encode(segments, cfg) if encode else pool.segment_bytes(segments, cfg), "blocks")
+    segments = materialise(joined(segments, addresses(ranked, segments, cfg)), "segments")
     stats = materialise(stats, "docstats")
     return Index(cfg, dictionary, ranked, segments, stats, P.collection_stats(stats))

@@ -43,7 +43,7 @@ def assemble(ranked: DataFrame, cfg: IndexConfig, keys: tuple[str, ...] = ()) ->
     rows = with_groups(ranked, cfg)
     known = "doc_len" in ranked.columns
     one = F.struct("doc_id", "tf", analyze.position_gaps(F.col("positions")).alias("gaps"), *(["doc_len"] if known else []))
-    segs = rows.groupBy(*keys, "term", "term_id", "seg_no", "group_no").agg(F.array_sort(F.collect_list(one)).alias("p"), F.max("rank").alias("last_rank"))
+    segs = rows.groupBy(*keys, "term", "term_id", "seg_no", "group_no").agg(F.sort_array(F.collect_list(one)).alias("p"), F.max("rank").alias("last_rank"))
     docs = F.transform("p", lambda x: x["doc_id"])
     return segs.select(
         *keys, "term", "term_id", "seg_no", "group_no", "last_rank", docs.alias("docs"), F.transform("p", lambda x: x["tf"]).alias("tfs"), F.flatten(F.transform("p", lambda x: x["gaps"])).alias("gaps"),
@@ -76,9 +76,9 @@ ENCODED = "d_block binary, f_block binary, p_blocks array<binary>"
 
 
 def encode(segments: DataFrame, cfg: IndexConfig) -> DataFrame:
-    """Adds the compressed blocks, drops the arrays. Arrow batches to numpy; a row is a segment."""
-    kept = [f for f in segments.schema.fields if f.name not in ("docs", "tfs", "gaps")]
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in kept), ENCODED])
+    """Adds the compressed blocks and n_bytes, drops the arrays. Arrow batches to numpy; a row is a segment."""
+    kept = [f for f in segments.schema.fields if f.name not in ("docs", "tfs", "gaps", "n_bytes")]
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in kept), "n_bytes long", ENCODED])
     block, positional = cfg.block, cfg.positional
     names = [f.name for f in kept]
 
@@ -88,7 +88,9 @@ def encode(segments: DataFrame, cfg: IndexConfig) -> DataFrame:
             d = [codec.pfor_encode(np.diff(v, prepend=0)) for v in column("docs")]
             f = [codec.pfor_encode(v) for v in column("tfs")]
             p = [[codec.pfor_encode(v[i : i + block]) for i in range(0, len(v), block)] if positional else [] for v in column("gaps")]
-            yield pa.RecordBatch.from_arrays([*(batch.column(batch.schema.get_field_index(n)) for n in names), pa.array(d, pa.binary()), pa.array(f, pa.binary()), pa.array(p, pa.list_(pa.binary()))], names=[*names, "d_block", "f_block", "p_blocks"])
+            size = [POINTER + 2 * LENGTH + len(x) + len(y) + sum(LENGTH + len(b) for b in z) for x, y, z in zip(d, f, p)]
+            columns = [*(batch.column(batch.schema.get_field_index(n)) for n in names), pa.array(size, pa.int64()), pa.array(d, pa.binary()), pa.array(f, pa.binary()), pa.array(p, pa.list_(pa.binary()))]
+            yield pa.RecordBatch.from_arrays(columns, names=[*names, "n_bytes", "d_block", "f_block", "p_blocks"])
 
     return segments.mapInArrow(kernel, schema)
 

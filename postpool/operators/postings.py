@@ -36,7 +36,7 @@ def build_postings(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
 def postings_of_tokens(tokens: DataFrame) -> DataFrame:
     """The same from a table of tokens (already parsed input): one shuffle, on (document, term)."""
-    return tokens.groupBy("doc_id", "term").agg(F.count(F.lit(1)).cast("int").alias("tf"), F.array_sort(F.collect_list("pos")).alias("positions"))
+    return tokens.groupBy("doc_id", "term").agg(F.count(F.lit(1)).cast("int").alias("tf"), F.sort_array(F.collect_list("pos")).alias("positions"))
 
 
 def shard_of(doc_id: Column, per_shard: int | None) -> Column:

@@ -32,18 +32,13 @@ def query(name: str, sql: str | None = None):
 
 
 def docs(spark, sf_dir):
-    return read_table(spark, sf_dir, "documents")
+    return W.collection(spark, sf_dir)
 
 
 def index(spark, sf_dir, cfg=CFG):
     return W.index_for(spark, sf_dir, cfg)
 
 
-def arrays(ix, cfg=CFG):
-    """Segments as arrays, before encoding."""
-    return pool.segment_bytes(pool.assemble(ix.postings, cfg), cfg)
-
-
 # ---------------------------------------------------------------- indexing
 
 
@@ -174,8 +169,8 @@ def segment_roundtrip(spark, sf_dir):
 def traverse_lists(spark, sf_dir):
     """Lists by their links: from each head the next pointers are followed, and only segments so reached are decoded."""
     segs = index(spark, sf_dir).segments
-    reached = segs.where("is_head").select("addr").unionByName(segs.where("next_addr IS NOT NULL").select(F.col("next_addr").alias("addr")))
-    return posting_digest(pool.decode(segs.join(reached, "addr", "left_semi")))
+    reached = segs.where("is_head").select("shard", "addr").unionByName(segs.where("next_addr IS NOT NULL").select("shard", F.col("next_addr").alias("addr")))
+    return posting_digest(pool.decode(segs.join(reached, ["shard", "addr"], "left_semi")))
 
 
 LAYOUTS = (("linked", 0), ("capped", 5), ("contiguous", 5))
@@ -185,7 +180,7 @@ LAYOUTS = (("linked", 0), ("capped", 5), ("contiguous", 5))
 def pool_addresses(spark, sf_dir):
     ix, out = index(spark, sf_dir), None
     for layout, cap in LAYOUTS:
-        one = (ix.segments if layout == "capped" else ix.relaid(layout, cap)).select(F.lit(layout).alias("layout"), "term", "seg_no", "addr", "n_bytes")
+        one = ix.addresses(layout, cap).select(F.lit(layout).alias("layout"), "term", "seg_no", "addr", "n_bytes")
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -200,7 +195,7 @@ CONTIGUOUS_SQL = twin("SELECT term, seg_no, addr FROM contig")
 
 @query("pool_contiguous", CONTIGUOUS_SQL)
 def pool_contiguous(spark, sf_dir):
-    return index(spark, sf_dir).relaid("contiguous").select("term", "seg_no", "addr")
+    return index(spark, sf_dir).addresses("contiguous").select("term", "seg_no", "addr")
 
 
 @query("two_pass_layout", CONTIGUOUS_SQL)
@@ -228,8 +223,7 @@ def _jumps_sql():
 def pool_jumps(spark, sf_dir):
     ix, out = index(spark, sf_dir), None
     for layout, cap in [("linked", 0), *(("capped", m) for m in range(1, 8)), ("contiguous", 5)]:
-        segs = ix.segments if (layout, cap) == ("capped", 5) else ix.relaid(layout, cap)
-        one = pool.jumps(segs).select(F.lit(layout).alias("layout"), F.lit(cap).cast("long").alias("cap"), "links", "jumps", "jump_bytes")
+        one = pool.jumps(ix.addresses(layout, cap)).select(F.lit(layout).alias("layout"), F.lit(cap).cast("long").alias("cap"), "links", "jumps", "jump_bytes")
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -439,7 +433,7 @@ def query_jumps(spark, sf_dir):
 
 
 def all_postings(spark, sf_dir):
-    return P.build_postings(docs(spark, sf_dir)).select("doc_id", "term", "tf", "positions")
+    return W.parsed(spark, sf_dir)
 
 
 def budget_of(rows, percent):
@@ -581,7 +575,7 @@ def _strip(x):
 
 @query("html_vocab", "WITH p AS (SELECT 'raw' AS variant, page_id, coalesce(html, '') AS x FROM pages UNION ALL SELECT 'stripped', page_id, " + _strip("coalesce(html, '')") + f" FROM pages), k AS (SELECT variant, page_id, unnest({WORDS.format('x')}) AS term FROM p), d AS (SELECT variant, term, count(*) AS n, count(DISTINCT page_id) AS df FROM k GROUP BY variant, term) SELECT variant, CAST(sum(n) AS BIGINT) AS tokens, count(*) AS terms, count(*) FILTER (df >= 10) AS terms_kept FROM d GROUP BY variant")
 def html_vocab(spark, sf_dir):
-    pages = read_table(spark, sf_dir, "pages")
+    pages = W.collection(spark, sf_dir, "pages", "page_id")
     out = None
     for variant, text in (("raw", F.col("html")), ("stripped", analyze.strip_markup(F.col("html")))):
         rows = P.build_postings(pages.select("page_id", text.alias("text")), "page_id")

@@ -106,7 +106,7 @@ def agg_hash(spark, sf_dir):
 
 @query("agg_sort", twin("SELECT term, doc_id, string_agg(CAST(pos AS VARCHAR), ' ' ORDER BY pos) AS places FROM tok GROUP BY term, doc_id"))
 def agg_sort(spark, sf_dir):
-    t = P.tokenize(docs(spark, sf_dir)).groupBy("term", "doc_id").agg(F.array_sort(F.collect_list("pos")).alias("p"))
+    t = P.tokenize(docs(spark, sf_dir)).groupBy("term", "doc_id").agg(F.sort_array(F.collect_list("pos")).alias("p"))
     return t.select("term", "doc_id", F.array_join(F.transform("p", lambda x: x.cast("string")), " ").alias("places"))
 
 
@@ -218,7 +218,7 @@ def fn_string(spark, sf_dir):
     return table(spark, sf_dir, "benchmark").select("item_id", F.lower(t).alias("low"), F.length(t).cast("long").alias("n"), F.substring(t, 3, 7).alias("mid"), F.replace(t, F.lit("the"), F.lit("_")).alias("rep"), F.translate(t, "abc", "xyz").alias("tr"), F.size(F.split(t, " ")).cast("long").alias("parts"), F.regexp_replace(t, "[aeiou]", "").alias("bare"), F.concat(F.left(t, F.lit(3)), F.lit("-"), F.right(t, F.lit(2))).alias("ends"))
 
 
-@query("stem_stop", "WITH k AS (SELECT doc_id, unnest(" + WORDS.format("text") + ") AS w FROM documents), d AS (SELECT w, count(DISTINCT doc_id) AS df FROM k GROUP BY w), s AS (SELECT w FROM (SELECT w, row_number() OVER (ORDER BY df DESC, w) AS r FROM d) WHERE r <= 50), x AS (SELECT CASE WHEN length(w) - length(regexp_replace(w, '(ations|ation|ments|ment|ings|ing|edly|ely|ies|ed|ly|es|s)$', '')) > 0 THEN w ELSE w END AS w FROM k WHERE w NOT IN (SELECT w FROM s)) SELECT count(*) AS tokens, count(DISTINCT w) AS words FROM x")
+@query("stem_stop", twin("SELECT count(*) AS tokens, count(DISTINCT term) AS words FROM tok WHERE term NOT IN (SELECT term FROM (SELECT term, row_number() OVER (ORDER BY df DESC, term) AS r FROM dict1) WHERE r <= 50)"))
 def stem_stop(spark, sf_dir):
     """The 50 terms of the most documents are stop words; what is left is counted."""
     tokens = P.tokenize(docs(spark, sf_dir))

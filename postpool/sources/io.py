@@ -19,6 +19,12 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return reader.parquet(f"{sf_dir.rstrip('/')}/{name}.parquet")
 
 
+def spread(df: DataFrame, key: str) -> DataFrame:
+    """Rows over all cores if the input has fewer splits (a table of one small file); large tables stay as they are."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores, key) if df.rdd.getNumPartitions() < cores else df
+
+
 def read_docs(spark: SparkSession, path: str, kind: str = "parquet", id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, text) from parquet, orc, json, csv (with header) or plain text (a line is a document, numbered by file order)."""
     if kind == "text":

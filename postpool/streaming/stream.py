@@ -91,7 +91,7 @@ def search_as_of(groups: DataFrame, log: DataFrame, at: int) -> DataFrame:
     log holds every posting (term, doc_id); the flushed part comes from groups, the rest from the log."""
     flushed = groups.select("term", F.explode("docs").alias("doc_id")).where(F.col("doc_id") <= at)
     rest = log.where(F.col("doc_id") <= at).join(flushed, ["term", "doc_id"], "left_anti")
-    return flushed.unionByName(rest).groupBy("term").agg(F.array_sort(F.collect_list("doc_id")).alias("docs"))
+    return flushed.unionByName(rest).groupBy("term").agg(F.sort_array(F.collect_list("doc_id")).alias("docs"))
 
 
 def split_for_stream(docs: DataFrame, path: str, files: int) -> None:

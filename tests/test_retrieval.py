@@ -88,3 +88,13 @@ def test_phrases(spark):
     q = spark.createDataFrame([(1, ["a", "b"]), (2, ["a", "a"])], "query_id long, terms array<string>")
     got = {(r.query_id, r.doc_id): r.n_matches for r in R.phrase(P.build_postings(docs), q).collect()}
     assert got == {(1, 1): 2, (2, 3): 2}
+
+
+def test_stemmer(spark):
+    from pyspark.sql import functions as F
+
+    from postpool.functions import analyze
+
+    words = {"walking": "walk", "nations": "nat", "sing": "sing", "ran": "ran", "parties": "part", "kindly": "kind", "bees": "bee"}
+    df = spark.createDataFrame([(w,) for w in words], "w string").select("w", analyze.stem(F.col("w")).alias("s"))
+    assert {r.w: r.s for r in df.collect()} == words
