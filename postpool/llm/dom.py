@@ -19,6 +19,8 @@ SCOPES = {"li": ("ul", "ol", "menu", "dir"), "dt": ("dl",), "dd": ("dl",), "tr":
 
 _TAG = re.compile(r"""<(?:!--(?P<comment>)|(?P<close>/?)(?P<name>[a-zA-Z][^\s/>]*+)(?P<attrs>(?:[^>"']++|"[^"]*+"|'[^']*+')*+)>|(?P<broken>/?[a-zA-Z][^>]*+)>|[!?/][^>]*+>)""")
 _ATTR = re.compile(r"""([^\s=/"'>]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""")
+#: Deeper elements become children of the last one that may have any.
+DEEPEST = 512
 _HIDDEN = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden", re.I)
 
 
@@ -41,6 +43,7 @@ def parse(source: str) -> tuple[Node, list[Node]]:
     linked = marks = 0
     in_link = False
     size = len(source)
+    tags_end = source.rfind(">") + 1  # no tag ends beyond, and none is looked for there
 
     def flush() -> None:
         nonlocal linked, marks
@@ -57,7 +60,7 @@ def parse(source: str) -> tuple[Node, list[Node]]:
         linked = marks = 0
 
     while at < size:
-        m = _TAG.search(source, at)
+        m = _TAG.search(source, at, tags_end)
         stop = m.start() if m else size
         if stop > at:
             piece = source[at:stop]
@@ -131,7 +134,7 @@ def parse(source: str) -> tuple[Node, list[Node]]:
             node = Node(name, top, " ".join(found.get(k, "") for k in ("class", "id", "role", "itemprop") if k in found).lower(), hidden)
             top.children.append(node)
             nodes.append(node)
-            if not attrs.rstrip().endswith("/") or name in BLOCKS:
+            if node.depth < DEEPEST and (name in BLOCKS or not attrs.rstrip().endswith("/")):
                 top = node
         elif name in ("input", "label"):
             top.controls += 1

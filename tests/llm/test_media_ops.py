@@ -164,6 +164,15 @@ def test_html_edges(spark):
     assert X.main_text(df.where("page_id = -5")).count() == 0
 
 
+@pytest.mark.parametrize("page", ["<a " * 60000, "<div>" * 60000 + "deep", "</p>" * 60000, "<p 'x" * 40000 + ">", "<!-- " * 60000, "<li>x" * 20000, "&amp" * 60000])
+def test_hostile_markup_takes_linear_time(page):
+    import time
+
+    t = time.process_time()
+    root, nodes = dom.parse(page)
+    assert nodes[0] is root and time.process_time() - t < 8
+
+
 # ---------------------------------------------------------------- chat
 
 
