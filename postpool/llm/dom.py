@@ -18,6 +18,7 @@ CLOSES = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "t
 SCOPES = {"li": ("ul", "ol", "menu", "dir"), "dt": ("dl",), "dd": ("dl",), "tr": ("table",), "td": ("table", "tr"), "th": ("table", "tr"), "tbody": ("table",), "tfoot": ("table",), "option": ("select", "datalist")}
 
 _TAG = re.compile(r"""<(?:!--(?P<comment>)|(?P<close>/?)(?P<name>[a-zA-Z][^\s/>]*+)(?P<attrs>(?:[^>"']++|"[^"]*+"|'[^']*+')*+)>|(?P<broken>/?[a-zA-Z][^>]*+)>|[!?/][^>]*+>)""")
+_OPEN = re.compile(r"<[a-zA-Z/!?]")
 _ATTR = re.compile(r"""([^\s=/"'>]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""")
 #: Deeper elements become children of the last one that may have any.
 DEEPEST = 512
@@ -61,7 +62,8 @@ def parse(source: str) -> tuple[Node, list[Node]]:
 
     while at < size:
         m = _TAG.search(source, at, tags_end)
-        stop = m.start() if m else size
+        cut = None if m else _OPEN.search(source, max(at, tags_end))  # an unfinished tag or comment ends the page
+        stop = m.start() if m else cut.start() if cut else size
         if stop > at:
             piece = source[at:stop]
             buffer.append(piece)
