@@ -42,3 +42,11 @@ def salted_join(left: DataFrame, right: DataFrame, key: str, salts: int, hash_of
     l = left.withColumn("_s", F.pmod(hash_of, F.lit(salts)))
     r = right.withColumn("_s", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
     return l.join(r, [key, "_s"]).drop("_s")
+
+
+def observed(df: DataFrame, name: str, *columns: str):
+    """(df, observation): row count and column sums that are gathered while df runs, without a pass of their own."""
+    from pyspark.sql import Observation
+
+    seen = Observation(name)
+    return df.observe(seen, F.count(F.lit(1)).alias("rows"), *(F.sum(c).alias(c) for c in columns)), seen

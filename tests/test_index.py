@@ -141,3 +141,12 @@ def test_zone_maps(spark, sf):
     for r in ix.segments.limit(200).collect():
         docs = np.cumsum(codec.pfor_decode(bytes(r.d_block)))
         assert (r.first_doc, r.last_doc, r.n_docs) == (docs[0], docs[-1], len(docs))
+
+
+def test_index_without_positions(spark, sf):
+    docs = read_table(spark, sf, "documents")
+    full, bare = build_index(docs, IndexConfig(block=16)), build_index(docs, IndexConfig(block=16, positional=False))
+    rows = lambda df: sorted((r.term, r.doc_id, r.tf) for r in df.collect())
+    assert rows(pool.decode(bare.segments, positions=False)) == rows(full.postings)
+    size = lambda ix: ix.segments.agg(F.sum("n_bytes")).first()[0]
+    assert size(bare) < size(full) and bare.segments.where(F.size("p_blocks") > 0).isEmpty()

@@ -59,3 +59,23 @@ def test_salted_join(spark):
     right = spark.createDataFrame([(1, "a"), (2, "b"), (3, "c")], "k long, w string")
     out = relops.salted_join(left, right, "k", 8, F.xxhash64("v"))
     assert out.count() == 101 and out.columns == ["k", "v", "w"]
+
+
+def test_observed_counters(spark, sf):
+    from postpool.plans import catalog
+
+    df, seen = relops.observed(catalog.QUERIES["work_counters"](spark, sf), "work", "segments_decoded", "pivots")
+    rows = df.collect()
+    assert seen.get == {"rows": len(rows), "segments_decoded": sum(r.segments_decoded for r in rows), "pivots": sum(r.pivots for r in rows)}
+
+
+def test_sinks(spark, sf, tmp_path):
+    io.write_json(spark.range(3), f"{tmp_path}/j")
+    assert spark.read.json(f"{tmp_path}/j").count() == 3
+    docs = io.read_table(spark, sf, "documents").select("doc_id", "text")
+    docs.write.parquet(f"{tmp_path}/d")
+    stream = spark.readStream.schema("doc_id long, text string").parquet(f"{tmp_path}/d")
+    q = stream.select("doc_id").writeStream.format("memory").queryName("pp_sink").trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert spark.table("pp_sink").count() == docs.count()
+    stream.where("doc_id = 0").select("doc_id").writeStream.format("console").trigger(availableNow=True).start().awaitTermination()
