@@ -9,12 +9,17 @@ from __future__ import annotations
 from pyspark.sql import Column, functions as F
 
 
+def div(a: Column, n) -> Column:
+    """Whole-number division, exact for any BIGINT."""
+    return F.call_function("div", a.cast("long"), F.lit(n).cast("long"))
+
+
 def power_of_two(exponent: Column) -> Column:
     return F.call_function("shiftleft", F.lit(1).cast("long"), exponent.cast("int"))
 
 
 def segment_no(rank: Column, block: int) -> Column:
-    return F.floor((rank - 1) / F.lit(block)).cast("long")
+    return div(rank - 1, block)
 
 
 def slot(rank: Column, block: int) -> Column:
@@ -29,7 +34,7 @@ def log2_floor(n: Column) -> Column:
 def group_of_segment(seg: Column, cap: int) -> Column:
     """Group number of a segment number (both from 0)."""
     full = (1 << (cap + 1)) - 1
-    return F.when(seg < full, log2_floor(seg + 1)).otherwise(cap + 1 + F.floor((seg - full) / F.lit(1 << cap)).cast("long"))
+    return F.when(seg < full, log2_floor(seg + 1)).otherwise(cap + 1 + div(seg - full, 1 << cap))
 
 
 def group_end(group: Column, block: int, cap: int) -> Column:
@@ -48,7 +53,7 @@ def buffer_class(df: Column, block: int, cap: int | None = None, last_bar: str =
 
     By the series, the next class begins when all buffers so far are full. last_bar='literal' lets the top class begin
     only above 2**top blocks of postings."""
-    blocks = F.floor(df / F.lit(block)).cast("long") + 1
+    blocks = div(df, block) + 1
     level = F.least(log2_floor(blocks), F.lit(top if cap is None else cap))
     if last_bar == "literal":
         level = F.when((level >= top) & (df <= block << top), F.lit(top - 1)).otherwise(level)

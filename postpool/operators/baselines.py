@@ -12,7 +12,7 @@ from .postings import RANGE
 def runs_of(postings: DataFrame, budget: int) -> DataFrame:
     """(doc_id, n, run): memory holds `budget` postings; when it is full everything is written as a run."""
     docs = postings.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"))
-    counted = running_sum(docs, F.col("n"), [], F.floor(F.col("doc_id") / F.lit(RANGE)), [F.col("doc_id")], "before")
+    counted = running_sum(docs, F.col("n"), [], schedule.div(F.col("doc_id"), RANGE), [F.col("doc_id")], "before")
     return counted.select("doc_id", "n", F.floor(F.col("before") / F.lit(budget)).cast("long").alias("run"))
 
 
@@ -46,11 +46,11 @@ def geometric_merges(runs: DataFrame, ratio: int = 3) -> DataFrame:
 
     Partition j holds at most (ratio-1) * ratio**(j-1) runs, so that the n-th run cascades as far as n has trailing
     zeros in base `ratio`, and the partition it lands in then holds the last n mod ratio**j runs."""
-    rows = numbered(runs.select("run", "postings"), [], F.floor(F.col("run") / F.lit(RANGE)), [F.col("run")], "n", first=1)
+    rows = numbered(runs.select("run", "postings"), [], schedule.div(F.col("run"), RANGE), [F.col("run")], "n", first=1)
     zeros = F.size(F.filter(F.sequence(F.lit(1), F.lit(39 if ratio == 3 else 30)), lambda i: F.col("n") % F.pow(F.lit(ratio), i).cast("long") == 0))
     rows = rows.withColumn("target_partition", (zeros + 1).cast("long"))
     rows = rows.withColumn("held", F.col("n") % F.pow(F.lit(ratio), F.col("target_partition")).cast("long"))
-    rows = running_sum(rows, F.col("postings"), [], F.floor(F.col("n") / F.lit(RANGE)), [F.col("n")], "before")
+    rows = running_sum(rows, F.col("postings"), [], schedule.div(F.col("n"), RANGE), [F.col("n")], "before")
     start = rows.select((F.col("n") - 1).alias("start"), F.col("before").alias("base"))
     out = rows.withColumn("start", F.col("n") - F.col("held")).join(start, "start")
     return out.select("run", "target_partition", (F.col("before") + F.col("postings") - F.col("base")).alias("postings_rewritten"))

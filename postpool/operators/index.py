@@ -55,7 +55,7 @@ def build_index(docs: DataFrame, cfg: IndexConfig, id_col: str = "doc_id", text_
     keys = ("shard",) if cfg.threshold_scope == "shard" else ()
     dictionary = materialise(P.build_dictionary(rows, cfg, keys), "dictionary")
     kept = rows.join(dictionary.select(*keys, "term", "term_id"), [*keys, "term"])
-    ranked = P.numbered(kept, ["shard", "term"], F.floor(F.col("doc_id") / F.lit(P.RANGE)), [F.col("doc_id")], "rank", first=1)
+    ranked = P.numbered(kept, ["shard", "term"], schedule.div(F.col("doc_id"), P.RANGE), [F.col("doc_id")], "rank", first=1)
     ranked = materialise(ranked.join(stats, "doc_id"), "postings")
     segments = pool.assemble(ranked, cfg, ("shard",))
     segments = materialise(pool.encode(segments, cfg) if encode else pool.segment_bytes(segments, cfg), "blocks")

@@ -128,9 +128,9 @@ def flush_order(segments: DataFrame, events: DataFrame, cfg: IndexConfig, keys:
 def place(segments: DataFrame, events: DataFrame, cfg: IndexConfig, keys: tuple[str, ...] = ()) -> DataFrame:
     """Adds addr: running sum of n_bytes in the order of writing (contiguous: by term and segment)."""
     if cfg.layout == "contiguous":
-        return running_sum(segments, F.col("n_bytes"), list(keys), F.floor(F.col("term_id") / F.lit(RANGE)), [F.col("term_id"), F.col("seg_no")], "addr")
+        return running_sum(segments, F.col("n_bytes"), list(keys), schedule.div(F.col("term_id"), RANGE), [F.col("term_id"), F.col("seg_no")], "addr")
     ordered = flush_order(segments, events, cfg, keys)
-    bucket = F.floor(F.col("order_a") / F.lit(RANGE)) + F.when(F.col("is_final"), F.lit(1 << 40)).otherwise(0)
+    bucket = schedule.div(F.col("order_a"), RANGE) + F.when(F.col("is_final"), F.lit(1 << 40)).otherwise(0)
     placed = running_sum(ordered, F.col("n_bytes"), list(keys), bucket, [F.col("is_final"), F.col("order_a"), F.col("order_b"), F.col("seg_no")], "addr")
     return placed.drop("is_final", "order_a", "order_b", "trigger_doc", "trigger_pos")
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, functions as F
 
 from ..config import IndexConfig
-from ..functions import analyze
+from ..functions import analyze, schedule
 from .numbering import numbered
 
 #: Documents of one bucket of the two-level ranks.
@@ -40,16 +40,15 @@ def postings_of_tokens(tokens: DataFrame) -> DataFrame:
 
 
 def shard_of(doc_id: Column, per_shard: int | None) -> Column:
-    return F.lit(0) if not per_shard else F.floor(doc_id / F.lit(per_shard)).cast("int")
+    return F.lit(0) if not per_shard else schedule.div(doc_id, per_shard).cast("int")
 
 
 def build_dictionary(postings: DataFrame, cfg: IndexConfig, keys: tuple[str, ...] = ()) -> DataFrame:
     """(keys, term, term_id, df, cf, max_tf, first_doc, first_pos) of kept terms, ids in order of first sight."""
-    seen = F.min(F.struct("doc_id", F.get("positions", F.lit(0)).alias("pos")))
-    terms = postings.groupBy(*keys, "term").agg(F.count(F.lit(1)).alias("df"), F.sum("tf").alias("cf"), F.max("tf").alias("max_tf"), seen.alias("seen"))
+    first = F.min_by(F.get("positions", F.lit(0)).cast("long"), "doc_id")  # a document has a term once; all sums hash
+    terms = postings.groupBy(*keys, "term").agg(F.count(F.lit(1)).alias("df"), F.sum("tf").alias("cf"), F.max("tf").alias("max_tf"), F.min("doc_id").alias("first_doc"), first.alias("first_pos"))
     terms = apply_threshold(terms, cfg.df_threshold)
-    terms = terms.select(*keys, "term", "df", "cf", "max_tf", F.col("seen.doc_id").alias("first_doc"), F.col("seen.pos").cast("long").alias("first_pos"))
-    return numbered(terms, list(keys), F.floor(F.col("first_doc") / F.lit(RANGE)), [F.col("first_doc"), F.col("first_pos")], "term_id")
+    return numbered(terms, list(keys), schedule.div(F.col("first_doc"), RANGE), [F.col("first_doc"), F.col("first_pos")], "term_id")
 
 
 def apply_threshold(dictionary: DataFrame, threshold: int) -> DataFrame:
@@ -62,4 +61,4 @@ def rank_postings(postings: DataFrame, dictionary: DataFrame, keys: tuple[str, .
 
     Lists of frequent terms are ranked document range by document range, so none sits in one task."""
     kept = postings.join(dictionary.select(*keys, "term", "term_id"), [*keys, "term"])
-    return numbered(kept, [*keys, "term"], F.floor(F.col("doc_id") / F.lit(RANGE)), [F.col("doc_id")], "rank", first=1)
+    return numbered(kept, [*keys, "term"], schedule.div(F.col("doc_id"), RANGE), [F.col("doc_id")], "rank", first=1)

@@ -205,8 +205,8 @@ def two_pass_layout(spark, sf_dir):
 
     segs = index(spark, sf_dir).segments.select("term", "term_id", "seg_no", "n_bytes")
     sizes = segs.groupBy("term_id").agg(F.sum("n_bytes").alias("size"))
-    starts = running_sum(sizes, F.col("size"), [], F.floor(F.col("term_id") / F.lit(P.RANGE)), [F.col("term_id")], "base")
-    inner = running_sum(segs, F.col("n_bytes"), ["term", "term_id"], F.floor(F.col("seg_no") / F.lit(P.RANGE)), [F.col("seg_no")], "inside")
+    starts = running_sum(sizes, F.col("size"), [], schedule.div(F.col("term_id"), P.RANGE), [F.col("term_id")], "base")
+    inner = running_sum(segs, F.col("n_bytes"), ["term", "term_id"], schedule.div(F.col("seg_no"), P.RANGE), [F.col("seg_no")], "inside")
     return inner.join(starts.select("term_id", "base"), "term_id").select("term", "seg_no", (F.col("base") + F.col("inside")).alias("addr"))
 
 
@@ -367,8 +367,8 @@ def bmw_stale_recall(spark, sf_dir):
     at = seg.groupBy("shard", "term", "seg_no").agg(F.max("doc_id").alias("flushed"))
     from ..operators.numbering import running_sum
 
-    seen = running_sum(ix.stats, F.col("doc_len"), [], F.floor(F.col("doc_id") / F.lit(P.RANGE)), [F.col("doc_id")], "sum_before")
-    seen = P.numbered(seen, [], F.floor(F.col("doc_id") / F.lit(P.RANGE)), [F.col("doc_id")], "n_docs", first=1).select(F.col("doc_id").alias("flushed"), "n_docs", ((F.col("sum_before") + F.col("doc_len")) / F.col("n_docs")).alias("avg_len"))
+    seen = running_sum(ix.stats, F.col("doc_len"), [], schedule.div(F.col("doc_id"), P.RANGE), [F.col("doc_id")], "sum_before")
+    seen = P.numbered(seen, [], schedule.div(F.col("doc_id"), P.RANGE), [F.col("doc_id")], "n_docs", first=1).select(F.col("doc_id").alias("flushed"), "n_docs", ((F.col("sum_before") + F.col("doc_len")) / F.col("n_docs")).alias("avg_len"))
     upto = Window.partitionBy("term").orderBy("doc_id").rowsBetween(Window.unboundedPreceding, 0)
     df_then = seg.select("shard", "term", "seg_no", "doc_id", F.count(F.lit(1)).over(upto).alias("df")).groupBy("shard", "term", "seg_no").agg(F.max("df").alias("df"))
     stale = seg.join(at.join(seen, "flushed"), ["shard", "term", "seg_no"]).join(df_then, ["shard", "term", "seg_no"])
@@ -619,7 +619,7 @@ def asof_visible_docs(spark, sf_dir):
     log = e.groupBy("trigger_doc").agg(F.sum(n).alias("s"))
     from ..operators.numbering import running_sum
 
-    log = running_sum(log, F.col("s"), [], F.floor(F.col("trigger_doc") / F.lit(P.RANGE)), [F.col("trigger_doc")], "before").select(F.col("trigger_doc").alias("at"), F.struct("trigger_doc", (F.col("before") + F.col("s")).alias("segments")).alias("flush"))
+    log = running_sum(log, F.col("s"), [], schedule.div(F.col("trigger_doc"), P.RANGE), [F.col("trigger_doc")], "before").select(F.col("trigger_doc").alias("at"), F.struct("trigger_doc", (F.col("before") + F.col("s")).alias("segments")).alias("flush"))
     us = F.unix_micros(F.col("ts").cast("timestamp"))
     ev = read_table(spark, sf_dir, "events").select("event_id", us.alias("us"))
     span = ev.agg(F.min("us").alias("t0"), F.max("us").alias("t1"))
