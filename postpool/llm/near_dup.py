@@ -27,7 +27,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from ..runtime import materialise
+from ..runtime import materialise, shuffle_partitions
 from .common import pick
 
 WORDS, THRESHOLD = 5, 0.8
@@ -53,7 +53,7 @@ def split_words(text: str | None) -> list[str]:
 class Hasher:
     """Word to 64-bit hash, remembered within a worker up to a bound."""
 
-    def __init__(self, most: int = 500_000):
+    def __init__(self, most: int = 100_000):
         self.known: dict[str, int] = {}
         self.most = most
 
@@ -111,6 +111,8 @@ def estimate(a: np.ndarray, b: np.ndarray) -> float:
     return float((a == b).mean())
 
 
+#: Documents that are sketched together.
+SLICE = 250
 SKETCH = "doc_id long, key binary, n_shingles long, bands array<long>"
 
 
@@ -120,8 +122,8 @@ def sketch(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, size: int = WO
     def kernel(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hasher = Hasher()
         for whole in it:
-            for start in range(0, whole.num_rows, 1000):
-                batch = whole.slice(start, 1000)
+            for start in range(0, whole.num_rows, SLICE):
+                batch = whole.slice(start, SLICE)
                 keys, elements, weights, owner, counts = [], [], [], [], []
                 for i, text in enumerate(batch.column(1).to_pylist()):
                     words = split_words(text)
@@ -135,6 +137,7 @@ def sketch(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, size: int = WO
                 mixed ^= mix(np.arange(bands, dtype=np.uint64))
                 lists = [m if c else [] for m, c in zip(mixed.view(np.int64).tolist(), counts)]
                 yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(keys, pa.binary()), pa.array(counts, pa.int64()), pa.array(lists, pa.list_(pa.int64()))], names=["doc_id", "key", "n_shingles", "bands"])
+        pa.default_memory_pool().release_unused()
 
     return pick(docs, doc_id="long", text="string").mapInArrow(kernel, SKETCH)
 
@@ -153,6 +156,7 @@ def jaccard(pairs: DataFrame, size: int = WORDS) -> DataFrame:
                 both = len(np.intersect1d(other, held, assume_unique=True))
                 out.append(both / max(1, len(other) + len(held) - both))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.float64())], names=["a", "b", "similarity"])
+        pa.default_memory_pool().release_unused()
 
     return pairs.select("a", "b", "text_a", "text_b").mapInArrow(kernel, "a long, b long, similarity double")
 
@@ -168,28 +172,38 @@ def components(links: DataFrame) -> DataFrame:
     """(node, label): the smallest node of each connected component, for nodes with a link.
 
     Labels spread over links and then jump to their label's label; each round is written to the shared folder."""
-    both = materialise(links.unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "links")
-    labels = materialise(both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("label")).select(F.col("a").alias("node"), "label"), "labels")
+    files = files_for(links, 2 * links.count())
+    both = materialise(links.unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct().coalesce(files), "links")
+    labels = materialise(both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("label")).select(F.col("a").alias("node"), "label").coalesce(files), "labels")
     while True:
         heard = both.join(labels.withColumnRenamed("node", "b"), "b").groupBy("a").agg(F.min("label").alias("heard"))
         near = labels.join(heard, labels.node == heard.a, "left").select("node", "label", F.least("label", "heard").alias("next"))
         jump = labels.select(F.col("node").alias("next"), F.col("label").alias("far"))
-        new = materialise(near.join(jump, "next", "left").select("node", "label", F.least("next", "far").alias("fresh")), "labels")
+        new = materialise(near.join(jump, "next", "left").select("node", "label", F.least("next", "far").alias("fresh")).coalesce(files), "labels")
         if new.where("fresh < label").isEmpty():
             return labels
         labels = new.select("node", F.col("fresh").alias("label"))
 
 
-def centred(reps: DataFrame) -> DataFrame:
+#: Rows of a written table's file, as long as there are fewer than the shuffle partitions.
+FILE_ROWS = 10_000
+
+
+def files_for(df: DataFrame, rows: int) -> int:
+    """How many files a table of so many rows gets: small tables shouldn't be thousands of tiny files."""
+    return min(shuffle_partitions(df.sparkSession), max(4, -(-rows // FILE_ROWS)))
+
+
+def centred(reps: DataFrame, files: int) -> DataFrame:
     """(bucket, rep, n, centre, weight) of buckets with several representatives. A bucket's centre is the member that
     meets most others over all its buckets (`weight`), as an original among its edited copies does; ties to the smaller."""
     member = reps.where("rep IS NOT NULL").select("rep", "n", F.explode("bands").alias("bucket"))
     sizes = member.groupBy("bucket").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
-    shared = materialise(member.join(sizes, "bucket"), "buckets")
+    shared = materialise(member.join(sizes, "bucket").coalesce(files), "buckets")
     weight = shared.groupBy("rep").agg(F.sum("size").alias("weight"))
-    shared = materialise(shared.join(weight, "rep").select("bucket", "rep", "n", "weight"), "buckets")
+    shared = materialise(shared.join(weight, "rep").select("bucket", "rep", "n", "weight").coalesce(files), "buckets")
     centre = shared.groupBy("bucket").agg(F.max(F.struct("weight", (-F.col("rep")).alias("c"))).alias("m"))
-    return materialise(shared.drop("weight").join(centre, "bucket").select("bucket", "rep", "n", (-F.col("m.c")).alias("centre"), F.col("m.weight").alias("weight")), "buckets")
+    return materialise(shared.drop("weight").join(centre, "bucket").select("bucket", "rep", "n", (-F.col("m.c")).alias("centre"), F.col("m.weight").alias("weight")).coalesce(files), "buckets")
 
 
 def within_families(families: DataFrame, texts: DataFrame, threshold: float, size: int, block: int) -> DataFrame:
@@ -247,38 +261,40 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int =
     """(doc_id, class_id): one row per input row; class_id is the smallest document id of its class."""
     docs = pick(docs, doc_id="long", text="string")
     sketches = materialise(sketch(docs, bands, rows, size), "sketches")
-    reps = materialise(sketches.where("key IS NOT NULL").groupBy("key").agg(F.min("doc_id").alias("rep"), F.any_value("bands").alias("bands"), F.any_value("n_shingles").alias("n")), "representatives")
+    files = files_for(docs, sketches.count())
+    reps = sketches.where("key IS NOT NULL").groupBy("key").agg(F.min("doc_id").alias("rep"), F.any_value("bands").alias("bands"), F.any_value("n_shingles").alias("n"))
+    reps = materialise(reps.coalesce(files), "representatives")
 
-    shared = centred(reps)
-    pairs = materialise(shared.where("rep <> centre").select(F.greatest("rep", "centre").alias("a"), F.least("rep", "centre").alias("b")).distinct(), "pairs")
+    shared = centred(reps, files)
+    pairs = materialise(shared.where("rep <> centre").select(F.greatest("rep", "centre").alias("a"), F.least("rep", "centre").alias("b")).distinct().coalesce(files), "pairs")
     # a representative's text: the row of its id
     wanted = shared.select(F.col("rep").alias("doc_id")).distinct()
     texts = docs.where("text IS NOT NULL").join(wanted.hint("merge"), "doc_id", "left_semi").groupBy(F.col("doc_id").alias("rep")).agg(F.min("text").alias("text"))
-    texts = materialise(texts, "texts")
-    links = materialise(verified(pairs, texts, threshold, size), "verified")
+    texts = materialise(texts.coalesce(files), "texts")
+    links = materialise(verified(pairs, texts, threshold, size).repartition(files), "verified")  # few rows of many tasks
     labels = components(links)
 
     # what the centres leave open: components of one family (members with the same heaviest centre) ...
     hubs = shared.groupBy("rep").agg(F.max(F.struct("weight", (-F.col("centre")).alias("c"))).alias("m")).select("rep", (-F.col("m.c")).alias("hub"))
     labelled = hubs.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("rep", "hub", F.coalesce("label", "rep").alias("label"))
-    labelled = materialise(labelled, "families")
-    inside = materialise(within_families(labelled, texts, threshold, size, block), "verified")
+    labelled = materialise(labelled.coalesce(files), "families")
+    inside = materialise(within_families(labelled, texts, threshold, size, block).repartition(files), "verified")
 
     # ... and buckets where families meet: members of another family than the centre's against the others
     known = shared.select("bucket", "rep", "n", "centre").join(labelled, "rep")
     mixed = known.groupBy("bucket").agg(F.min("hub").alias("h0"), F.max("hub").alias("h1"), F.min("label").alias("l0"), F.max("label").alias("l1"), F.min(F.when(F.col("rep") == F.col("centre"), F.col("hub"))).alias("main")).where("h0 < h1 AND l0 < l1").select("bucket", "main")
-    known = materialise(known.join(mixed, "bucket"), "mixed")
+    known = materialise(known.join(mixed, "bucket").coalesce(files), "mixed")
     odd = known.where("hub <> main").select("bucket", F.col("rep").alias("a"), F.col("n").alias("n_a"), F.col("label").alias("label_a"), F.col("hub").alias("hub_a"))
     other = known.select("bucket", F.col("rep").alias("b"), F.col("n").alias("n_b"), F.col("label").alias("label_b"), F.col("hub").alias("hub_b"))
     fits = (F.col("label_a") != F.col("label_b")) & (F.col("hub_a") != F.col("hub_b")) & (F.least("n_a", "n_b") >= threshold * F.greatest("n_a", "n_b"))
     across = odd.join(other, "bucket").where(fits).select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
     across = across.join(pairs, ["a", "b"], "left_anti")
-    more = materialise(inside.unionByName(verified(across, texts, threshold, size)), "verified")
+    more = materialise(inside.unionByName(verified(across, texts, threshold, size).repartition(files)), "verified")
     if not more.isEmpty():
         labels = components(links.unionByName(more))
 
     final = reps.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("key", F.coalesce("label", "rep").alias("class_id"))
-    final = materialise(final, "classes")
+    final = materialise(final.coalesce(files), "classes")
     return sketches.select("doc_id", "key").join(final, "key", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"))
 
 
@@ -287,7 +303,8 @@ def keep_one(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS,
     text stay once. Null ids are a class of their own text each."""
     classes = near_duplicates(docs, threshold, bands, rows, size)
     kept = classes.where(F.col("doc_id").eqNullSafe(F.col("class_id"))).groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"))
-    kept = materialise(kept.select(F.col("doc_id").alias("kept_id"), "n"), "kept")
+    kept = kept.select(F.col("doc_id").alias("kept_id"), "n")
+    kept = materialise(kept.coalesce(files_for(docs, kept.count())), "kept")
     same = docs["doc_id"].cast("long").eqNullSafe(F.col("kept_id"))
     once = docs.join(kept.where("n = 1").hint("merge"), same, "left_semi")  # one plan at any size: ids of kept rows grow with the input
     if kept.where("n > 1").isEmpty():
