@@ -1,9 +1,11 @@
-"""Near duplicates by ProbMinHash over weighted word shingles, banding and exact verification.
+"""Near duplicates by ProbMinHash over word shingles, banding and exact verification.
 
 Sketch: each shingle is a Poisson process whose rate is its weight; an arrival draws a register, and a register keeps
 the shingle of its first arrival. Shingles leave as soon as their next arrival is later than every register's, so few
-of them go beyond one step. Equal registers estimate the probability Jaccard similarity. Weights are 1 + ln(count), so
-a text without repeated shingles has the plain Jaccard similarity.
+of them go beyond one step. Equal registers estimate the probability Jaccard similarity. Every text has the bands of a
+sketch with unit weights, whose similarity is the plain Jaccard similarity of the link rule, so that a link's chance to
+share a bucket doesn't depend on how often a shingle repeats. A text with repeated shingles also has the bands of a
+sketch with weights 1 + ln(count); without repeats the two sketches are the same.
 
 Classes: texts with equal words are first collapsed to their smallest document id. Bands of registers are bucket keys;
 every representative is verified against its buckets' centres, and connected components join what passes. What the
@@ -31,7 +33,8 @@ from ..runtime import materialise, shuffle_partitions
 from .common import pick
 
 WORDS, THRESHOLD = 5, 0.8
-#: Bands and registers of a band: a pair at the threshold misses all bands with probability 3e-5.
+#: Bands and registers of a band: a pair whose shingle sets are at the threshold misses all bands of unit weights with
+#: probability 3e-5, whatever the counts of its shingles are.
 BANDS, ROWS = 20, 4
 _WORD = re.compile(r"[^\W_]+")
 _M = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB))
@@ -106,6 +109,16 @@ def prob_minhash(elements: np.ndarray, weights: np.ndarray, owner: np.ndarray, n
     return held.reshape(n_docs, registers)
 
 
+def band_hashes(elements: list[np.ndarray], weights: list[np.ndarray], bands: int, rows: int) -> np.ndarray:
+    """[documents, bands] hash of each band of the documents' sketches."""
+    owner = np.repeat(np.arange(len(elements)), [len(e) for e in elements])
+    held = prob_minhash(np.concatenate(elements), np.concatenate(weights), owner, len(elements), bands * rows)
+    mixed = np.zeros((len(elements), bands), np.uint64)
+    for j in range(rows):
+        mixed = mix(mixed ^ held.reshape(-1, bands, rows)[:, :, j])
+    return mixed ^ mix(np.arange(bands, dtype=np.uint64))
+
+
 def estimate(a: np.ndarray, b: np.ndarray) -> float:
     """Estimated probability Jaccard similarity of two sketches."""
     return float((a == b).mean())
@@ -117,26 +130,28 @@ SKETCH = "doc_id long, key binary, n_shingles long, bands array<long>"
 
 
 def sketch(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, size: int = WORDS) -> DataFrame:
-    """SKETCH: digest of the word sequence (of the text if it has no word, null for null), and a hash for each band."""
+    """SKETCH: digest of the word sequence (of the text if it has no word, null for null), and the distinct hashes of
+    its bands: `bands` of unit weights, and for a text with repeated shingles as many of its weights."""
 
     def kernel(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hasher = Hasher()
         for whole in it:
             for start in range(0, whole.num_rows, SLICE):
                 batch = whole.slice(start, SLICE)
-                keys, elements, weights, owner, counts = [], [], [], [], []
-                for i, text in enumerate(batch.column(1).to_pylist()):
+                keys, elements, counts = [], [], []
+                for text in batch.column(1).to_pylist():
                     words = split_words(text)
                     keys.append(hashlib.md5(" ".join(words).encode() if words else b"\0" + text.encode()).digest() if text is not None else None)
                     found, n = np.unique(shingle_hashes(hasher(words), size), return_counts=True)
-                    elements.append(found), weights.append(1 + np.log(n)), owner.append(np.full(len(found), i)), counts.append(len(found))
-                held = prob_minhash(np.concatenate(elements), np.concatenate(weights), np.concatenate(owner), batch.num_rows, bands * rows)
-                mixed = np.zeros((batch.num_rows, bands), np.uint64)
-                for j in range(rows):
-                    mixed = mix(mixed ^ held.reshape(-1, bands, rows)[:, :, j])
-                mixed ^= mix(np.arange(bands, dtype=np.uint64))
-                lists = [m if c else [] for m, c in zip(mixed.view(np.int64).tolist(), counts)]
-                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(keys, pa.binary()), pa.array(counts, pa.int64()), pa.array(lists, pa.list_(pa.int64()))], names=["doc_id", "key", "n_shingles", "bands"])
+                    elements.append(found), counts.append(n)
+                plain = band_hashes(elements, [np.ones(len(n)) for n in counts], bands, rows)
+                lists = [m if len(n) else [] for m, n in zip(plain.view(np.int64).tolist(), counts)]
+                again = [i for i, n in enumerate(counts) if n.max(initial=1) > 1]
+                if again:
+                    weighted = band_hashes([elements[i] for i in again], [1 + np.log(counts[i]) for i in again], bands, rows)
+                    for i, m in zip(again, weighted.view(np.int64).tolist()):
+                        lists[i] = list(dict.fromkeys(lists[i] + m))
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(keys, pa.binary()), pa.array(map(len, counts), pa.int64()), pa.array(lists, pa.list_(pa.int64()))], names=["doc_id", "key", "n_shingles", "bands"])
         pa.default_memory_pool().release_unused()
 
     return pick(docs, doc_id="long", text="string").mapInArrow(kernel, SKETCH)

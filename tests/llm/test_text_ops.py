@@ -236,6 +236,19 @@ def test_dense_family(spark):
         assert got == want
 
 
+def test_pairs_apart_by_a_repeated_line(spark):
+    """Links whose weighted similarity is far below their Jaccard similarity, with production parameters."""
+    r = random.Random(4)
+    rows = []
+    for i in range(20):
+        text, line = (" ".join(f"w{r.randint(0, 10**9)}" for _ in range(n)) for n in (104, 15 + i % 4))
+        rows += [(2 * i, text), (2 * i + 1, f"{text} {' '.join([line] * r.choice([200, 500, 1000]))}")]
+    want = brute_classes(rows)
+    assert all(want[2 * i + 1] == 2 * i for i in range(20))
+    got = {x.doc_id: x.class_id for x in N.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == want
+
+
 def test_sketch_estimates_probability_jaccard():
     """Equal registers against the exact weighted similarity."""
     rng = np.random.default_rng(2)
