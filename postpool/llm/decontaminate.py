@@ -17,16 +17,21 @@ from __future__ import annotations
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame, functions as F
 
 from .common import filter_rows, pick
 
 WINDOW, SHARD_WORDS = 13, 1 << 20
-#: Benchmark text that is sent to each executor at most; a larger benchmark is refused, to be searched in parts.
-BLOCK_CHARS = 64 << 20
+#: Characters of a part of the benchmark, unless one item is longer. Each batch of documents is searched for part after
+#: part and its hit words are united, so that a larger benchmark takes more parts and is never refused.
+PART_CHARS = 4 << 20
+#: Numbers of a slice of suffix rows, unless one suffix is longer.
+SLICE_NUMBERS = 1 << 21
 _WORD = re.compile(rb"[0-9a-z\x80-\xff]+")
 
 
@@ -37,11 +42,10 @@ def words(text: str | None) -> list[bytes]:
 
 @dataclass
 class Targets:
-    """A block of benchmark items: vocabulary, suffixes as rows of word numbers, windows and their items."""
+    """A part of the benchmark: vocabulary, items as word numbers, windows and their items."""
 
     vocabulary: dict[bytes, int]
-    suffixes: np.ndarray
-    suffix_at: list[tuple[int | None, int]]
+    seqs: list[tuple[int | None, list[int]]]
     windows: list[tuple[int, np.ndarray]]
     items: list[tuple[int | None, ...]]
 
@@ -49,22 +53,37 @@ class Targets:
 def targets(items: list[tuple[int | None, str | None]], window: int = WINDOW) -> Targets:
     vocabulary: dict[bytes, int] = {}
     seqs = [(item, [vocabulary.setdefault(w, len(vocabulary) + 1) for w in words(text)]) for item, text in items]
-    longest = max((len(s) for _, s in seqs), default=0)
-    suffix_at = [(item, o) for item, s in seqs for o in range(len(s))]
-    suffixes = np.zeros((len(suffix_at), longest), np.int32)
     owners: dict[tuple[int, ...], set] = {}
-    row = 0
     for item, s in seqs:
-        for o in range(len(s)):
-            suffixes[row, : len(s) - o] = s[o:]
-            row += 1
         n = min(window, len(s))
         for o in range(len(s) - n + 1 if n else 0):
             owners.setdefault(tuple(s[o : o + n]), set()).add(item)
     by_length: dict[int, list] = {}
     for w in sorted(owners, key=lambda w: (len(w), w)):
         by_length.setdefault(len(w), []).append(w)
-    return Targets(vocabulary, suffixes, suffix_at, [(n, np.array(w, np.int32)) for n, w in by_length.items()], [tuple(owners[w]) for ws in by_length.values() for w in ws])
+    return Targets(vocabulary, seqs, [(n, np.array(w, np.int32)) for n, w in by_length.items()], [tuple(owners[w]) for ws in by_length.values() for w in ws])
+
+
+def suffix_rows(seqs: list[tuple[int | None, list[int]]], numbers: int = SLICE_NUMBERS) -> Iterator[tuple[list[tuple[int | None, int]], np.ndarray]]:
+    """((item, start) of each row, rows of word numbers filled with 0) of all suffixes, a slice at a time."""
+
+    def filled(some: list[tuple[int | None, int, list[int]]], width: int) -> tuple[list[tuple[int | None, int]], np.ndarray]:
+        out = np.zeros((len(some), width), np.int32)
+        for row, (_, o, s) in enumerate(some):
+            out[row, : len(s) - o] = s[o:]
+        return [(item, o) for item, o, _ in some], out
+
+    some, width = [], 0
+    for item, s in seqs:
+        for o in range(len(s)):
+            wider = max(width, len(s) - o)
+            if some and wider * (len(some) + 1) > numbers:
+                yield filled(some, width)
+                some, wider = [], len(s) - o
+            some.append((item, o, s))
+            width = wider
+    if some:
+        yield filled(some, width)
 
 
 def suffix_array(ids: np.ndarray, depth: int) -> np.ndarray:
@@ -135,13 +154,13 @@ def common_prefix(ids: np.ndarray, at: np.ndarray, patterns: np.ndarray) -> np.n
     return np.cumprod(same, axis=1).sum(axis=1)
 
 
-def longest_in_shard(ids: np.ndarray, array: np.ndarray, wanted: Targets) -> tuple[np.ndarray, np.ndarray]:
+def longest_in_shard(ids: np.ndarray, array: np.ndarray, suffixes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(length, place) of the longest verbatim match of each benchmark suffix: it lies beside the place it would take."""
-    if not len(array) or not len(wanted.suffixes):
-        return np.zeros(len(wanted.suffixes), np.int64), np.zeros(len(wanted.suffixes), np.int64)
-    place = bound(ids, array, wanted.suffixes)
+    if not len(array):
+        return np.zeros(len(suffixes), np.int64), np.zeros(len(suffixes), np.int64)
+    place = bound(ids, array, suffixes)
     below, above = array[np.maximum(place - 1, 0)], array[np.minimum(place, len(array) - 1)]
-    a, b = common_prefix(ids, below, wanted.suffixes), common_prefix(ids, above, wanted.suffixes)
+    a, b = common_prefix(ids, below, suffixes), common_prefix(ids, above, suffixes)
     return np.maximum(a, b), np.where(a >= b, below, above)
 
 
@@ -176,13 +195,40 @@ def _shards(it: Iterator[pa.RecordBatch], vocabulary: dict[bytes, int], size: in
         yield docs, np.concatenate(parts), np.cumsum([0, *map(len, parts)])
 
 
-def bounded_items(benchmark: DataFrame, limit: int = BLOCK_CHARS) -> list[tuple[int | None, str | None]]:
-    """The benchmark's items, once their size is known to be within the limit; ValueError beyond it."""
+def parts(benchmark: DataFrame, limit: int | None = None, part: int = PART_CHARS) -> list[Broadcast]:
+    """The benchmark's items in broadcasts of at most `part` characters, or of one longer item; an item counts 16 more.
+    ValueError if a limit is given and all of them are beyond it."""
     items = pick(benchmark, item_id="long", text="string")
-    chars, n = items.agg(F.coalesce(F.sum(F.length("text")), F.lit(0)), F.count(F.lit(1))).first()
-    if chars + 16 * n > limit:
-        raise ValueError(f"a benchmark of {chars} characters; search it in parts of at most {limit}")
-    return [(r.item_id, r.text) for r in items.collect()]
+    if limit is not None:
+        chars, n = items.agg(F.coalesce(F.sum(F.length("text")), F.lit(0)), F.count(F.lit(1))).first()
+        if chars + 16 * n > limit:
+            raise ValueError(f"a benchmark of {chars} characters is beyond the limit of {limit}")
+    send = benchmark.sparkSession.sparkContext.broadcast
+    out, some, size = [], [], 0
+    for r in items.toLocalIterator():
+        n = len(r.text or "") + 16
+        if some and size + n > part:
+            out.append(send(some))
+            some, size = [], 0
+        some.append((r.item_id, r.text))
+        size += n
+    return [*out, send(some)] if some or not out else out
+
+
+class Wanted:
+    """Targets of a benchmark's parts, built one part at a time in a worker; those of a single part are kept."""
+
+    def __init__(self, shared: list[Broadcast], window: int):
+        self.shared, self.window, self.kept = shared, window, None
+
+    def __iter__(self) -> Iterator[Targets]:
+        if len(self.shared) == 1:
+            self.kept = self.kept or targets(self.shared[0].value, self.window)
+            yield self.kept
+            return
+        for one in self.shared:
+            yield targets(one.value, self.window)
+            one.__dict__.pop("_value", None)  # read again from the worker's disk for the next batch
 
 
 FOUND = "n_words long, n_hit long, item_ids array<string>, hits array<struct<start:long,length:long>>"
@@ -212,16 +258,35 @@ def search(texts: list[str | None], wanted: Targets, shard_words: int = SHARD_WO
             yield int(starts[d + 1] - starts[d] - 1), n_hit, sorted("null" if i is None else str(i) for i in listed.get(d, ())), runs
 
 
-def find(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, shard_words: int = SHARD_WORDS, limit: int = BLOCK_CHARS) -> DataFrame:
-    """(doc_id, FOUND): hits are maximal runs of hit words. No shuffle; the benchmark is one broadcast of checked size."""
-    shared = docs.sparkSession.sparkContext.broadcast(bounded_items(benchmark, limit))
+def united(found: tuple[tuple[int, int, list[str], list[dict]], ...]) -> tuple[int, int, list[str], list[dict]]:
+    """FOUND of a text from its FOUND by each part of the benchmark: hits of several parts may overlap or touch."""
+    runs: list[dict] = []
+    for r in sorted((r for _, _, _, rs in found for r in rs), key=lambda r: r["start"]):
+        if runs and r["start"] <= runs[-1]["start"] + runs[-1]["length"]:
+            runs[-1]["length"] = max(runs[-1]["length"], r["start"] + r["length"] - runs[-1]["start"])
+        else:
+            runs.append(dict(r))
+    return found[0][0], sum(r["length"] for r in runs), sorted({i for _, _, ids, _ in found for i in ids}), runs
+
+
+def search_parts(texts: list[str | None], wanted: Wanted, shard_words: int = SHARD_WORDS) -> list[tuple[int, int, list[str], list[dict]]]:
+    """FOUND of each text by all parts of the benchmark."""
+    out: list = []
+    for one in wanted:
+        found = list(search(texts, one, shard_words))
+        out = [united(pair) if pair[1][1] else pair[0] for pair in zip(out, found)] if out else found
+    return out
+
+
+def find(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, shard_words: int = SHARD_WORDS, limit: int | None = None, part: int = PART_CHARS) -> DataFrame:
+    """(doc_id, FOUND): hits are maximal runs of hit words. No shuffle; the benchmark is broadcast in parts."""
+    wanted = Wanted(parts(benchmark, limit, part), window)
 
     def kernel(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        wanted = targets(shared.value, window)
         kinds = (pa.int64(), pa.int64(), pa.list_(pa.string()), pa.list_(pa.struct([("start", pa.int64()), ("length", pa.int64())])))
         for batch in it:
             if batch.num_rows:
-                found = zip(*search(batch.column(1).to_pylist(), wanted, shard_words))
+                found = zip(*search_parts(batch.column(1).to_pylist(), wanted, shard_words))
                 yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(found, kinds))], names=["doc_id", "n_words", "n_hit", "item_ids", "hits"])
 
     return pick(docs, doc_id="long", text="string").mapInArrow(kernel, f"doc_id long, {FOUND}")
@@ -231,10 +296,10 @@ def find(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, shard_word
 SHARE = 20
 
 
-def drop_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, share: int = SHARE, limit: int = BLOCK_CHARS) -> DataFrame:
+def drop_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, share: int = SHARE, limit: int | None = None, part: int = PART_CHARS) -> DataFrame:
     """docs without the contaminated rows, all columns as they were."""
-    shared = docs.sparkSession.sparkContext.broadcast(bounded_items(benchmark, limit))
-    return filter_rows(docs, "text", lambda texts: [not (hit > 0 and share * hit >= n) for n, hit, _, _ in search(texts, targets(shared.value, window))])
+    wanted = Wanted(parts(benchmark, limit, part), window)
+    return filter_rows(docs, "text", lambda texts: [not (hit > 0 and share * hit >= n) for n, hit, _, _ in search_parts(texts, wanted)])
 
 
 def is_contaminated():
@@ -242,19 +307,25 @@ def is_contaminated():
     return (F.col("n_hit") > 0) & (SHARE * F.col("n_hit") >= F.col("n_words"))
 
 
-def longest_matches(docs: DataFrame, benchmark: DataFrame, shard_words: int = SHARD_WORDS) -> DataFrame:
+def longest_matches(docs: DataFrame, benchmark: DataFrame, shard_words: int = SHARD_WORDS, part: int = PART_CHARS) -> DataFrame:
     """(item_id, start, length, doc_id, place): for every benchmark suffix its longest verbatim match over all shards
-    and the first document (by id) and word place that has it; length 0 and null where no word occurs."""
-    shared = docs.sparkSession.sparkContext.broadcast(bounded_items(benchmark))
-
-    def kernel(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        wanted = targets(shared.value)
-        for names, ids, starts in _shards(it, wanted.vocabulary, shard_words):
-            length, place = longest_in_shard(ids, suffix_array(ids, max(1, wanted.suffixes.shape[1])), wanted)
-            doc = np.searchsorted(starts, place, "right") - 1
-            rows = [(item, o, int(n), names[d] if n else None, int(p - starts[d]) if n else None) for (item, o), n, d, p in zip(wanted.suffix_at, length, doc, place)]
-            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (zip(*rows) if rows else [[]] * 5)], names=["item_id", "start", "length", "doc_id", "place"])
-
-    out = pick(docs, doc_id="long", text="string").mapInArrow(kernel, "item_id long, start long, length long, doc_id long, place long")
+    and the first document (by id) and word place that has it; length 0 and null where no word occurs. The documents
+    are read once for each part of the benchmark."""
+
+    def searched(shared: Broadcast) -> DataFrame:
+        def kernel(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            wanted = targets(shared.value)
+            depth = max((len(s) for _, s in wanted.seqs), default=1)
+            for names, ids, starts in _shards(it, wanted.vocabulary, shard_words):
+                array = suffix_array(ids, max(1, depth))
+                for suffix_at, suffixes in suffix_rows(wanted.seqs):
+                    length, place = longest_in_shard(ids, array, suffixes)
+                    doc = np.searchsorted(starts, place, "right") - 1
+                    rows = [(item, o, int(n), names[d] if n else None, int(p - starts[d]) if n else None) for (item, o), n, d, p in zip(suffix_at, length, doc, place)]
+                    yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows)], names=["item_id", "start", "length", "doc_id", "place"])
+
+        return pick(docs, doc_id="long", text="string").mapInArrow(kernel, "item_id long, start long, length long, doc_id long, place long")
+
+    out = reduce(DataFrame.unionByName, map(searched, parts(benchmark, part=part)))
     best = F.min(F.struct((-F.col("length")).alias("n"), "doc_id", "place"))
     return out.groupBy("item_id", "start").agg(best.alias("b")).select("item_id", "start", (-F.col("b.n")).alias("length"), "b.doc_id", "b.place")

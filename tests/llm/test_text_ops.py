@@ -331,6 +331,33 @@ def test_longest_matches(spark):
     assert got == {0: (6, 2, 0), 1: (5, 2, 1), 2: (4, 2, 2), 3: (3, 2, 3), 4: (2, 2, 4), 5: (1, 2, 5)}
 
 
+@pytest.mark.parametrize("part", [1, 60, 1 << 20])
+def test_benchmark_in_parts(spark, part):
+    """Hits that overlap or touch across parts count once; parts change no result."""
+    r = random.Random(3)
+    items = [(i, " ".join(r.choice("ab") for _ in range(r.randint(0, 9)))) for i in range(8)] + [(None, "c d e"), (9, "e f g"), (10, None)]
+    docs = [(i, " ".join(r.choice("abcdefg") for _ in range(r.randint(0, 30)))) for i in range(30)] + [(90, "x c d e f g x"), (91, None), (92, "c d e e f g")]
+    d, b = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
+    found = D.find(d, b, window=3, part=part)
+    want = naive(docs, items, window=3)
+    assert digest(found) == want
+    for row in found.collect():
+        assert sum(h.length for h in row.hits) == row.n_hit and all(x.start + x.length < y.start for x, y in zip(row.hits, row.hits[1:]))
+    kept = {x.doc_id for x in D.drop_contaminated(d, b, window=3, part=part).collect()}
+    assert kept == {i for i, n, hit, _ in want if not (hit and 20 * hit >= n)}
+    lengths = lambda p: sorted((x.item_id or -1, x.start, x.length) for x in D.longest_matches(d, b, part=p).collect())
+    assert lengths(part) == lengths(1 << 20)
+
+
+def test_a_long_item_needs_no_matrix():
+    """50,000 words: the item's suffixes would be 10 GB in one matrix."""
+    wanted = D.targets([(1, " ".join(f"w{i}" for i in range(50_000)))])
+    assert len(wanted.items) == 50_000 - 12
+    at, first = next(D.suffix_rows(wanted.seqs))
+    assert at[0] == (1, 0) and first.nbytes <= 4 * D.SLICE_NUMBERS
+    assert [(a, m.tolist()) for a, m in D.suffix_rows([(1, [5, 6, 7]), (2, [8])], 4)] == [([(1, 0)], [[5, 6, 7]]), ([(1, 1), (1, 2)], [[6, 7], [7, 0]]), ([(2, 0)], [[8]])]
+
+
 def test_decontamination_edges(spark):
     bench = spark.createDataFrame([(1, PLAIN)], "item_id long, text string")
     out = D.find(documents(spark), bench)
