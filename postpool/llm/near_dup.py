@@ -7,7 +7,8 @@ sketch with unit weights, whose similarity is the plain Jaccard similarity of th
 share a bucket doesn't depend on how often a shingle repeats. A text with repeated shingles also has the bands of a
 sketch with weights 1 + ln(count); without repeats the two sketches are the same.
 
-Classes: texts with equal words are first collapsed to their smallest document id. Bands of registers are bucket keys;
+Classes: texts with equal words are first collapsed to one representative, named by a number of its own and not by a
+document id; its text is the row's with its smallest id and text digest. Bands of registers are bucket keys;
 every representative is verified against its buckets' centres, and connected components join what passes. What the
 centres leave apart is compared in full, with links as the only output: members of one family outside its largest
 component against the family, and members of different families that share a bucket. So no similar pair that shares a
@@ -15,7 +16,9 @@ bucket stays unlinked. Verification is exact: Jaccard of the sets of five-word s
 
 Edge cases: texts without a word form classes by equal text; a null text is a class of its own (by row id if that is
 null too: all such rows share class null); texts of fewer words than a shingle are one shingle; repeated rows get the
-same class; equal ids with different texts are linked through their own texts, and each row gets its own class; empty
+same class; equal ids with different texts are linked through their own texts, and each row gets its own class (two
+unlike classes can have the same smallest id, and keep_one keeps a row of each); rows without id are linked alike, and
+a class of them alone has class null; empty
 tables give no rows; other columns are ignored.
 """
 
@@ -126,11 +129,16 @@ def estimate(a: np.ndarray, b: np.ndarray) -> float:
 
 #: Documents that are sketched together.
 SLICE = 250
-SKETCH = "doc_id long, key binary, n_shingles long, bands array<long>"
+SKETCH = "doc_id long, mark binary, key binary, n_shingles long, bands array<long>"
+
+
+def marked(docs: DataFrame) -> DataFrame:
+    """(doc_id, text, mark): a row is known by its id and mark, the digest of its text."""
+    return pick(docs, doc_id="long", text="string").withColumn("mark", F.unhex(F.md5("text")))
 
 
 def sketch(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, size: int = WORDS) -> DataFrame:
-    """SKETCH: digest of the word sequence (of the text if it has no word, null for null), and the distinct hashes of
+    """SKETCH: digests of the text and of the word sequence (of the text if it has no word, null for null), and the distinct hashes of
     its bands: `bands` of unit weights, and for a text with repeated shingles as many of its weights."""
 
     def kernel(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -151,10 +159,10 @@ def sketch(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, size: int = WO
                     weighted = band_hashes([elements[i] for i in again], [1 + np.log(counts[i]) for i in again], bands, rows)
                     for i, m in zip(again, weighted.view(np.int64).tolist()):
                         lists[i] = list(dict.fromkeys(lists[i] + m))
-                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(keys, pa.binary()), pa.array(map(len, counts), pa.int64()), pa.array(lists, pa.list_(pa.int64()))], names=["doc_id", "key", "n_shingles", "bands"])
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(keys, pa.binary()), pa.array(map(len, counts), pa.int64()), pa.array(lists, pa.list_(pa.int64()))], names=["doc_id", "mark", "key", "n_shingles", "bands"])
         pa.default_memory_pool().release_unused()
 
-    return pick(docs, doc_id="long", text="string").mapInArrow(kernel, SKETCH)
+    return marked(docs).mapInArrow(kernel, SKETCH)
 
 
 def jaccard(pairs: DataFrame, size: int = WORDS) -> DataFrame:
@@ -212,7 +220,7 @@ def files_for(df: DataFrame, rows: int) -> int:
 def centred(reps: DataFrame, files: int) -> DataFrame:
     """(bucket, rep, n, centre, weight) of buckets with several representatives. A bucket's centre is the member that
     meets most others over all its buckets (`weight`), as an original among its edited copies does; ties to the smaller."""
-    member = reps.where("rep IS NOT NULL").select("rep", "n", F.explode("bands").alias("bucket"))
+    member = reps.select("rep", "n", F.explode("bands").alias("bucket"))
     sizes = member.groupBy("bucket").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
     shared = materialise(member.join(sizes, "bucket").coalesce(files), "buckets")
     weight = shared.groupBy("rep").agg(F.sum("size").alias("weight"))
@@ -274,17 +282,25 @@ BLOCK = 96
 
 def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, size: int = WORDS, block: int = BLOCK) -> DataFrame:
     """(doc_id, class_id): one row per input row; class_id is the smallest document id of its class."""
+    return classified(docs, threshold, bands, rows, size, block).select("doc_id", "class_id")
+
+
+def classified(docs: DataFrame, threshold: float, bands: int, rows: int, size: int, block: int = BLOCK) -> DataFrame:
+    """(doc_id, mark, label, class_id) of each row; label tells classes apart, and is null for null texts."""
     docs = pick(docs, doc_id="long", text="string")
     sketches = materialise(sketch(docs, bands, rows, size), "sketches")
     files = files_for(docs, sketches.count())
-    reps = sketches.where("key IS NOT NULL").groupBy("key").agg(F.min("doc_id").alias("rep"), F.any_value("bands").alias("bands"), F.any_value("n_shingles").alias("n"))
-    reps = materialise(reps.coalesce(files), "representatives")
+    # the smallest id with its mark; rows without id only where there is no other
+    row = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "mark"))
+    reps = sketches.where("key IS NOT NULL").groupBy("key").agg(row.alias("row"), F.any_value("bands").alias("bands"), F.any_value("n_shingles").alias("n"))
+    # numbers are given as the table is written, once
+    reps = materialise(reps.coalesce(files).select(F.monotonically_increasing_id().alias("rep"), "key", "row.doc_id", "row.mark", "bands", "n"), "representatives")
 
     shared = centred(reps, files)
     pairs = materialise(shared.where("rep <> centre").select(F.greatest("rep", "centre").alias("a"), F.least("rep", "centre").alias("b")).distinct().coalesce(files), "pairs")
-    # a representative's text: the row of its id
-    wanted = shared.select(F.col("rep").alias("doc_id")).distinct()
-    texts = docs.where("text IS NOT NULL").join(wanted.hint("merge"), "doc_id", "left_semi").groupBy(F.col("doc_id").alias("rep")).agg(F.min("text").alias("text"))
+    # a representative's text: the row of its id and mark
+    wanted = reps.join(shared.select("rep").distinct().hint("merge"), "rep", "left_semi").select("rep", F.col("doc_id").alias("its_id"), F.col("mark").alias("its_mark"))
+    texts = marked(docs).where("text IS NOT NULL").join(wanted.hint("merge"), (F.col("mark") == F.col("its_mark")) & F.col("doc_id").eqNullSafe(F.col("its_id"))).groupBy("rep").agg(F.min("text").alias("text"))
     texts = materialise(texts.coalesce(files), "texts")
     links = materialise(verified(pairs, texts, threshold, size).repartition(files), "verified")  # few rows of many tasks
     labels = components(links)
@@ -308,19 +324,26 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int =
     if not more.isEmpty():
         labels = components(links.unionByName(more))
 
-    final = reps.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("key", F.coalesce("label", "rep").alias("class_id"))
-    final = materialise(final.coalesce(files), "classes")
-    return sketches.select("doc_id", "key").join(final, "key", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"))
+    named = reps.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("key", "doc_id", F.coalesce("label", "rep").alias("label"))
+    named = materialise(named.coalesce(files), "classes")
+    smallest = named.groupBy("label").agg(F.min("doc_id").alias("class_id"))
+    final = materialise(named.drop("doc_id").join(smallest, "label").coalesce(files), "classes")
+    out = sketches.select("doc_id", "mark", "key").join(final, "key", "left")
+    return out.select("doc_id", "mark", "label", F.when(F.col("label").isNull(), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"))
 
 
 def keep_one(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, size: int = WORDS) -> DataFrame:
-    """docs, all columns as they were, with the document of the smallest id of each class; repeated rows of one id and
-    text stay once. Null ids are a class of their own text each."""
-    classes = near_duplicates(docs, threshold, bands, rows, size)
-    kept = classes.where(F.col("doc_id").eqNullSafe(F.col("class_id"))).groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"))
-    kept = kept.select(F.col("doc_id").alias("kept_id"), "n")
+    """docs, all columns as they were, with the document of the smallest id of each class (of several texts of that id
+    the one with the smallest digest); repeated rows of one id and text stay once. Of rows without id each text stays
+    that no row with an id is like."""
+    classes = classified(docs, threshold, bands, rows, size)
+    counted = classes.where(F.col("doc_id").eqNullSafe(F.col("class_id"))).groupBy("label", "doc_id", "mark").agg(F.count(F.lit(1)).alias("n"))
+    counted = materialise(counted.coalesce(files_for(docs, counted.count())), "kept")
+    first = counted.where("label IS NOT NULL AND doc_id IS NOT NULL").groupBy("label").agg(F.min(F.struct("mark", "doc_id", "n")).alias("m")).select("m.*")
+    alone = counted.where("label IS NULL OR doc_id IS NULL").select("mark", "doc_id", "n")
+    kept = first.unionByName(alone).select(F.col("doc_id").alias("kept_id"), F.col("mark").alias("kept_mark"), "n")
     kept = materialise(kept.coalesce(files_for(docs, kept.count())), "kept")
-    same = docs["doc_id"].cast("long").eqNullSafe(F.col("kept_id"))
+    same = docs["doc_id"].cast("long").eqNullSafe(F.col("kept_id")) & F.unhex(F.md5(docs["text"].cast("string"))).eqNullSafe(F.col("kept_mark"))
     once = docs.join(kept.where("n = 1").hint("merge"), same, "left_semi")  # one plan at any size: ids of kept rows grow with the input
     if kept.where("n > 1").isEmpty():
         return once

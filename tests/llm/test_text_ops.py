@@ -276,6 +276,19 @@ def test_near_duplicate_edges(spark):
     assert N.keep_one(empty(spark)).count() == 0
 
 
+def test_one_id_with_two_texts(spark):
+    """Each row is linked by its own text, and keep_one takes rows, not ids."""
+    r = random.Random(8)
+    text = lambda: " ".join(f"w{r.randint(0, 10**9)}" for _ in range(100))
+    a, b, c, d = text(), text(), text(), text()
+    rows = [(1, a), (5, b), (5, a + " end"), (7, b + " end"), (8, c), (8, c + " end"), (None, d), (None, a + " null")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted((x.doc_id or 0, x.class_id or 0) for x in N.near_duplicates(docs).collect())
+    assert got == [(0, 0), (0, 1), (1, 1), (5, 1), (5, 5), (7, 5), (8, 8), (8, 8)]
+    kept = sorted((x.doc_id or 0, x.text) for x in N.keep_one(docs).collect())
+    assert [i for i, _ in kept] == [0, 1, 5, 8] and kept[:3] == [(0, d), (1, a), (5, b)] and kept[3][1] in (c, c + " end")
+
+
 def test_large_group_of_copies(spark):
     """A third of all rows are one text, another share are one text with a different ending."""
     rows = [(i, PLAIN + " " + PLAIN[::-1]) for i in range(400)] + [(1000 + i, PLAIN + " " + PLAIN[::-1] + f" end{i % 50}") for i in range(300)] + [(5000 + i, hashlib.md5(str(i).encode()).hexdigest()) for i in range(400)]
