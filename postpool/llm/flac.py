@@ -2,8 +2,12 @@
 
 The decoder reads constant, verbatim, fixed and LPC subframes, Rice partitions of any order with escapes, verifies the
 header CRC-8, the frame CRC-16 and the MD5 of the samples, and gives PCM blocks with their sample offsets; the seek
-table leads to any block without the ones before it. The encoder writes the smallest of constant, verbatim and the
-fixed linear predictors of order 0 to 4 (and LPC of a given order when asked).
+table leads to any block without the ones before it. The encoder writes the smallest of constant, verbatim, the fixed
+linear predictors of order 0 to 4 and LPC of a given order. A sample of an LPC frame needs the ones before it, so the
+decoder walks many frames side by side, one sample of each a step.
+
+`stored` writes media to the shared folder and gives the table read back; `write_pcm` decodes media to a table of PCM
+blocks that any block is found in by document and sample offset.
 
 Edge cases: a null text is empty; a payload is never empty (padding to a positive multiple of 64); equal payloads give
 equal media; very long texts are worked on block by block; an empty table gives no rows; other columns are ignored.
@@ -21,9 +25,12 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
+from ..runtime import materialise
 from .common import batches, pick
 
-BLOCK, PAD, RATE = 4096, 64, 8000
+BLOCK, PAD, RATE, LPC_ORDER = 4096, 64, 8000, 8
+#: Samples that are decoded together: frames of several streams up to so many.
+TOGETHER = 1 << 21
 STREAM_HEAD = b"fLaC"
 #: Coefficients of the fixed predictors by order (fixed values of the format).
 FIXED = ((), (1,), (2, -1), (3, -3, 1), (4, -6, 4, -1))
@@ -138,11 +145,11 @@ def _lpc(x: np.ndarray, order: int) -> tuple[np.ndarray, int, np.ndarray] | None
     c = np.linalg.solve(m, r[1:])
     shift = max(0, min(15, 13 - int(np.frexp(np.abs(c).max())[1])))
     q = np.clip(np.rint(c * (1 << shift)), -(1 << 13), (1 << 13) - 1).astype(np.int64)
-    guess = sum(int(q[i]) * x[order - 1 - i : len(x) - 1 - i] for i in range(order)) >> shift
+    guess = np.correlate(f[:-1], q[::-1].astype(float)).astype(np.int32) >> shift  # whole numbers below 2**53
     return q, shift, x[order:] - guess
 
 
-def _subframe(x: np.ndarray, lpc_order: int = 0) -> np.ndarray:
+def _subframe(x: np.ndarray, lpc_order: int = LPC_ORDER) -> np.ndarray:
     """Bits of the smallest subframe of these samples."""
     n = len(x)
     raw = lambda v: np.unpackbits(v.astype(np.int8).view(np.uint8))
@@ -161,7 +168,7 @@ def _subframe(x: np.ndarray, lpc_order: int = 0) -> np.ndarray:
         best, bits = ("fixed", (order, z, k)), 8 + 8 * order + 10 + cost
     if 0 < lpc_order < n and (fit := _lpc(x, lpc_order)):
         q, shift, residual = fit
-        zl = (residual << 1) ^ (residual >> 63)
+        zl = (residual << 1) ^ (residual >> 31)
         kl, cost = _rice_bits(zl)
         if 8 + 8 * lpc_order + 9 + 15 * lpc_order + 10 + cost < bits:
             best = ("lpc", (q, shift, zl, kl))
@@ -177,7 +184,7 @@ def _subframe(x: np.ndarray, lpc_order: int = 0) -> np.ndarray:
     return np.concatenate([*head, _put(k, 10), _rice(z, k)])
 
 
-def encode(payload: bytes, block: int = BLOCK, lpc_order: int = 0) -> bytes:
+def encode(payload: bytes, block: int = BLOCK, lpc_order: int = LPC_ORDER) -> bytes:
     """The payload as a FLAC stream of mono 8-bit samples (byte less 128), with a seek point for each frame."""
     data = np.frombuffer(payload, np.uint8).astype(np.int32) - 128
     frames = []
@@ -307,16 +314,35 @@ def _restore(warm: np.ndarray, residual: np.ndarray, order: int) -> np.ndarray:
     return np.concatenate([warm, residual])
 
 
-def _predict(warm: np.ndarray, residual: np.ndarray, q: list[int], shift: int) -> np.ndarray:
-    out, order = warm.tolist(), len(q)
-    back = q[::-1]
-    for r in residual.tolist():
-        out.append(r + (sum(c * v for c, v in zip(back, out[-order:])) >> shift))
-    return np.array(out, np.int64)
+def _predict(frames: list[tuple[np.ndarray, np.ndarray, list[int], int]]) -> list[np.ndarray]:
+    """Undo the predictors of LPC frames (warm-up, residual, coefficients, shift), longest first so that frames that
+    have ended leave the right side of the matrix."""
+    if not frames:
+        return []
+    order = sorted(range(len(frames)), key=lambda i: -len(frames[i][1]))
+    deep = max(len(f[2]) for f in frames)
+    lengths = np.array([len(frames[i][1]) for i in order])
+    steps = int(lengths[0])
+    wide = np.int32 if max(int(np.abs(f[2]).sum()) for f in frames) << 7 < 1 << 31 else np.int64  # of 8-bit samples
+    samples, rest = np.zeros((deep + steps, len(frames)), wide), np.zeros((steps, len(frames)), wide)
+    by, shift = np.zeros((deep, len(frames)), wide), np.zeros(len(frames), wide)
+    for column, i in enumerate(order):
+        warm, residual, q, down = frames[i]
+        samples[deep - len(q) : deep, column], rest[: len(residual), column] = warm, residual
+        by[deep - len(q) :, column], shift[column] = q[::-1], down
+    live = np.searchsorted(-lengths, -np.arange(steps), "left")  # frames longer than so many steps
+    for t, n in enumerate(live.tolist()):
+        guess = np.einsum("ij,ij->j", samples[t : t + deep, :n], by[:, :n])
+        samples[t + deep, :n] = rest[t, :n] + (guess >> shift[:n])
+    out: list = [None] * len(frames)
+    for column, i in enumerate(order):
+        out[i] = samples[deep - len(frames[i][2]) : deep + lengths[column], column]
+    return out
 
 
-def decode_frame(stream: bytes, at: int, end: int, width: int = 8) -> tuple[int, np.ndarray]:
-    """(frame number, samples) of the frame in stream[at:end]; both checksums are verified."""
+def read_frame(stream: bytes, at: int, end: int) -> tuple[int, np.ndarray | tuple]:
+    """(frame number, samples, or what `_predict` makes samples of) of the frame in stream[at:end]; both checksums are
+    verified."""
     data = stream[at:end]
     if data[0] != 0xFF or data[1] != 0xF8 or data[3] >> 4:
         raise ValueError("not a mono frame of fixed block size")
@@ -347,22 +373,55 @@ def decode_frame(stream: bytes, at: int, end: int, width: int = 8) -> tuple[int,
         return number, _restore(warm, bits.residual(n, order), order)
     precision = bits.take(4) + 1
     shift = bits.signed(5)
-    q = [bits.signed(precision) for _ in range(order)]
-    return number, _predict(warm, bits.residual(n, order), q, shift)
+    q = bits.raw(order, precision).tolist()
+    return number, (warm, bits.residual(n, order), q, shift)
+
+
+def _samples(read: list[tuple[int, np.ndarray | tuple]]) -> Iterator[tuple[int, np.ndarray]]:
+    """(frame number, samples) of frames read, in their order."""
+    undone = iter(_predict([x for _, x in read if isinstance(x, tuple)]))
+    for number, x in read:
+        yield number, next(undone) if isinstance(x, tuple) else x
+
+
+def decode_all(streams: list[bytes], together: int = TOGETHER) -> Iterator[tuple[int, int, bytes]]:
+    """(stream's place in the list, sample offset, PCM bytes) of each block of each stream in turn; after a stream's last
+    block the MD5 of its samples is verified. At most `together` samples, or one frame, are held at once."""
+    read: list[tuple[int, int, np.ndarray | tuple]] = []
+    held, whole, open_ = 0, hashlib.md5(), -1
+    heads = {}
+
+    def close(i: int) -> None:
+        if i >= 0 and whole.digest() != heads.pop(i)["md5"]:
+            raise ValueError("MD5 of the samples differs")
+
+    def blocks() -> Iterator[tuple[int, int, bytes]]:
+        nonlocal whole, open_
+        for (i, _, _), (number, x) in zip(read, _samples([(n, x) for _, n, x in read])):
+            if i != open_:
+                close(open_)
+                whole, open_ = hashlib.md5(), i
+            pcm = x.astype(np.int8)
+            whole.update(pcm.tobytes())
+            yield i, number * heads[i]["block"], (pcm.view(np.uint8) ^ 0x80).tobytes()
+
+    for i, stream in enumerate(streams):
+        heads[i] = head = read_head(stream)
+        starts = [head["start"] + p[1] for p in head["points"]]
+        for at, end in zip(starts, [*starts[1:], len(stream)]):
+            read.append((i, *read_frame(stream, at, end)))
+            held += head["block"]
+            if held >= together:
+                yield from blocks()
+                read, held = [], 0
+    yield from blocks()
+    close(open_)
 
 
 def decode_blocks(stream: bytes) -> Iterator[tuple[int, bytes]]:
     """(sample offset, PCM bytes) of each block; after the last the MD5 of all samples is verified."""
-    head = read_head(stream)
-    starts = [head["start"] + p[1] for p in head["points"]]
-    whole = hashlib.md5()
-    for at, end in zip(starts, [*starts[1:], len(stream)]):
-        number, x = decode_frame(stream, at, end)
-        pcm = x.astype(np.int8)
-        whole.update(pcm.tobytes())
-        yield number * head["block"], (pcm.view(np.uint8) ^ 0x80).tobytes()
-    if whole.digest() != head["md5"]:
-        raise ValueError("MD5 of the samples differs")
+    for _, at, pcm in decode_all([stream]):
+        yield at, pcm
 
 
 def seek(stream: bytes, sample: int) -> tuple[int, bytes]:
@@ -372,7 +431,7 @@ def seek(stream: bytes, sample: int) -> tuple[int, bytes]:
     i = int(np.searchsorted([p[0] for p in points], sample, "right")) - 1
     at = head["start"] + points[i][1]
     end = head["start"] + points[i + 1][1] if i + 1 < len(points) else len(stream)
-    number, x = decode_frame(stream, at, end)
+    number, x = next(_samples([read_frame(stream, at, end)]))
     return number * head["block"], (x.astype(np.int8).view(np.uint8) ^ 0x80).tobytes()
 
 
@@ -384,7 +443,7 @@ def pad(text: str | None) -> bytes:
     return data + bytes(-len(data) % PAD if data else PAD)
 
 
-def store(docs: DataFrame, block: int = BLOCK, lpc_order: int = 0) -> DataFrame:
+def store(docs: DataFrame, block: int = BLOCK, lpc_order: int = LPC_ORDER) -> DataFrame:
     """(doc_id, n_bytes, media): each whole text as a FLAC stream."""
 
     def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
@@ -395,38 +454,78 @@ def store(docs: DataFrame, block: int = BLOCK, lpc_order: int = 0) -> DataFrame:
     return pick(docs, doc_id="long", text="string").mapInArrow(batches(kernel), "doc_id long, n_bytes long, media binary")
 
 
-def pcm_blocks(stored: DataFrame) -> DataFrame:
-    """(doc_id, sample_offset, n_samples, pcm): decoded blocks, each addressed by its first sample."""
+def stored(docs: DataFrame, block: int = BLOCK, lpc_order: int = LPC_ORDER) -> DataFrame:
+    """`store` written to the shared folder and read back. Zstandard finds streams of equal texts, which Rice codes can't."""
+    return materialise(store(docs, block, lpc_order), "media", compression="zstd")
+
+
+PCM = "doc_id long, sample_offset long, n_samples long, pcm binary"
+
+
+def pcm_blocks(media: DataFrame) -> DataFrame:
+    """PCM rows: decoded blocks, each addressed by its document and first sample."""
 
     def kernel(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in it:
-            for doc, media in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                rows = [(doc, at, len(pcm), pcm) for at, pcm in decode_blocks(media)]
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int64(), pa.int64(), pa.int64(), pa.binary()))], names=["doc_id", "sample_offset", "n_samples", "pcm"])
+            docs, rows, size = batch.column(0).to_pylist(), [], 0
+            make = lambda: pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int64(), pa.int64(), pa.int64(), pa.binary()))], names=["doc_id", "sample_offset", "n_samples", "pcm"])  # noqa: E731,B023
+            for i, at, pcm in decode_all(batch.column(1).to_pylist()):
+                rows.append((docs[i], at, len(pcm), pcm))
+                size += len(pcm)
+                if size >= TOGETHER:
+                    yield make()
+                    rows, size = [], 0
+            if rows:
+                yield make()
+
+    return media.select("doc_id", "media").mapInArrow(kernel, PCM)
+
 
-    return stored.select("doc_id", "media").mapInArrow(kernel, "doc_id long, sample_offset long, n_samples long, pcm binary")
+def write_pcm(media: DataFrame, path: str) -> DataFrame:
+    """Write PCM rows under `path` in order of document and offset within each file, so that a reader's filter on both
+    skips all row groups but one; gives the table read back. Nothing is shuffled."""
+    pcm_blocks(media).sortWithinPartitions("doc_id", "sample_offset").write.option("compression", "zstd").parquet(path)
+    return media.sparkSession.read.schema(PCM).parquet(path)
+
+
+def block_at(pcm: DataFrame, doc_id: int, sample: int) -> DataFrame:
+    """PCM row of the block that holds a sample of a document."""
+    return pcm.where((F.col("doc_id") == doc_id) & (F.col("sample_offset") <= sample) & (F.col("sample_offset") + F.col("n_samples") > sample))
 
 
 FEATURES = "payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, n_blocks long"
 
 
-def features(stored: DataFrame) -> DataFrame:
-    """(doc_id, n_bytes, FEATURES) from the stored bytes alone: digests, and sums over the decoded blocks as text."""
+class Summary:
+    """Digests of one stream's payload and sums over its blocks."""
+
+    def __init__(self, media: bytes):
+        self.media, self.whole, self.tail = media, hashlib.sha256(), b""
+        self.n = self.total = self.energy = self.crossings = self.blocks = 0
 
-    def one(media: bytes) -> tuple:
-        whole, n, total, energy, crossings, blocks, tail = hashlib.sha256(), 0, 0, 0, 0, 0, b""
-        for _, pcm in decode_blocks(media):
-            x = np.frombuffer(pcm, np.uint8).astype(np.int32) - 128
-            whole.update(pcm)
-            n, total, energy, blocks = n + len(pcm), total + int(x.sum()), energy + int((x * x).sum()), blocks + 1
-            crossings += int(np.count_nonzero(np.signbit(x[1:]) != np.signbit(x[:-1])))
-            tail = (tail + pcm)[-PAD:]
-        return n, whole.hexdigest(), zlib.crc32(tail), len(media), hashlib.sha256(media).hexdigest(), f"sum={total};energy={energy};crossings={crossings};blocks={blocks}", blocks
+    def add(self, pcm: bytes) -> None:
+        x = np.frombuffer(pcm, np.uint8).astype(np.int32) - 128
+        self.whole.update(pcm)
+        self.n, self.total, self.energy, self.blocks = self.n + len(pcm), self.total + int(x.sum()), self.energy + int((x * x).sum()), self.blocks + 1
+        self.crossings += int(np.count_nonzero(np.signbit(x[1:]) != np.signbit(x[:-1])))
+        self.tail = (self.tail + pcm)[-PAD:]
+
+    def row(self) -> tuple:
+        feature = f"sum={self.total};energy={self.energy};crossings={self.crossings};blocks={self.blocks}"
+        return self.n, self.whole.hexdigest(), zlib.crc32(self.tail), len(self.media), hashlib.sha256(self.media).hexdigest(), feature, self.blocks
+
+
+def features(media: DataFrame) -> DataFrame:
+    """(doc_id, n_bytes, FEATURES) from the stored bytes alone: digests, and sums over the decoded blocks as text."""
 
     def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
         names = [c.split()[0] for c in FEATURES.split(", ")]
         kinds = [pa.string() if c.endswith("string") else pa.int64() for c in FEATURES.split(", ")]
-        rows = list(zip(*map(one, batch.column(2).to_pylist())))
+        streams = batch.column(2).to_pylist()
+        found = [Summary(s) for s in streams]
+        for i, _, pcm in decode_all(streams):
+            found[i].add(pcm)
+        rows = list(zip(*(f.row() for f in found)))
         return pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(r, k) for r, k in zip(rows, kinds))], names=["doc_id", "n_bytes", *names])
 
-    return stored.select("doc_id", "n_bytes", "media").mapInArrow(batches(kernel), f"doc_id long, n_bytes long, {FEATURES}")
+    return media.select("doc_id", "n_bytes", "media").mapInArrow(batches(kernel), f"doc_id long, n_bytes long, {FEATURES}")

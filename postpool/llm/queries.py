@@ -19,7 +19,7 @@ def op2_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_flac(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return flac.features(flac.store(table(spark, sf_dir, "documents")))
+    return flac.features(flac.stored(table(spark, sf_dir, "documents")))
 
 
 def op4_first_fit(spark: SparkSession, sf_dir: str) -> DataFrame:

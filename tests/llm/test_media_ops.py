@@ -90,6 +90,43 @@ def test_flac_edges(spark):
     assert flac.features(flac.store(empty(spark))).count() == 0
 
 
+@pytest.mark.parametrize("together", [1, 5000, 1 << 21])
+def test_flac_streams_side_by_side(together):
+    """Frames of several streams, orders and lengths are undone together, and every stream is checked for itself."""
+    r = random.Random(3)
+    payloads = [flac.pad("".join(r.choice("ab cd e\n") for _ in range(n))) for n in (0, 1, 63, 64, 4096, 9000, 300, 12000)] + [os.urandom(6400), bytes(128)]
+    media = [flac.encode(p, lpc_order=o) for p, o in zip(payloads, [8, 0, 4, 8, 12, 8, 1, 2, 8, 8])]
+    got = {}
+    for i, at, pcm in flac.decode_all(media, together):
+        assert at == len(got.get(i, b""))
+        got[i] = got.get(i, b"") + pcm
+    assert [got[i] for i in range(len(payloads))] == payloads
+    bad = bytearray(media[6])
+    bad[26] ^= 1
+    with pytest.raises(ValueError):
+        list(flac.decode_all([*media[:6], bytes(bad), *media[7:]], together))
+
+
+def test_flac_media_is_read_from_files(spark, sf):
+    plan = queries.op3_flac(spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "media" in plan.split("FileScan")[1] and "documents.parquet" not in plan
+
+
+def test_pcm_table(spark, sf, tmp_path):
+    """Any sample is found by document and offset, in the payload's bytes."""
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    pcm = flac.write_pcm(flac.stored(docs), str(tmp_path / "pcm"))
+    texts = {r.doc_id: flac.pad(r.text) for r in docs.collect()}
+    long_ = max(texts, key=lambda d: len(texts[d]))
+    for doc, sample in ((long_, 0), (long_, 5000), (long_, len(texts[long_]) - 1), (0, 17)):
+        (b,) = flac.block_at(pcm, doc, sample).collect()
+        assert bytes(b.pcm) == texts[doc][b.sample_offset : b.sample_offset + b.n_samples] and b.sample_offset <= sample < b.sample_offset + b.n_samples
+    by = {}
+    for b in sorted(pcm.collect(), key=lambda b: b.sample_offset):
+        by[b.doc_id] = by.get(b.doc_id, b"") + bytes(b.pcm)
+    assert by == texts
+
+
 # ---------------------------------------------------------------- HTML
 
 
