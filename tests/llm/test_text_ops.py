@@ -362,13 +362,44 @@ def test_benchmark_in_parts(spark, part):
     assert lengths(part) == lengths(1 << 20)
 
 
-def test_a_long_item_needs_no_matrix():
-    """50,000 words: the item's suffixes would be 10 GB in one matrix."""
-    wanted = D.targets([(1, " ".join(f"w{i}" for i in range(50_000)))])
-    assert len(wanted.items) == 50_000 - 12
-    at, first = next(D.suffix_rows(wanted.seqs))
-    assert at[0] == (1, 0) and first.nbytes <= 4 * D.SLICE_NUMBERS
-    assert [(a, m.tolist()) for a, m in D.suffix_rows([(1, [5, 6, 7]), (2, [8])], 4)] == [([(1, 0)], [[5, 6, 7]]), ([(1, 1), (1, 2)], [[6, 7], [7, 0]]), ([(2, 0)], [[8]])]
+def longest_by_hand(doc, items, window):
+    """(words, place) of the longest run that a text shares with an item from the start of a window on."""
+    w, best = D.words(doc), (0, None)
+    for _, t in items:
+        b = D.words(t)
+        n = min(window, len(b))
+        for i in range(len(w)):
+            for o in range(len(b) - n + 1 if n else 0):
+                k = 0
+                while i + k < len(w) and o + k < len(b) and w[i + k] == b[o + k]:
+                    k += 1
+                if k >= n and (k > best[0] or k == best[0] and i < best[1]):
+                    best = (k, i)
+    return best
+
+
+@pytest.mark.parametrize("part,shard_words", [(1, 9), (50, 1 << 20), (1 << 20, 9), (1 << 20, 1 << 20)])
+def test_longest_match_of_documents(spark, part, shard_words):
+    r = random.Random(21)
+    items = [(i, " ".join(r.choice("abc") for _ in range(r.randint(0, 14)))) for i in range(7)] + [(20, "q r"), (21, "a b c a b c a b c a b c"), (22, None)]
+    docs = [(i, " ".join(r.choice("abcx") for _ in range(r.randint(0, 25)))) for i in range(30)] + [(50, "x a b c a b c a b c a b c x a b c a b"), (51, "q r q r"), (52, None)]
+    found = D.find(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string"), window=4, shard_words=shard_words, part=part)
+    got = {x.doc_id: (x.longest_match, x.longest_at) for x in found.collect()}
+    assert got == {doc: longest_by_hand(text, items, 4) for doc, text in docs} and got[50] == (12, 1) and got[51] == (2, 0)
+
+
+def test_a_long_item_stays_small():
+    """100,000 words: a matrix of the item's whole suffixes would be 40 GB."""
+    import tracemalloc
+
+    tracemalloc.start()
+    text = " ".join(f"w{i}" for i in range(100_000))
+    wanted = D.targets([(1, text), (2, "w5 w6 z " * 4)])
+    (n, hit, ids, hits, longest, at), = D.search(["x " + text + " y"], wanted)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert (n, hit, ids, hits, longest, at) == (100_002, 100_000, ["1"], [{"start": 1, "length": 100_000}], 100_000, 1)
+    assert peak < 500 << 20
 
 
 def test_decontamination_edges(spark):
