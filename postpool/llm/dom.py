@@ -7,11 +7,12 @@ import re
 
 #: Elements that start and end a block (fixed values).
 BLOCKS = frozenset(
-    "html head body address article aside blockquote center dd details dialog dir div dl dt fieldset figcaption figure footer form frameset h1 h2 h3 h4 h5 h6 header hgroup hr li main menu nav ol p pre section search summary table caption tbody td tfoot th thead tr ul legend".split()
+    "html head body address article aside blockquote center dd details dialog dir div dl dt fieldset figcaption figure footer form frameset h1 h2 h3 h4 h5 h6 header hgroup hr li main menu nav ol p pre section search summary table caption tbody td tfoot th thead tr ul legend xmp".split()
 )
-#: Elements whose text is never shown as prose, and those of them whose content is no markup.
-UNSEEN = frozenset("script style noscript template svg math iframe object canvas audio video select datalist textarea button option head title noframes noembed xmp".split())
-RAW = frozenset("script style textarea title iframe noframes noembed noscript xmp".split())
+#: Scripts, styles, controls of forms and what only old or scriptless readers show: their text is never taken. Then
+#: those whose content is no markup. Formulas, drawings and media are read as inline text.
+UNSEEN = frozenset("script style noscript template iframe select datalist textarea button option head title noframes noembed".split())
+RAW = frozenset("script style textarea title iframe noframes noembed noscript".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 #: What an element's start tag ends, if it is open in the nearest of the scopes.
 CLOSES = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "tbody": ("tr", "td", "th", "thead", "tbody"), "tfoot": ("tr", "td", "th", "tbody"), "option": ("option",)}
@@ -26,13 +27,15 @@ _HIDDEN = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden", re.I)
 
 
 class Node:
-    """A block element, or a run of inline text (tag `#run`) in one."""
+    """A block element, or a run of inline text (tag `#run`) in one. unseen: its text is never taken; hidden: its
+    markup hides it, which is a feature and not a verdict."""
 
-    __slots__ = ("tag", "parent", "children", "tokens", "depth", "hidden", "text", "linked", "marks", "controls", "y")
+    __slots__ = ("tag", "parent", "children", "tokens", "depth", "unseen", "hidden", "text", "linked", "marks", "controls", "y")
 
-    def __init__(self, tag: str, parent: Node | None, tokens: str = "", hidden: bool = False):
+    def __init__(self, tag: str, parent: Node | None, tokens: str = "", unseen: bool = False, hidden: bool = False):
         self.tag, self.parent, self.children, self.tokens = tag, parent, [], tokens
         self.depth = parent.depth + 1 if parent else 0
+        self.unseen = unseen or bool(parent and parent.unseen)
         self.hidden = hidden or bool(parent and parent.hidden)
         self.text, self.linked, self.marks, self.controls, self.y = "", 0, 0, 0, 0
 
@@ -51,7 +54,7 @@ def parse(source: str) -> tuple[Node, list[Node]]:
         if buffer:
             text = "".join(buffer)
             buffer.clear()
-            if not top.hidden:
+            if not top.unseen:
                 text = " ".join((html.unescape(text) if "&" in text else text).split())
                 if text:
                     run = Node("#run", top)
@@ -121,7 +124,7 @@ def parse(source: str) -> tuple[Node, list[Node]]:
             if name in VOID:
                 continue
             found = {k.lower(): (a or b or c) for k, a, b, c in _ATTR.findall(attrs)} if attrs.strip() else {}
-            hidden = name in UNSEEN or "hidden" in found or found.get("aria-hidden") == "true" or bool(_HIDDEN.search(found.get("style", "")))
+            hidden = "hidden" in found or found.get("aria-hidden") == "true" or bool(_HIDDEN.search(found.get("style", "")))
             if name in RAW:
                 end = re.compile(f"</{name}", re.I).search(source, at)
                 at = end.start() if end else size
@@ -133,7 +136,7 @@ def parse(source: str) -> tuple[Node, list[Node]]:
                 flush()
                 if name in ("select", "button"):
                     top.controls += 1
-            node = Node(name, top, " ".join(found.get(k, "") for k in ("class", "id", "role", "itemprop") if k in found).lower(), hidden)
+            node = Node(name, top, " ".join(found.get(k, "") for k in ("class", "id", "role", "itemprop") if k in found), name in UNSEEN, hidden)
             top.children.append(node)
             nodes.append(node)
             if node.depth < DEEPEST and (name in BLOCKS or not attrs.rstrip().endswith("/")):

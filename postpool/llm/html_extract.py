@@ -1,12 +1,14 @@
 """Main text of web pages: boosted trees score every DOM node, a tree decoder picks a consistent set of nodes.
 
 Nodes are block elements and runs of inline text. Features: the tag and those above it, tokens of class, id, role and
-itemprop (own and inherited), depth, text and link density of the subtree, counts of paragraphs, controls and
-punctuation, and sibling statistics. Decoding maximises the summed log odds under one rule, that a kept node has kept
+itemprop (own and inherited), whether markup hides the node, depth, text and link density of the subtree, counts of
+paragraphs, controls and punctuation, and sibling statistics. A token is hashed into a bucket, and a bucket counts by
+the log odds that training nodes with it hold main text; no word list speaks for or against a node. Decoding maximises the summed log odds under one rule, that a kept node has kept
 ancestors: the best choice of each subtree follows bottom-up from its children's.
 
-The model is trained here, on pages that `invent` makes from random templates with known main text; their number and
-seed are parameters.
+The model is trained here, on pages that `Inventor` makes from random templates with known main text; their number and
+seed are parameters. Scripts, styles, form controls, templates and the fallback texts of noscript and iframe are never
+taken; everything else of the article stays, formulas, drawings' texts and hidden paragraphs too.
 
 Edge cases: null or empty html gives an empty text; markup without any tag is one run; unclosed and crossed tags,
 attributes and comments are read as far as they go; null page_id and url are passed on; repeated rows give equal rows;
@@ -15,8 +17,12 @@ very large pages are one page in memory; an empty table gives no rows; other col
 
 from __future__ import annotations
 
+import math
 import random
 import re
+import zlib
+from collections import Counter
+from dataclasses import dataclass
 from functools import lru_cache
 
 import numpy as np
@@ -29,25 +35,36 @@ from .common import batches, pick
 
 TRAINING_PAGES, SEED, CHUNK = 700, 20240, 100
 MARK = "\ue000"
-#: Attribute tokens that speak for and against main text (fixed values, in natural order).
-GOOD = "article articlebody body content entry main markdown page post prose story text".split()
-BAD = "ad ads advert advertisement alert announcement banner bar bio breadcrumb breadcrumbs button byline comment comments consent contact cookie cookies copyright disclaimer discussion disqus dropdown feedback foot footer form gdpr head header login masthead menu message meta modal nav navbar navigation newsletter notice pagination pager paywall popup privacy promo promoted recommended related reply respond search share sharing side sidebar signup skip social sponsor sponsored subscribe subscription tags toc toolbar top topbar trending warning widget".split()
 GROUPS = [("p",), ("h1",), ("h2", "h3", "h4", "h5", "h6"), ("li", "dt", "dd"), ("ul", "ol", "dl", "menu"), ("div", "center"), ("section",), ("article",), ("main",), ("nav", "search"), ("header", "hgroup"), ("footer", "address"), ("aside",), ("form", "fieldset", "legend"), ("table", "tbody", "tr", "td", "th", "thead", "tfoot", "caption"), ("figure", "figcaption", "blockquote", "pre", "details", "summary"), ("#run",), ("body", "html", "#root")]
 _GROUP = {tag: i for i, tags in enumerate(GROUPS) for tag in tags}
-_GOOD, _BAD = frozenset(GOOD), frozenset(BAD)
-_SPLIT = re.compile(r"[^a-z]+|(?<=[a-z])(?=[A-Z])")
+_SPLIT = re.compile(r"[^A-Za-z]+|(?<=[a-z])(?=[A-Z])")
 _STOPS = re.compile(r"[.!?,;:…。]")
+#: Buckets of attribute tokens, what a bucket's odds are smoothed by, and odds that count as a sign.
+BUCKETS, PRIOR, SIGN = 1 << 16, 2.0, 1.0
 
 
 @lru_cache(maxsize=20_000)
-def token_votes(tokens: str) -> tuple[int, int]:
-    """(tokens for, tokens against main text) among an element's attribute tokens."""
-    found = [t for t in _SPLIT.split(tokens) if t]
-    return sum(t in _GOOD for t in found), sum(t in _BAD or t.rstrip("s") in _BAD for t in found)
-
-
-def features(root: dom.Node, nodes: list[dom.Node]) -> np.ndarray:
-    """One row of features for each node, in page order; parents come before children."""
+def token_buckets(tokens: str) -> tuple[int, ...]:
+    """Buckets of an element's attribute tokens: words between signs, digits and capitals."""
+    return tuple({zlib.crc32(t.lower().encode()) % BUCKETS for t in _SPLIT.split(tokens) if t})
+
+
+def token_odds(pages: list[list[dom.Node]]) -> dict[int, float]:
+    """{bucket: log odds of main text below a node with a token of this bucket, against all such nodes}, smoothed."""
+    main, every = Counter(), Counter()
+    for nodes in pages:
+        for x in nodes:
+            if x.tokens:
+                found = token_buckets(x.tokens)
+                every.update(found)
+                if x.y:
+                    main.update(found)
+    share = (sum(main.values()) + 1) / (sum(every.values()) + 2)
+    return {b: math.log((main[b] + PRIOR * share) / (n - main[b] + PRIOR * (1 - share)) * (1 - share) / share) for b, n in every.items()}
+
+
+def features(root: dom.Node, nodes: list[dom.Node], odds: dict[int, float]) -> np.ndarray:
+    """One row of features for each node, in page order; parents come before children. odds: of token buckets."""
     n = len(nodes)
     place = {id(node): i for i, node in enumerate(nodes)}
     parent = [place[id(x.parent)] if x.parent else -1 for x in nodes]
@@ -65,30 +82,32 @@ def features(root: dom.Node, nodes: list[dom.Node]) -> np.ndarray:
             for sums in (chars, linked, stops, runs, paras, controls, marks, elements, words):
                 sums[j] += sums[i]
     total = max(1, chars[0])
-    out = np.zeros((n, 20 + 6 + len(GROUPS) + 18), np.float32)
+    out = np.zeros((n, 21 + 6 + 2 * len(GROUPS)), np.float32)
     up: list[tuple] = [None] * n
     before = 0
     for i, x in enumerate(nodes):
-        good, bad = token_votes(x.tokens) if x.tokens else (0, 0)
+        found = [odds.get(b, 0.0) for b in token_buckets(x.tokens)] if x.tokens else ()
+        good, bad = max(found, default=0.0), min(found, default=0.0)
         group = _GROUP.get(x.tag, 5)
         if parent[i] >= 0:
-            pg, pb, flags, near_good, near_bad, since = up[parent[i]]
+            most, least, flags, near_good, near_bad = up[parent[i]]
         else:
-            pg, pb, flags, near_good, near_bad, since = 0, 0, 0, 99, 99, 0
-        near_good = 0 if good else near_good + 1
-        near_bad = 0 if bad else near_bad + 1
-        up[i] = (pg + good, pb + bad, flags | (1 << group), near_good, near_bad, since + 1)
+            most, least, flags, near_good, near_bad = 0.0, 0.0, 0, 99, 99
+        most, least = max(most, good), min(least, bad)
+        near_good = 0 if good > SIGN else near_good + 1
+        near_bad = 0 if bad < -SIGN else near_bad + 1
+        up[i] = (most, least, flags | (1 << group), near_good, near_bad)
         siblings = x.parent.children if x.parent else [x]
         k = len(siblings)
         row = out[i]
         c = chars[i]
-        row[:20] = (x.depth, c, words[i], linked[i] / max(1, c), stops[i] / max(1, words[i]), c / max(1, elements[i]), runs[i], paras[i], controls[i], marks[i] / max(1, words[i]), elements[i], c / total, before / total, good, bad, pg, pb, near_good, near_bad, x.text[:1].islower())
-        row[20 + 6 + group] = 1
+        row[:21] = (x.depth, c, words[i], linked[i] / max(1, c), stops[i] / max(1, words[i]), c / max(1, elements[i]), runs[i], paras[i], controls[i], marks[i] / max(1, words[i]), elements[i], c / total, before / total, good, bad, most, least, near_good, near_bad, x.text[:1].islower(), x.hidden)
+        row[27 + group] = 1
         if x.parent:
             j = parent[i]
-            row[20:26] = (k, c / max(1, chars[j]), chars[j] / k, linked[j] / max(1, chars[j]), paras[j], controls[j])
-        base = 26 + len(GROUPS)
-        for g in range(18):
+            row[21:27] = (k, c / max(1, chars[j]), chars[j] / k, linked[j] / max(1, chars[j]), paras[j], controls[j])
+        base = 27 + len(GROUPS)
+        for g in range(len(GROUPS)):
             row[base + g] = flags >> g & 1
         if x.tag == "#run":
             before += c
@@ -108,12 +127,20 @@ def decode(nodes: list[dom.Node], odds: np.ndarray) -> list[bool]:
     return kept
 
 
-def extract(pages: list[str], model: Boosted) -> list[str]:
+@dataclass
+class Model:
+    """Trees over features, and the odds of attribute tokens that are among those."""
+
+    trees: Boosted
+    tokens: dict[int, float]
+
+
+def extract(pages: list[str], model: Model) -> list[str]:
     """The main text of each page: kept runs in page order, one line each."""
     parsed = [dom.parse(p or "") for p in pages]
     if not parsed:
         return []
-    odds = model.log_odds(np.concatenate([features(*p) for p in parsed]))
+    odds = model.trees.log_odds(np.concatenate([features(*p, model.tokens) for p in parsed]))
     out, at = [], 0
     for _, nodes in parsed:
         kept = decode(nodes, odds[at : at + len(nodes)])
@@ -158,8 +185,13 @@ class Inventor:
         tag = r.choice(tags.split())
         plain = tag in ("nav", "header", "footer", "aside", "form", "article", "main")
         attrs = "" if r.random() < (0.6 if plain else bare) else self.attrs(*tokens.split())
+        if r.random() < 0.04:
+            attrs += self.hide()
         return f"<{tag}{attrs}>{inner}</{tag}>"
 
+    def hide(self) -> str:
+        return self.r.choice([" hidden", ' aria-hidden="true"', ' style="display:none"'])
+
     def links(self, low: int = 2, high: int = 9) -> str:
         r = self.r
         items = [f'<a href="/{i}">{self.words(1, 3)}</a>' for i in range(r.randint(low, high))]
@@ -196,9 +228,11 @@ class Inventor:
         r = self.r
         return r.choice([
             lambda: self.box("div div aside section ins", "ad ads advert advertisement banner sponsored promo", self.blurb(), bare=0),
-            lambda: self.box("div div p section aside", "notice cookie cookie-notice alert announcement gdpr consent warning disclaimer", self.blurb(), bare=0),
-            lambda: self.box("div ul section", "share social sharing tags meta byline", self.links(2, 5), bare=0),
-            lambda: self.box("div section aside", "related recommended trending", f"<h3>{self.words(1, 3)}</h3>" + self.links() + r.choice(["", f"<p>{self.words(3, 20)}</p>"]), bare=0),
+            lambda: self.box("div div p section aside", "notice cookie cookie-notice alert announcement gdpr consent warning disclaimer message privacy", self.blurb(), bare=0),
+            lambda: self.box("div section dialog", "modal popup paywall overlay subscription signup login", self.blurb() + r.choice(["", self.form()]), bare=0),
+            lambda: self.box("div nav ul section", "pagination pager toc toolbar skip-links dropdown", self.links(2, 7), bare=0),
+            lambda: self.box("div ul section", "share social sharing tags meta byline bio", self.links(2, 5), bare=0),
+            lambda: self.box("div section aside", "related recommended trending feedback promoted", f"<h3>{self.words(1, 3)}</h3>" + self.links() + r.choice(["", f"<p>{self.words(3, 20)}</p>"]), bare=0),
             self.form,
         ])()
 
@@ -221,7 +255,10 @@ class Inventor:
                     inner += f' <a href="/z">{self.words(1, 4)}</a> ' + self.words(1, 10)
                 if r.random() < 0.15:
                     inner = inner.replace(" ", " <b>", 1) + "</b>"
-                out.append(r.choice([f"<p>{inner}</p>", f"<p>{inner}</p>", f"<p>{inner}", f"<p><b>{inner}<br>"]))
+                if r.random() < 0.06:
+                    inner += " " + r.choice(["<math><mi>x</mi><mo>=</mo><mn>2</mn></math>", "<svg><text>ab</text></svg>", "<canvas>c d</canvas>"]) + " " + self.words(1, 10)
+                p = f"<p{self.hide() if r.random() < 0.05 else ''}>"
+                out.append(r.choice([f"{p}{inner}</p>", f"{p}{inner}</p>", f"{p}{inner}", f"{p}<b>{inner}<br>"]))
             elif kind < 0.78:
                 out.append(f"<h{r.randint(2, 4)}>{text(1, 8)}</h2>")
             elif kind < 0.86:
@@ -242,12 +279,12 @@ class Inventor:
 
     def page(self) -> str:
         r = self.r
-        main = self.box("article article article main main div div section", "article content entry post story main text article-body post-content entry-content", self.main(), bare=0.12)
+        main = self.box("article article article main main div div section", "article content entry post story main text prose markdown article-body articleBody post-content entry-content", self.main(), bare=0.12)
         for _ in range(r.choice([0, 0, 0, 1, 2])):
             main = self.box("main div div section", "content main page container wrap layout", main + r.choice(["", "", self.comments(), self.clutter()]), bare=0.4)
         head, tail = [], []
         if r.random() < 0.5:
-            head.append(self.box("header header div", "header head masthead top topbar banner", r.choice([self.words(1, 4), f"<h1>{self.words(1, 4)}</h1>", f"<p>{self.words(1, 8)}</p>"]) + r.choice(["", self.links(2, 6), f"<nav>{self.links(2, 6)}</nav>"]), bare=0))
+            head.append(self.box("header header div", "header head masthead top topbar banner navbar", r.choice([self.words(1, 4), f"<h1>{self.words(1, 4)}</h1>", f"<p>{self.words(1, 8)}</p>"]) + r.choice(["", self.links(2, 6), f"<nav>{self.links(2, 6)}</nav>"]), bare=0))
         if r.random() < 0.75:
             head.append(self.box("nav nav nav div ul", "nav menu navbar navigation main-menu", self.links(), bare=0))
         if r.random() < 0.2:
@@ -255,13 +292,13 @@ class Inventor:
         for _ in range(r.choice([0, 0, 1, 1, 2])):
             head.append(self.clutter())
         if r.random() < 0.4:
-            (head if r.random() < 0.3 else tail).append(self.box("aside aside div", "sidebar side widget", "".join(r.choice([self.blurb, self.links, self.form])() for _ in range(r.randint(1, 3))), bare=0))
+            (head if r.random() < 0.3 else tail).append(self.box("aside aside div", "sidebar side sideBar widget bar", "".join(r.choice([self.blurb, self.links, self.form])() for _ in range(r.randint(1, 3))), bare=0))
         if r.random() < 0.3:
             tail.append(self.comments())
         for _ in range(r.choice([0, 0, 1, 1])):
             tail.append(self.clutter())
         if r.random() < 0.8:
-            tail.append(self.box("footer footer div", "footer foot copyright", r.choice(["", self.links(2, 6)]) + r.choice([f"&copy; {self.words(1, 8)}", f"<p>{self.words(2, 20)}</p>", f"&copy; x &middot; {self.words(3, 12)}"]), bare=0))
+            tail.append(self.box("footer footer div", "footer foot copyright bottom", r.choice(["", self.links(2, 6)]) + r.choice([f"&copy; {self.words(1, 8)}", f"<p>{self.words(2, 20)}</p>", f"&copy; x &middot; {self.words(3, 12)}"]), bare=0))
         r.shuffle(head)
         body = "".join(head) + f"<!-- {self.words(1, 3)} -->" + main + "".join(tail)
         if r.random() < 0.3:
@@ -269,25 +306,30 @@ class Inventor:
         return f"<!DOCTYPE html><html><head><title>{self.words(2, 8)}</title><style>p{{margin:0}}</style><script>var a='</p>';</script></head><body>{body}</body></html>"
 
 
-def labelled(page: str) -> tuple[np.ndarray, np.ndarray]:
-    """(features, labels) of an invented page; a node is main text if a run below it is."""
+def labelled(page: str) -> tuple[dom.Node, list[dom.Node]]:
+    """An invented page's nodes with labels; a node is main text if a run below it is."""
     root, nodes = dom.parse(page)
     for x in reversed(nodes):
         if x.tag == "#run" and MARK in x.text:
             x.text, x.y = x.text.replace(MARK, ""), 1
         if x.y and x.parent:
             x.parent.y = 1
-    return features(root, nodes), np.array([x.y for x in nodes], float)
+    return root, nodes
 
 
 @lru_cache(maxsize=2)
-def train(pages: int = TRAINING_PAGES, seed: int = SEED) -> Boosted:
+def train(pages: int = TRAINING_PAGES, seed: int = SEED) -> Model:
+    """Trees see each half of the pages with token odds of the other half, so that they learn what odds are worth on
+    pages that the odds don't come from."""
     inventor = Inventor(seed)
-    sets = [labelled(inventor.page()) for _ in range(pages)]
-    return Boosted().fit(np.concatenate([x for x, _ in sets]), np.concatenate([y for _, y in sets]))
+    made = [labelled(inventor.page()) for _ in range(pages)]
+    halves = made[::2], made[1::2]
+    x = [features(*p, odds) for half, odds in zip(halves, [token_odds([n for _, n in other]) for other in halves[::-1]]) for p in half]
+    y = [node.y for half in halves for _, nodes in half for node in nodes]
+    return Model(Boosted().fit(np.concatenate(x), np.array(y, float)), token_odds([n for _, n in made]))
 
 
-def main_text(pages: DataFrame, model: Boosted | None = None) -> DataFrame:
+def main_text(pages: DataFrame, model: Model | None = None) -> DataFrame:
     """(page_id, url, text, n_chars). No shuffle; the model (some 100 KB) goes with the tasks."""
     model = model or train()
 

@@ -173,6 +173,39 @@ def test_hand_made_page():
     assert got == "Big & small\nFirst para with bold and more text that goes on for a while.\nSecond one, <quoted> here, is also long enough to count as text.\nLast."
 
 
+#: Layouts that the inventor of training pages doesn't make: (page, main text).
+LAYOUTS = {
+    "formula": ("""<body><nav class="menu"><a href=/a>Start</a> <a href=/b>About</a></nav><article><h1>On energy</h1><p>The energy is <math><mi>E</mi><mo>=</mo><mi>mc</mi></math> as known since long ago, and it holds for all of them.</p>
+        <p hidden>This paragraph waits for a click before it shows, and it belongs to the article.</p><p aria-hidden=true>So does this one, which readers of screens pass over.</p></article><footer><p>&copy; 2020 all rights reserved</p></footer></body>""",
+        "On energy\nThe energy is E=mc as known since long ago, and it holds for all of them.\nThis paragraph waits for a click before it shows, and it belongs to the article.\nSo does this one, which readers of screens pass over."),
+    "table layout": ("""<table width=100%><tr><td colspan=2 id=banner><a href=/>Home of words</a></td></tr><tr><td id=nav><a href=/1>One</a><br><a href=/2>Two</a><br><a href=/3>Three</a></td>
+        <td class=content><h2>A trip to the coast</h2><p>We left early in the morning, when the streets were still empty, and drove west for hours.</p><p>At noon we saw the sea. It was grey, and the wind was strong, but nobody minded.</p></td></tr>
+        <tr><td colspan=2 class=footer>Copyright by the author. Mail to the webmaster.</td></tr></table>""",
+        "A trip to the coast\nWe left early in the morning, when the streets were still empty, and drove west for hours.\nAt noon we saw the sea. It was grey, and the wind was strong, but nobody minded."),
+    "documentation": ("""<div id=wrapper><div class="sideBar-left"><ul><li><a href=x>Install</a></li><li><a href=y>Configure</a></li></ul></div><div role=main><section><h1>Install</h1><p>Unpack the archive in a folder of your choice, then run the setup from there.</p>
+        <pre>tar xf a.tar; ./setup</pre><h2>Upgrade</h2><ol><li>Stop the service first.</li><li>Run the setup again.</li></ol></section></div></div><footer><a href=p>Privacy</a> <a href=t>Terms</a></footer>""",
+        "Install\nUnpack the archive in a folder of your choice, then run the setup from there.\ntar xf a.tar; ./setup\nUpgrade\nStop the service first.\nRun the setup again."),
+    "story between adverts": ("""<main><div class="post-body"><p>It rained all week in the valley, and the river rose above the bridge by Friday.</p><div class="ad-slot-2"><span>Advertisement: buy a boat</span></div><p>On Sunday the water fell again. People came back, one house at a time, to see what was left.</p>
+        <blockquote>We had never seen anything like it.</blockquote></div><div class="related-posts"><h3>More news</h3><ul><li><a href=1>Floods of the past</a></li><li><a href=2>Weather</a></li></ul></div></main>
+        <section class="comments-area"><h3>2 comments</h3><ol><li class=comment><p>I was there, it was bad.</p></li><li class=comment><p>So was I.</p></li></ol></section>""",
+        "It rained all week in the valley, and the river rose above the bridge by Friday.\nOn Sunday the water fell again. People came back, one house at a time, to see what was left.\nWe had never seen anything like it."),
+}
+
+
+@pytest.mark.parametrize("name", LAYOUTS)
+def test_layouts_the_inventor_does_not_make(name):
+    page, want = LAYOUTS[name]
+    assert X.extract([f"<html><head><title>t</title></head><body>{page}</body></html>"], X.train())[0] == want
+
+
+def test_token_odds_are_learnt():
+    """Signs come from the pages alone; tokens that were never seen say nothing."""
+    odds = X.train().tokens
+    value = lambda t: odds.get(X.token_buckets(t)[0], 0.0)
+    assert all(value(t) < -X.SIGN for t in ("sidebar", "cookie", "advert", "comment", "footer")) and all(value(t) > X.SIGN for t in ("article", "entry", "story"))
+    assert value("zzqwx") == 0.0 and X.token_buckets("sideBar") == X.token_buckets("side-bar_2")
+
+
 def test_decoding_is_consistent():
     """No kept node under a dropped one, and no consistent choice has a larger sum."""
     r = random.Random(4)
