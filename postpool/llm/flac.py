@@ -19,7 +19,8 @@ import hashlib
 import struct
 import zlib
 from collections.abc import Iterator
-from functools import lru_cache
+from dataclasses import dataclass
+from functools import cached_property, lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -228,13 +229,17 @@ class Bits:
     """The bits of one frame, and the place of the next one bit from any bit."""
 
     def __init__(self, data: bytes, at: int):
-        self.bits = np.unpackbits(np.frombuffer(data, np.uint8))
-        self.at = at * 8
+        self.data, self.at = data, at * 8
         self.ones = self.before = None
 
+    @cached_property
+    def bits(self) -> np.ndarray:
+        return np.unpackbits(np.frombuffer(self.data, np.uint8))
+
     def take(self, n: int) -> int:
-        self.at += n
-        return int.from_bytes(np.packbits(np.concatenate([np.zeros(-n % 8, np.uint8), self.bits[self.at - n : self.at]])).tobytes(), "big") if n else 0
+        first, self.at = self.at >> 3, self.at + n
+        last = (self.at + 7) >> 3
+        return int.from_bytes(self.data[first:last], "big") >> (8 * last - self.at) & ((1 << n) - 1)
 
     def signed(self, n: int) -> int:
         v = self.take(n)
@@ -242,6 +247,8 @@ class Bits:
 
     def raw(self, n: int, width: int) -> np.ndarray:
         """n values of `width` bits each, signed."""
+        if n <= 32:
+            return np.array([self.signed(width) for _ in range(n)], np.int64)
         b = self.bits[self.at : self.at + n * width].reshape(n, width).astype(np.int64)
         self.at += n * width
         v = b @ (1 << np.arange(width - 1, -1, -1, dtype=np.int64)) if width else np.zeros(n, np.int64)
@@ -314,6 +321,51 @@ def _restore(warm: np.ndarray, residual: np.ndarray, order: int) -> np.ndarray:
     return np.concatenate([warm, residual])
 
 
+def _rice_together(frames: list[tuple[bytes, int, int, int]]) -> list[np.ndarray]:
+    """Residuals of frames (bytes, bit where the codes begin, how many, parameter) with one Rice code each. A code ends
+    so many bits after its first one bit; all frames go from code to code together, longest first."""
+    if not frames:
+        return []
+    order = sorted(range(len(frames)), key=lambda i: -frames[i][2])
+    counts = np.array([frames[i][2] for i in order])
+    sizes = np.array([8 * len(frames[i][0]) for i in order])
+    base = np.cumsum(sizes) - sizes
+    k = np.array([frames[i][3] for i in order], np.int32)
+    start = (base + [frames[i][1] for i in order]).astype(np.int32)
+    packed = np.frombuffer(b"".join([*(frames[i][0] for i in order), bytes(4)]), np.uint8)
+    bits = np.unpackbits(packed[:-4])
+    ones = np.append(np.flatnonzero(bits.view(bool)).astype(np.int32), np.int32(len(bits)))
+    before = np.full(len(bits) + int(k.max()) + 2, len(ones) - 1, np.int32)  # one bits before a place
+    before[0] = 0
+    np.cumsum(bits, dtype=np.int32, out=before[1 : len(bits) + 1])
+    steps = int(counts[0])
+    at = np.zeros((steps, len(frames)), np.int32)
+    live = np.searchsorted(-counts, -np.arange(steps), "left").tolist()
+    j, skip = before[start], k + 1
+    for t, n in enumerate(live):
+        found = ones[j[:n]]
+        at[t, :n] = found
+        j = before[found + skip[:n]]
+    if (at[counts - 1, np.arange(len(frames))] + k >= base + sizes).any():
+        raise ValueError("a Rice code runs past the frame")
+    z = at.copy()
+    z[1:] -= at[:-1] + skip
+    z[0] -= start
+    wide = packed.astype(np.int32)
+    wide = wide[:-2] << 16 | wide[1:-1] << 8 | wide[2:]  # a place's low bits lie within three bytes
+    at += 1
+    low = wide[at >> 3]
+    low >>= (24 - k) - (at & 7)
+    low &= (1 << k) - 1
+    z <<= k
+    z |= low
+    columns = np.ascontiguousarray(((z >> 1) ^ -(z & 1)).T)
+    out: list = [None] * len(frames)
+    for column, i in enumerate(order):
+        out[i] = columns[column, : counts[column]]
+    return out
+
+
 def _predict(frames: list[tuple[np.ndarray, np.ndarray, list[int], int]]) -> list[np.ndarray]:
     """Undo the predictors of LPC frames (warm-up, residual, coefficients, shift), longest first so that frames that
     have ended leave the right side of the matrix."""
@@ -340,9 +392,20 @@ def _predict(frames: list[tuple[np.ndarray, np.ndarray, list[int], int]]) -> lis
     return out
 
 
-def read_frame(stream: bytes, at: int, end: int) -> tuple[int, np.ndarray | tuple]:
-    """(frame number, samples, or what `_predict` makes samples of) of the frame in stream[at:end]; both checksums are
-    verified."""
+@dataclass
+class Coded:
+    """A frame's predictor and its residual, or where its one Rice code lies (first bit, codes, parameter)."""
+
+    order: int
+    warm: np.ndarray
+    data: bytes
+    code: tuple[int, int, int] | None
+    residual: np.ndarray | None
+    taps: tuple[list[int], int] | None
+
+
+def read_frame(stream: bytes, at: int, end: int) -> tuple[int, np.ndarray | Coded]:
+    """(frame number, samples or what they are coded by) of the frame in stream[at:end]; both checksums are verified."""
     data = stream[at:end]
     if data[0] != 0xFF or data[1] != 0xF8 or data[3] >> 4:
         raise ValueError("not a mono frame of fixed block size")
@@ -368,26 +431,35 @@ def read_frame(stream: bytes, at: int, end: int) -> tuple[int, np.ndarray | tupl
         return number, np.frombuffer(data, np.int8, n, pos).astype(np.int64)
     order = kind & 7 if kind < 32 else (kind & 31) + 1
     warm = np.frombuffer(data, np.int8, order, pos).astype(np.int64)
-    bits = Bits(data[:-2], pos + order)
-    if kind < 32:
-        return number, _restore(warm, bits.residual(n, order), order)
-    precision = bits.take(4) + 1
-    shift = bits.signed(5)
-    q = bits.raw(order, precision).tolist()
-    return number, (warm, bits.residual(n, order), q, shift)
-
-
-def _samples(read: list[tuple[int, np.ndarray | tuple]]) -> Iterator[tuple[int, np.ndarray]]:
+    bits, taps = Bits(data[:-2], pos + order), None
+    if kind >= 32:
+        precision = bits.take(4) + 1
+        shift = bits.signed(5)
+        taps = bits.raw(order, precision).tolist(), shift
+    begin, wide = bits.at, 5 if bits.take(2) else 4
+    parts, k = bits.take(4), bits.take(wide)
+    if not parts and k < (1 << wide) - 1:
+        return number, Coded(order, warm, bits.data, (bits.at, n - order, k), None, taps)
+    bits.at = begin
+    return number, Coded(order, warm, bits.data, None, bits.residual(n, order), taps)
+
+
+def _samples(read: list[tuple[int, np.ndarray | Coded]]) -> Iterator[tuple[int, np.ndarray]]:
     """(frame number, samples) of frames read, in their order."""
-    undone = iter(_predict([x for _, x in read if isinstance(x, tuple)]))
+    coded = [x for _, x in read if isinstance(x, Coded)]
+    codes = iter(_rice_together([(x.data, *x.code) for x in coded if x.code]))
+    for x in coded:
+        if x.code:
+            x.residual = next(codes)
+    undone = iter(_predict([(x.warm, x.residual, *x.taps) for x in coded if x.taps]))
     for number, x in read:
-        yield number, next(undone) if isinstance(x, tuple) else x
+        yield number, x if not isinstance(x, Coded) else next(undone) if x.taps else _restore(x.warm, x.residual, x.order)
 
 
 def decode_all(streams: list[bytes], together: int = TOGETHER) -> Iterator[tuple[int, int, bytes]]:
     """(stream's place in the list, sample offset, PCM bytes) of each block of each stream in turn; after a stream's last
     block the MD5 of its samples is verified. At most `together` samples, or one frame, are held at once."""
-    read: list[tuple[int, int, np.ndarray | tuple]] = []
+    read: list[tuple[int, int, np.ndarray | Coded]] = []
     held, whole, open_ = 0, hashlib.md5(), -1
     heads = {}
 
@@ -410,7 +482,7 @@ def decode_all(streams: list[bytes], together: int = TOGETHER) -> Iterator[tuple
         starts = [head["start"] + p[1] for p in head["points"]]
         for at, end in zip(starts, [*starts[1:], len(stream)]):
             read.append((i, *read_frame(stream, at, end)))
-            held += head["block"]
+            held += min(head["block"], head["samples"])
             if held >= together:
                 yield from blocks()
                 read, held = [], 0
