@@ -11,8 +11,8 @@ Classes: texts with equal words are first collapsed to one representative, named
 document id; its text is the row's with its smallest id and text digest. Bands of registers are bucket keys;
 every representative is verified against its buckets' centres, and connected components join what passes. What the
 centres leave apart is compared in full, with links as the only output: members of one family outside its largest
-component against the family, and members of different families that share a bucket. So no similar pair that shares a
-bucket stays unlinked. Verification is exact: Jaccard of the sets of five-word shingles, at least the threshold.
+component against the family, and members of different families that share a bucket, both in blocks of a bounded
+number of rows. So no similar pair that shares a bucket stays unlinked. Verification is exact: Jaccard of the sets of five-word shingles, at least the threshold.
 
 Edge cases: texts without a word form classes by equal text; a null text is a class of its own (by row id if that is
 null too: all such rows share class null); texts of fewer words than a shingle are one shingle; repeated rows get the
@@ -229,23 +229,23 @@ def centred(reps: DataFrame, files: int) -> DataFrame:
     return materialise(shared.drop("weight").join(centre, "bucket").select("bucket", "rep", "n", (-F.col("m.c")).alias("centre"), F.col("m.weight").alias("weight")).coalesce(files), "buckets")
 
 
-def within_families(families: DataFrame, texts: DataFrame, threshold: float, size: int, block: int) -> DataFrame:
-    """(a, b) links between components of a family, from (rep, hub, label).
-
-    All members outside a family's largest component meet all members, in blocks of about `block` rows a side. A block
-    pair emits no pairs but the links that join components it still sees apart, fewer than it has rows."""
-    counts = families.groupBy("hub", "label").agg(F.count(F.lit(1)).alias("n"))
-    whole = counts.groupBy("hub").agg(F.sum("n").alias("members"), F.max(F.struct("n", (-F.col("label")).alias("l"))).alias("main")).where("members > main.n")
-    whole = whole.select("hub", (-F.col("main.l")).alias("main"), F.ceil(F.col("members") / F.lit(block)).cast("int").alias("cols"), F.ceil((F.col("members") - F.col("main.n")) / F.lit(block)).cast("int").alias("rows"))
-    rows = families.join(whole, "hub").join(texts, "rep")
+def links_in_blocks(rows: DataFrame, key: list[str], texts: DataFrame, threshold: float, size: int, block: int) -> DataFrame:
+    """(a, b) links from (key, side, rep, label): within a key every row of the true side meets every row of the false
+    one, in blocks of about `block` rows a side. A block pair emits no pairs but the links that join components it still
+    sees apart, fewer than it has rows."""
+    counts = rows.groupBy(*key).agg(F.sum(F.col("side").cast("int")).alias("n"), F.sum((~F.col("side")).cast("int")).alias("m"))
+    parts = lambda c: F.greatest(F.ceil(F.col(c) / F.lit(block)), F.lit(1)).cast("int")
+    rows = rows.join(counts.where("n > 0 AND m > 0").select(*key, parts("n").alias("rows"), parts("m").alias("cols")), key).join(texts, "rep")
     deal = lambda n: F.pmod(F.xxhash64("rep"), n).cast("int")
-    minor = rows.where("label <> main").select("hub", deal(F.col("rows")).alias("i"), F.explode(F.sequence(F.lit(0), F.col("cols") - 1)).alias("j"), F.lit(True).alias("minor"), "rep", "label", "text")
-    other = rows.select("hub", F.explode(F.sequence(F.lit(0), F.col("rows") - 1)).alias("i"), deal(F.col("cols")).alias("j"), F.lit(False).alias("minor"), "rep", "label", "text")
+    other = F.when(F.col("side"), F.col("cols")).otherwise(F.col("rows"))
+    rows = rows.select(*key, "side", "rep", "label", "text", deal(F.when(F.col("side"), F.col("rows")).otherwise(F.col("cols"))).alias("mine"), F.explode(F.sequence(F.lit(0), other - 1)).alias("theirs"))
+    rows = rows.withColumns({"i": F.when(F.col("side"), F.col("mine")).otherwise(F.col("theirs")), "j": F.when(F.col("side"), F.col("theirs")).otherwise(F.col("mine"))})
 
     def kernel(table: pa.Table) -> pa.Table:
         hasher, group = Hasher(), {}
-        side, reps, labels, texts = (table.column(c).to_pylist() for c in ("minor", "rep", "label", "text"))
-        sets = [np.unique(shingle_hashes(hasher(split_words(t)), size)) for t in texts]
+        side, reps, labels, texts = (table.column(c).to_pylist() for c in ("side", "rep", "label", "text"))
+        known = {r: np.unique(shingle_hashes(hasher(split_words(t)), size)) for r, t in dict(zip(reps, texts)).items()}
+        sets = [known[r] for r in reps]
 
         def find(x: int) -> int:
             while group.setdefault(x, x) != x:
@@ -273,7 +273,29 @@ def within_families(families: DataFrame, texts: DataFrame, threshold: float, siz
                         found.append((reps[i], reps[theirs[k]]))
         return pa.table({"a": pa.array([a for a, _ in found], pa.int64()), "b": pa.array([b for _, b in found], pa.int64())})
 
-    return minor.unionByName(other).groupBy("hub", "i", "j").applyInArrow(kernel, "a long, b long")
+    return rows.drop("mine", "theirs").groupBy(*key, "i", "j").applyInArrow(kernel, "a long, b long")
+
+
+def family_rows(families: DataFrame) -> DataFrame:
+    """(hub, side, rep, label) from (rep, hub, label): members outside a family's largest component, and all members."""
+    counts = families.groupBy("hub", "label").agg(F.count(F.lit(1)).alias("n"))
+    whole = counts.groupBy("hub").agg(F.sum("n").alias("members"), F.max(F.struct("n", (-F.col("label")).alias("l"))).alias("main")).where("members > main.n")
+    rows = families.join(whole.select("hub", (-F.col("main.l")).alias("main")), "hub").select("hub", "rep", "label", "main")
+    minor = rows.where("label <> main").select("hub", F.lit(True).alias("side"), "rep", "label")
+    return minor.unionByName(rows.select("hub", F.lit(False).alias("side"), "rep", "label"))
+
+
+def meeting_rows(known: DataFrame) -> DataFrame:
+    """(h0, h1, side, rep, label) from (bucket, rep, hub, label, main): for families that meet in a bucket where one is
+    another's than the centre's, the members that lie in a bucket with the other family. Two families meet once,
+    however many buckets they share."""
+    hubs = known.select("bucket", "hub", "main").distinct()
+    pairs = hubs.where("hub <> main").select("bucket", F.col("hub").alias("x")).join(hubs.select("bucket", F.col("hub").alias("y")), "bucket").where("x <> y")
+    pairs = pairs.select("bucket", F.least("x", "y").alias("h0"), F.greatest("x", "y").alias("h1")).distinct()
+    sides = pairs.select("bucket", "h0", "h1", F.explode(F.array(F.struct(F.lit(True).alias("side"), F.col("h0").alias("hub")), F.struct(F.lit(False).alias("side"), F.col("h1").alias("hub")))).alias("s")).select("bucket", "h0", "h1", "s.*")
+    rows = known.join(sides, ["bucket", "hub"]).select("h0", "h1", "side", "rep", "label").distinct()
+    apart = rows.groupBy("h0", "h1").agg(F.min("label").alias("l0"), F.max("label").alias("l1")).where("l0 < l1").select("h0", "h1")
+    return rows.join(apart, ["h0", "h1"])
 
 
 #: Rows a side of a block pair.
@@ -309,18 +331,14 @@ def classified(docs: DataFrame, threshold: float, bands: int, rows: int, size: i
     hubs = shared.groupBy("rep").agg(F.max(F.struct("weight", (-F.col("centre")).alias("c"))).alias("m")).select("rep", (-F.col("m.c")).alias("hub"))
     labelled = hubs.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("rep", "hub", F.coalesce("label", "rep").alias("label"))
     labelled = materialise(labelled.coalesce(files), "families")
-    inside = materialise(within_families(labelled, texts, threshold, size, block).repartition(files), "verified")
+    inside = materialise(links_in_blocks(family_rows(labelled), ["hub"], texts, threshold, size, block).repartition(files), "verified")
 
     # ... and buckets where families meet: members of another family than the centre's against the others
-    known = shared.select("bucket", "rep", "n", "centre").join(labelled, "rep")
+    known = shared.select("bucket", "rep", "centre").join(labelled, "rep")
     mixed = known.groupBy("bucket").agg(F.min("hub").alias("h0"), F.max("hub").alias("h1"), F.min("label").alias("l0"), F.max("label").alias("l1"), F.min(F.when(F.col("rep") == F.col("centre"), F.col("hub"))).alias("main")).where("h0 < h1 AND l0 < l1").select("bucket", "main")
-    known = materialise(known.join(mixed, "bucket").coalesce(files), "mixed")
-    odd = known.where("hub <> main").select("bucket", F.col("rep").alias("a"), F.col("n").alias("n_a"), F.col("label").alias("label_a"), F.col("hub").alias("hub_a"))
-    other = known.select("bucket", F.col("rep").alias("b"), F.col("n").alias("n_b"), F.col("label").alias("label_b"), F.col("hub").alias("hub_b"))
-    fits = (F.col("label_a") != F.col("label_b")) & (F.col("hub_a") != F.col("hub_b")) & (F.least("n_a", "n_b") >= threshold * F.greatest("n_a", "n_b"))
-    across = odd.join(other, "bucket").where(fits).select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
-    across = across.join(pairs, ["a", "b"], "left_anti")
-    more = materialise(inside.unionByName(verified(across, texts, threshold, size).repartition(files)), "verified")
+    known = materialise(known.join(mixed, "bucket").select("bucket", "rep", "hub", "label", "main").coalesce(files), "mixed")
+    across = links_in_blocks(meeting_rows(known), ["h0", "h1"], texts, threshold, size, block)
+    more = materialise(inside.unionByName(across.repartition(files)), "verified")
     if not more.isEmpty():
         labels = components(links.unionByName(more))
 

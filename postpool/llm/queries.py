@@ -57,6 +57,25 @@ def op7_prob_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dup.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+#: Exact: rows with equal words are one node; pairs that share one of their rarest shingles (as many as a pair at 0.8
+#: must share one of) are counted in full; then the closure of the links.
+OP7_SQL = r"""
+WITH RECURSIVE d AS (SELECT row_number() OVER () AS r, doc_id, text, regexp_extract_all(lower(text), '[\p{L}\p{N}]+') AS w FROM documents),
+k AS (SELECT *, CASE WHEN text IS NULL THEN 'n' || r WHEN len(w) = 0 THEN 't' || text ELSE 'w' || array_to_string(w, ' ') END AS key FROM d),
+node AS (SELECT key, min(r) AS n, any_value(w) AS w FROM k GROUP BY key),
+sh AS (SELECT DISTINCT n, array_to_string(w[i : i + 4], ' ') AS s FROM (SELECT n, w, unnest(range(1, greatest(len(w) - 3, 2))) AS i FROM node WHERE len(w) > 0)),
+rare AS (SELECT s, count(*) AS c FROM sh GROUP BY s HAVING count(*) > 1),
+placed AS (SELECT n, s, c, row_number() OVER (PARTITION BY n ORDER BY coalesce(c, 1), s) AS pos, count(*) OVER (PARTITION BY n) AS size FROM sh LEFT JOIN rare USING (s)),
+lead_ AS (SELECT n, s, size FROM placed WHERE c > 1 AND pos <= size - (4 * size + 4) // 5 + 1),
+cand AS (SELECT DISTINCT a.n AS a, b.n AS b, a.size AS x, b.size AS y FROM lead_ a JOIN lead_ b ON a.s = b.s AND a.n < b.n WHERE 5 * least(a.size, b.size) >= 4 * greatest(a.size, b.size)),
+link AS (SELECT a, b FROM cand JOIN sh p ON p.n = a JOIN sh q ON q.n = b AND q.s = p.s GROUP BY a, b, x, y HAVING 5 * count(*) >= 4 * (x + y - count(*))),
+edge AS (SELECT a, b FROM link UNION ALL SELECT b, a FROM link),
+reach(n, m) AS (SELECT a, a FROM edge UNION SELECT reach.n, edge.b FROM reach JOIN edge ON edge.a = reach.m),
+class AS (SELECT node.key, coalesce(min(m), any_value(node.n)) AS c FROM node LEFT JOIN reach ON reach.n = node.n GROUP BY node.key)
+SELECT doc_id, min(doc_id) OVER (PARTITION BY c) AS class_id FROM k JOIN class USING (key)
+"""
+
+
 def op8_lookup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.place(table(spark, sf_dir, "documents").select("doc_id"), "doc_id")
 
@@ -126,4 +145,4 @@ QUERIES = {
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op6_chat": OP6_SQL, "op8_lookup": _op8_sql(), "op9_suffix_arrays": OP9_SQL, "op10_warc": OP10_SQL}
+    return {"op6_chat": OP6_SQL, "op7_prob_minhash": OP7_SQL, "op8_lookup": _op8_sql(), "op9_suffix_arrays": OP9_SQL, "op10_warc": OP10_SQL}

@@ -218,6 +218,66 @@ def test_near_duplicates_against_all_pairs(spark, sf):
     assert any(k != v for k, v in got.items())
 
 
+def test_near_duplicate_twin(spark, sf):
+    assert_twin(queries.op7_prob_minhash(spark, sf), connect(sf), queries.OP7_SQL)
+
+
+def test_near_duplicates_lose_nothing_at_larger_size(spark):
+    """An exact shingle join over 1,000 documents gives the same classes."""
+    d = "/root/testdata/sf0.01"
+    assert_twin(queries.op7_prob_minhash(spark, d), connect(d), queries.OP7_SQL)
+
+
+@pytest.mark.parametrize("times", [1, 5, 20, 50, 200])
+def test_bands_meet_whatever_lines_repeat(times):
+    """Share of pairs at a Jaccard similarity of 0.8 and a little more that have a common band, lines repeated on one side."""
+    r = random.Random(times)
+    word = lambda: f"w{r.randint(0, 10**9)}"
+    met, n = 0, 300
+    for _ in range(n):
+        lines = [" ".join(word() for _ in range(12)) for _ in range(20)]
+        a = " ".join(lines).split()
+        b = " ".join(x for i, x in enumerate(lines) for _ in range(times if i % 3 == 0 else 1)).split()
+        for _ in range(2):
+            b[r.randrange(len(b))] = word()
+        hashes = N.Hasher()
+        found = [np.unique(N.shingle_hashes(hashes(x)), return_counts=True) for x in (a, b)]
+        both = len(np.intersect1d(found[0][0], found[1][0]))
+        if both < 0.8 * (len(found[0][0]) + len(found[1][0]) - both):
+            n -= 1
+            continue
+        plain = N.band_hashes([x for x, _ in found], [np.ones(len(c)) for _, c in found], N.BANDS, N.ROWS)
+        met += bool(set(plain[0].tolist()) & set(plain[1].tolist()))
+    assert n > 50 and met / n >= 0.99
+
+
+def test_families_that_meet(spark):
+    """Two families of copies with links across: found in blocks, without a row for each pair."""
+    r = random.Random(12)
+    base = [f"w{r.randint(0, 10**6)}" for _ in range(100)]
+    other = base[:50] + [f"x{r.randint(0, 10**6)}" for _ in range(9)] + base[59:]
+
+    def edited(words, n):
+        w = list(words)
+        for _ in range(n):
+            w[r.randrange(100)] = f"e{r.randint(0, 10**6)}"
+        return " ".join(w)
+
+    rows = [(i, edited(base if i % 2 else other, r.randint(0, 3))) for i in range(160)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    want = brute_classes(rows)
+    for block in (8, 96):
+        assert {x.doc_id: x.class_id for x in N.near_duplicates(docs, block=block).collect()} == want
+
+
+def test_meeting_rows(spark):
+    """Families meet once over all their buckets, and only where labels differ."""
+    rows = [(b, rep, hub, rep if hub == 1 else 50, 1) for b in (10, 11) for rep, hub in ((1, 1), (2, 1), (3, 2), (4, 2))] + [(12, 1, 1, 7, 1), (12, 9, 3, 7, 1)]
+    known = spark.createDataFrame(rows, "bucket long, rep long, hub long, label long, main long")
+    got = sorted(map(tuple, N.meeting_rows(known).collect()))
+    assert got == [(1, 2, False, 3, 50), (1, 2, False, 4, 50), (1, 2, True, 1, 1), (1, 2, True, 2, 2)]
+
+
 def test_dense_family(spark):
     """Edited copies that are near some others and far from the rest: no link within a bucket is lost."""
     r = random.Random(11)
