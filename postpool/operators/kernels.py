@@ -3,15 +3,22 @@
 from __future__ import annotations
 
 import heapq
-import json
-from collections.abc import Iterator
+from collections import OrderedDict
+from collections.abc import Iterator, Sequence
+from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, functions as F
 
 from ..functions import codec
-from .retrieval import B, K1, MOST_TERMS, ranked
+from ..runtime import ship
+from .retrieval import B, K1, query_batches, ranked
+
+#: Decoded blocks that a kernel keeps.
+KEPT_BLOCKS = 1 << 14
 
 
 def gallop(values, target: int, lo: int = 0) -> tuple[int, int]:
@@ -34,68 +41,118 @@ def gallop(values, target: int, lo: int = 0) -> tuple[int, int]:
     return lo, probes
 
 
+@dataclass
+class TermList:
+    """One term's segments in a shard: zone maps, and blocks by segment number, which stay compressed. Bounds are of
+    whole segments; lengths are of the documents in a segment."""
+
+    first: list[int]
+    last: list[int]
+    size: int
+    d: Sequence
+    f: Sequence
+    lengths: Sequence | None = None
+    bounds: list[float] | None = None
+
+
+class Rows:
+    """A list's values in an Arrow column, by segment number."""
+
+    def __init__(self, column: pa.ChunkedArray, order: np.ndarray):
+        self.column, self.order = column, order
+
+    def __getitem__(self, i: int):
+        one = self.column[int(self.order[i])]
+        return one.values.to_pylist() if pa.types.is_list(one.type) else one.as_buffer()
+
+
 class Lists:
-    """A shard's lists: zone maps of all segments, blocks decoded on demand and kept for the batch of queries."""
-
-    def __init__(self):
-        self.rows: dict[str, list[tuple]] = {}
-        self.zones: dict[str, tuple[np.ndarray, np.ndarray]] = {}
-        self.docs: dict[tuple[str, int], np.ndarray] = {}
-        self.tfs: dict[tuple[str, int], np.ndarray] = {}
-        self.sizes: dict[str, int] = {}
-
-    def add(self, row: dict) -> None:
-        self.rows.setdefault(row["term"], []).append(row)
-        self.sizes[row["term"]] = self.sizes.get(row["term"], 0) + row["n_docs"]
-
-    def close(self) -> None:
-        for term, rows in self.rows.items():
-            rows.sort(key=lambda r: r["seg_no"])
-            self.zones[term] = np.array([r["first_doc"] for r in rows]), np.array([r["last_doc"] for r in rows])
-
-    def segment(self, term: str, i: int, work: dict) -> np.ndarray:
-        key = (term, i)
-        if key not in self.docs:
-            self.docs[key] = np.cumsum(codec.pfor_decode(self.rows[term][i]["d_block"]))
-        if key not in work["seen"]:
-            work["seen"].add(key)
+    """A shard's lists. Decoded blocks are kept up to a number, the least recently used go first."""
+
+    def __init__(self, kept: int = KEPT_BLOCKS):
+        self.terms: dict[str, TermList] = {}
+        self.blocks: OrderedDict[tuple, list[int]] = OrderedDict()
+        self.kept = kept
+
+    @classmethod
+    def of_table(cls, table: pa.Table) -> Lists:
+        """From rows of segments (term, seg_no, n_docs, first_doc, last_doc, d_block, and f_block, lengths, bound if
+        there); the blocks stay in their Arrow buffers."""
+        out = cls()
+        if not table.num_rows:
+            return out
+        order = pc.sort_indices(table.select(["term", "seg_no"]), [("term", "ascending"), ("seg_no", "ascending")]).to_numpy()
+        terms = table["term"].take(pa.array(order)).combine_chunks()
+        cut = np.flatnonzero(pc.not_equal(terms[1:], terms[:-1]).to_numpy(zero_copy_only=False)) + 1 if len(terms) > 1 else np.zeros(0, np.int64)
+        starts = [0, *cut.tolist()]
+        first, last, sizes = (table[c].to_numpy()[order] for c in ("first_doc", "last_doc", "n_docs"))
+        bound = table["bound"].to_numpy()[order] if "bound" in table.column_names else None
+        for a, z in zip(starts, [*starts[1:], len(order)]):
+            part = order[a:z]
+            column = lambda c: Rows(table[c], part) if c in table.column_names else None  # noqa: E731,B023
+            out.terms[terms[a].as_py()] = TermList(first[a:z].tolist(), last[a:z].tolist(), int(sizes[a:z].sum()), column("d_block"), column("f_block"), column("lengths"), None if bound is None else bound[a:z].tolist())
+        return out
+
+    def _block(self, kind: str, term: str, i: int, make) -> list[int]:
+        key = (kind, term, i)
+        found = self.blocks.get(key)
+        if found is None:
+            found = self.blocks[key] = make()
+            if len(self.blocks) > self.kept:
+                self.blocks.popitem(last=False)
+        else:
+            self.blocks.move_to_end(key)
+        return found
+
+    def docs(self, term: str, i: int, work: dict) -> list[int]:
+        out = self._block("d", term, i, lambda: np.cumsum(codec.pfor_decode(self.terms[term].d[i])).tolist())
+        if (term, i) not in work["seen"]:
+            work["seen"].add((term, i))
             work["segments_decoded"] += 1
-            work["postings_decoded"] += len(self.docs[key])
-        return self.docs[key]
+            work["postings_decoded"] += len(out)
+        return out
+
+    def tfs(self, term: str, i: int) -> list[int]:
+        return self._block("f", term, i, lambda: codec.pfor_decode(self.terms[term].f[i]).tolist())
 
-    def tf(self, term: str, i: int) -> np.ndarray:
-        key = (term, i)
-        if key not in self.tfs:
-            self.tfs[key] = codec.pfor_decode(self.rows[term][i]["f_block"])
-        return self.tfs[key]
+    def lengths(self, term: str, i: int) -> list[int]:
+        return self._block("n", term, i, lambda: self.terms[term].lengths[i])
 
 
 def new_work() -> dict:
     return {"seen": set(), "segments_decoded": 0, "postings_decoded": 0, "probes": 0, "pivots": 0, "scored": 0}
 
 
-def small_versus_small(lists: Lists, terms: list[str], work: dict) -> np.ndarray:
-    """The whole intersection: shortest list first, then the running set against each next list. A segment is decoded
-    only if a candidate falls between its first and last document."""
-    terms = sorted(dict.fromkeys(terms), key=lambda t: (lists.sizes.get(t, 0), t))
-    if not terms or terms[0] not in lists.rows:
-        return np.zeros(0, np.int64)
-    found = np.concatenate([lists.segment(terms[0], i, work) for i in range(len(lists.rows[terms[0]]))])
+def small_versus_small(lists: Lists, terms: list[str], work: dict) -> list[int]:
+    """The whole intersection: shortest list first, then the running set gallops through each next list, from segment to
+    segment over the zone maps and then within one. A segment is decoded only if a candidate falls between its first and
+    last document; probes are comparisons made."""
+    terms = list(dict.fromkeys(terms))
+    if not terms or any(t not in lists.terms for t in terms):
+        return []
+    terms.sort(key=lambda t: (lists.terms[t].size, t))
+    found = [d for i in range(len(lists.terms[terms[0]].last)) for d in lists.docs(terms[0], i, work)]
     for term in terms[1:]:
-        first, last = lists.zones[term]
-        at = np.searchsorted(last, found)
-        inside = at < len(last)
-        inside[inside] &= first[at[inside]] <= found[inside]
-        kept = []
-        for i in np.unique(at[inside]).tolist():
-            docs = lists.segment(term, i, work)
-            want = found[inside & (at == i)]
-            place = np.searchsorted(docs, want)
-            steps = np.diff(place, prepend=0)
-            work["probes"] += int((2 * np.ceil(np.log2(np.maximum(steps, 1) + 1))).sum())
-            kept.append(want[docs[np.minimum(place, len(docs) - 1)] == want])
-        found = np.concatenate(kept) if kept else np.zeros(0, np.int64)
-        if not len(found):
+        first, last = lists.terms[term].first, lists.terms[term].last
+        kept, at, docs, slot, probes = [], 0, None, 0, 0
+        for doc in found:
+            if last[at] < doc:
+                at, n = gallop(last, doc, at + 1)
+                probes += n
+                if at == len(last):
+                    break
+                docs = None
+            if first[at] > doc:
+                continue
+            if docs is None:
+                docs, slot = lists.docs(term, at, work), 0
+            slot, n = gallop(docs, doc, slot)
+            probes += n
+            if docs[slot] == doc:
+                kept.append(doc)
+        work["probes"] += probes
+        found = kept
+        if not found:
             break
     return found
 
@@ -105,45 +162,54 @@ class Cursor:
 
     def __init__(self, lists: Lists, term: str, bound: float, order: int, work: dict):
         self.lists, self.term, self.bound, self.order, self.work = lists, term, bound, order, work
-        self.first, self.last = lists.zones[term]
+        self.list = lists.terms[term]
+        self.first, self.last = self.list.first, self.list.last
         self.i = self.j = 0
-        self.docs = None
-        self.doc = int(self.first[0])
+        self.held = None
+        self.doc = self.first[0]
 
     def seek(self, target: int) -> None:
         if self.doc >= target:
             return
         if target > self.last[self.i]:
-            self.i = int(np.searchsorted(self.last, target))
-            self.docs, self.j = None, 0
+            self.i, probes = gallop(self.last, target, self.i + 1)
+            self.work["probes"] += probes
+            self.held, self.j = None, 0
             if self.i >= len(self.last):
                 self.doc = None
                 return
             if target <= self.first[self.i]:
-                self.doc = int(self.first[self.i])
+                self.doc = self.first[self.i]
                 return
-        if self.docs is None:
-            self.docs = self.lists.segment(self.term, self.i, self.work)
-        self.j, probes = gallop(self.docs, target, self.j)
+        docs = self._docs()
+        self.j, probes = gallop(docs, target, self.j)
         self.work["probes"] += probes
-        self.doc = int(self.docs[self.j])
+        self.doc = docs[self.j]
+
+    def _docs(self) -> list[int]:
+        if self.held is None:
+            self.held = self.lists.docs(self.term, self.i, self.work)
+        return self.held
 
-    def tf(self) -> int:
-        if self.docs is None:
-            self.docs = self.lists.segment(self.term, self.i, self.work)
-        return int(self.lists.tf(self.term, self.i)[self.j])
+    def weight(self, idf: float, avg: float) -> float:
+        """BM25 part of the posting at the cursor; its document's length lies beside it."""
+        self._docs()
+        tf = self.lists.tfs(self.term, self.i)[self.j]
+        return idf * tf * (K1 + 1) / (tf + K1 * (1 - B + B * self.lists.lengths(self.term, self.i)[self.j] / avg))
 
     def block(self, target: int) -> int | None:
         """Segment that would hold the target."""
-        i = int(np.searchsorted(self.last, target))
+        i, probes = gallop(self.last, target, self.i)
+        self.work["probes"] += probes
         return i if i < len(self.last) else None
 
 
-def weak_and(lists: Lists, terms: dict[str, tuple[float, float, int]], k: int, length, avg: float, work: dict, blocks: dict[str, np.ndarray] | None = None) -> list[tuple[float, int]]:
-    """The k best (score, doc). terms: idf, bound and order of each term; blocks: bounds of each segment (block-max).
+def weak_and(lists: Lists, terms: dict[str, tuple[float, float, int]], k: int, avg: float, work: dict, by_block: bool = False) -> list[tuple[float, int]]:
+    """The k best (score, doc). terms: idf, bound and order of each term; by_block: the block-max test with the bounds of
+    segments.
 
     Scores are rounded to 6 places, and a document is passed over only if its bound can't reach the k-th score even so."""
-    cursors = [Cursor(lists, t, bound, order, work) for t, (_, bound, order) in terms.items() if t in lists.rows]
+    cursors = [Cursor(lists, t, bound, order, work) for t, (_, bound, order) in terms.items() if t in lists.terms]
     heap: list[tuple[float, int]] = []
     slack = 1e-6
     while cursors:
@@ -161,21 +227,18 @@ def weak_and(lists: Lists, terms: dict[str, tuple[float, float, int]], k: int, l
         while pivot + 1 < len(cursors) and cursors[pivot + 1].doc == doc:
             pivot += 1
         work["pivots"] += 1
-        if blocks is not None:
+        if by_block:
             held = [(c, c.block(doc)) for c in cursors[: pivot + 1]]
-            best = sum(blocks[c.term][i] for c, i in held if i is not None)
+            best = sum(c.list.bounds[i] for c, i in held if i is not None)
             if best * (1 + 1e-9) + slack < least:
-                leave = min([int(c.last[i]) + 1 for c, i in held if i is not None] + ([cursors[pivot + 1].doc] if pivot + 1 < len(cursors) else []))
+                leave = min([c.last[i] + 1 for c, i in held if i is not None] + ([cursors[pivot + 1].doc] if pivot + 1 < len(cursors) else []))
                 leave = max(leave, doc + 1)
                 for c in cursors[: pivot + 1]:
                     c.seek(leave)
                 cursors = [c for c in cursors if c.doc is not None]
                 continue
         if cursors[0].doc == doc:
-            score = 0.0
-            for c in sorted((c for c in cursors[: pivot + 1] if c.doc == doc), key=lambda c: c.order):
-                tf = c.tf()
-                score += terms[c.term][0] * tf * (K1 + 1) / (tf + K1 * (1 - B + B * length(doc) / avg))
+            score = sum((c.weight(terms[c.term][0], avg) for c in sorted((c for c in cursors[: pivot + 1] if c.doc == doc), key=lambda c: c.order)), 0.0)
             work["scored"] += 1
             entry = (round(score, 6), -doc)
             if len(heap) < k:
@@ -193,102 +256,90 @@ def weak_and(lists: Lists, terms: dict[str, tuple[float, float, int]], k: int, l
     return [(s, -d) for s, d in sorted(heap, key=lambda e: (-e[0], -e[1]))]
 
 
-def needed(segments: DataFrame, queries: DataFrame, columns: list[str]) -> DataFrame:
-    """Only segments of terms that some query has, only the asked-for columns, shard by shard in term order."""
+def by_shard(segments: DataFrame, queries: DataFrame, columns: list[str], kernel, schema: str) -> DataFrame:
+    """The kernel over each shard's segments of terms that some query has, with only the asked-for columns.
+
+    A table of `index.serve` is bucketed by `slot`, so that its shards are read where they lie; other segments are
+    shuffled by shard. A worker holds the compressed blocks of one shard's query terms: shards, being document ranges,
+    are to be cut so that these fit."""
+    ship(segments.sparkSession)
+    key = "slot" if "slot" in segments.columns else "shard"
     terms = queries.select(F.explode("terms").alias("term")).distinct()
-    rows = segments.select("shard", "term", "seg_no", "n_docs", "first_doc", "last_doc", *columns).join(F.broadcast(terms), "term", "left_semi")
-    return rows.repartition("shard").sortWithinPartitions("shard", "term", "seg_no")
+    rows = segments.select(key, "term", "seg_no", "n_docs", "first_doc", "last_doc", *columns).join(F.broadcast(terms), "term", "left_semi")
+    return rows.groupBy(key).applyInArrow(kernel, schema)
 
 
 def collected(queries: DataFrame) -> list[tuple[int, list[str]]]:
-    """The query batch on the driver; its number of terms is checked first."""
-    n = queries.agg(F.coalesce(F.sum(F.size("terms")), F.lit(0))).first()[0]
-    if n > MOST_TERMS:
-        raise ValueError(f"{n} query terms; run the set in batches of at most {MOST_TERMS}")
+    """A query batch, on the driver."""
     return [(r.query_id, list(dict.fromkeys(r.terms))) for r in queries.select("query_id", "terms").collect()]
 
 
-def _shards(it: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, Lists]]:
-    shard, lists = None, Lists()
-    for batch in it:
-        for row in batch.to_pylist():
-            if row["shard"] != shard:
-                if shard is not None:
-                    lists.close()
-                    yield shard, lists
-                shard, lists = row["shard"], Lists()
-            lists.add(row)
-    if shard is not None:
-        lists.close()
-        yield shard, lists
+COUNTERS = ("segments_decoded", "postings_decoded", "probes", "pivots", "scored")
+COUNTED = "query_id long, " + ", ".join(f"{c} long" for c in COUNTERS)
 
 
-COUNTERS = ("segments_decoded", "postings_decoded", "probes", "pivots", "scored")
+def _counted(counts: list[tuple[int, dict]]) -> pa.Table:
+    rows = [(q, *(work[c] for c in COUNTERS)) for q, work in counts]
+    return pa.table({n: pa.array(c, pa.int64()) for n, c in zip(["query_id", *COUNTERS], zip(*rows) if rows else [()] * (1 + len(COUNTERS)))})
+
+
+def _over_batches(queries: DataFrame, one) -> DataFrame:
+    """Answers of query batches are disjoint by query."""
+    return reduce(DataFrame.unionByName, map(one, query_batches(queries)))
 
 
 def svs(segments: DataFrame, queries: DataFrame, counters: bool = False) -> DataFrame:
     """(query_id, doc_id), or (query_id, counters) with counters=True. Each shard answers all queries; answers of
     shards are disjoint, so nothing is shuffled after the kernel."""
-    batch = segments.sparkSession.sparkContext.broadcast(collected(queries))
 
-    def kernel(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for _, lists in _shards(it):
-            ids, docs, counts = [], [], []
+    def one(part: DataFrame) -> DataFrame:
+        batch = segments.sparkSession.sparkContext.broadcast(collected(part))
+
+        def kernel(table: pa.Table) -> pa.Table:
+            lists, ids, docs, counts = Lists.of_table(table), [], [], []
             for query, terms in batch.value:
                 work = new_work()
                 found = small_versus_small(lists, terms, work)
-                ids.append(np.full(len(found), query)), docs.append(found)
-                counts.append((query, *(work[c] for c in COUNTERS)))
-            if counters:
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*counts)], names=["query_id", *COUNTERS])
-            else:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(ids), pa.int64()), pa.array(np.concatenate(docs), pa.int64())], names=["query_id", "doc_id"])
+                ids += [query] * len(found)
+                docs += found
+                counts.append((query, work))
+            return _counted(counts) if counters else pa.table({"query_id": pa.array(ids, pa.int64()), "doc_id": pa.array(docs, pa.int64())})
+
+        return by_shard(segments, part, ["d_block"], kernel, COUNTED if counters else "query_id long, doc_id long")
 
-    rows = needed(segments, queries, ["d_block"])
-    if not counters:
-        return rows.mapInArrow(kernel, "query_id long, doc_id long")
-    out = rows.mapInArrow(kernel, "query_id long, " + ", ".join(f"{c} long" for c in COUNTERS))
-    return out.groupBy("query_id").agg(*(F.sum(c).alias(c) for c in COUNTERS))
+    out = _over_batches(queries, one)
+    return out.groupBy("query_id").agg(*(F.sum(c).alias(c) for c in COUNTERS)) if counters else out
 
 
-def wand(segments: DataFrame, queries: DataFrame, bounds: DataFrame, stats: DataFrame, coll: DataFrame, k: int, block_bounds: DataFrame | None = None, counters: bool = False) -> DataFrame:
-    """(query_id, rank, doc_id, score). bounds: (term, term_id, df, max_contrib) with statistics of the whole collection,
-    so that scores of shards compare; block_bounds: (shard, term, seg_no, bound) turns on the block-max test.
+def wand(segments: DataFrame, queries: DataFrame, dictionary: DataFrame, coll: DataFrame, k: int, by_block: bool = False, counters: bool = False) -> DataFrame:
+    """(query_id, rank, doc_id, score). dictionary: (term, term_id, df, max_contrib) with statistics of the whole
+    collection, so that scores of shards compare; by_block turns on the block-max test with the segments' `bound`.
 
-    Document lengths reach the kernel beside the segments of their shard, as arrays in segment rows."""
+    Of the dictionary only the terms of a query batch come to the driver. A document's length is read from the segment
+    under the cursor."""
     spark = segments.sparkSession
-    wanted = collected(queries)
-    used = queries.select(F.explode("terms").alias("term")).distinct()
     n_docs, avg = coll.select("n_docs", "avg_len").first()
-    info = {r.term: (float(r.idf), float(r.max_contrib), int(r.term_id)) for r in bounds.join(F.broadcast(used), "term", "left_semi").select("term", "term_id", "max_contrib", F.log1p((F.lit(n_docs) - F.col("df") + 0.5) / (F.col("df") + 0.5)).alias("idf")).collect()}
-    batch = spark.sparkContext.broadcast((wanted, info))
-    rows = segments.select("shard", "term", "seg_no", "n_docs", "first_doc", "last_doc", "d_block", "f_block", "lengths")
-    by_block = block_bounds is not None
-    if by_block:
-        rows = rows.join(block_bounds, ["shard", "term", "seg_no"])
-    rows = rows.join(F.broadcast(used), "term", "left_semi").repartition("shard").sortWithinPartitions("shard", "term", "seg_no")
-
-    def kernel(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for _, lists in _shards(it):
-            lengths: dict[int, int] = {}
-            for term, segs in lists.rows.items():
-                for i, r in enumerate(segs):
-                    docs = np.cumsum(codec.pfor_decode(r["d_block"]))
-                    lengths.update(zip(docs.tolist(), r["lengths"]))
-            blocks = {t: np.array([r["bound"] for r in segs]) for t, segs in lists.rows.items()} if by_block else None
-            out, counts = [], []
-            for query, terms in batch.value[0]:
+
+    def one(part: DataFrame) -> DataFrame:
+        used = part.select(F.explode("terms").alias("term")).distinct()
+        idf = F.log1p((F.lit(n_docs) - F.col("df") + 0.5) / (F.col("df") + 0.5))
+        info = {r.term: (float(r.idf), float(r.max_contrib), int(r.term_id)) for r in dictionary.join(F.broadcast(used), "term", "left_semi").select("term", "term_id", "max_contrib", idf.alias("idf")).collect()}
+        batch = spark.sparkContext.broadcast((collected(part), info))
+
+        def kernel(table: pa.Table) -> pa.Table:
+            lists, out, counts = Lists.of_table(table), [], []
+            wanted, about = batch.value
+            for query, terms in wanted:
                 work = new_work()
-                known = {t: batch.value[1][t] for t in terms if t in batch.value[1]}
-                top = weak_and(lists, known, k, lengths.__getitem__, avg, work, blocks)
+                top = weak_and(lists, {t: about[t] for t in terms if t in about}, k, avg, work, by_block)
                 out += [(query, d, s) for s, d in top]
-                counts.append((query, *(work[c] for c in COUNTERS)))
+                counts.append((query, work))
             if counters:
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*counts)], names=["query_id", *COUNTERS])
-            elif out:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), (pa.int64(), pa.int64(), pa.float64()))], names=["query_id", "doc_id", "score"])
-
-    if counters:
-        found = rows.mapInArrow(kernel, "query_id long, " + ", ".join(f"{c} long" for c in COUNTERS))
-        return found.groupBy("query_id").agg(*(F.sum(c).alias(c) for c in COUNTERS))
-    return ranked(rows.mapInArrow(kernel, "query_id long, doc_id long, score double"), k)
+                return _counted(counts)
+            kinds = {"query_id": pa.int64(), "doc_id": pa.int64(), "score": pa.float64()}
+            return pa.table({n: pa.array(c, t) for (n, t), c in zip(kinds.items(), zip(*out) if out else [()] * 3)})
+
+        return by_shard(segments, part, ["d_block", "f_block", "lengths", *(["bound"] if by_block else [])], kernel, COUNTED if counters else "query_id long, doc_id long, score double")
+
+    found = _over_batches(queries, one)
+    return found.groupBy("query_id").agg(*(F.sum(c).alias(c) for c in COUNTERS)) if counters else ranked(found, k)

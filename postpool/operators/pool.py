@@ -6,7 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window, functions as F
+from pyspark.sql import DataFrame, functions as F
 
 from ..config import IndexConfig
 from ..functions import analyze, codec, schedule
@@ -29,6 +29,13 @@ def flush_events(ranked: DataFrame, cfg: IndexConfig) -> DataFrame:
     return full.select(*(c for c in ("shard",) if c in ranked.columns), "term", "term_id", "group_no", F.col("doc_id").alias("trigger_doc"), F.get("positions", F.lit(0)).cast("long").alias("trigger_pos"))
 
 
+def events_of_segments(segments: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """The same from segments alone, for any cap: a group's trigger is the last posting of its last segment, if full."""
+    group = schedule.group_of_segment(F.col("seg_no"), cfg.cap)
+    full = segments.where((F.col("n_docs") == cfg.block) & ((F.col("seg_no") + 1) * cfg.block == schedule.group_end(group, cfg.block, cfg.cap)))
+    return full.select(*(c for c in ("shard",) if c in segments.columns), "term", "term_id", group.alias("group_no"), F.col("last_doc").alias("trigger_doc"), F.col("last_pos").alias("trigger_pos"))
+
+
 def final_flush(dictionary: DataFrame, cfg: IndexConfig) -> DataFrame:
     """(term, n_left, n_segments): what the last flush writes, from list lengths alone."""
     last = schedule.groups_of_list(F.col("df"), cfg.block, cfg.cap) - 1
@@ -39,16 +46,18 @@ def final_flush(dictionary: DataFrame, cfg: IndexConfig) -> DataFrame:
 
 
 def assemble(ranked: DataFrame, cfg: IndexConfig, keys: tuple[str, ...] = ()) -> DataFrame:
-    """One row per segment (at most `block` postings): doc ids, tfs and position gaps in document order."""
+    """One row per segment (at most `block` postings): doc ids, tfs and position gaps in document order. last_pos is
+    the term's first place in last_doc; lengths (of documents) and df come along if the postings have them."""
     rows = with_groups(ranked, cfg)
     known = "doc_len" in ranked.columns
     one = F.struct("doc_id", "tf", analyze.position_gaps(F.col("positions")).alias("gaps"), *(["doc_len"] if known else []))
-    segs = rows.groupBy(*keys, "term", "term_id", "seg_no", "group_no").agg(F.sort_array(F.collect_list(one)).alias("p"), F.max("rank").alias("last_rank"))
+    df = [F.first("df").alias("df")] if "df" in ranked.columns else []
+    segs = rows.groupBy(*keys, "term", "term_id", "seg_no", "group_no").agg(F.sort_array(F.collect_list(one)).alias("p"), F.max("rank").alias("last_rank"), *df)
     docs = F.transform("p", lambda x: x["doc_id"])
     return segs.select(
         *keys, "term", "term_id", "seg_no", "group_no", "last_rank", docs.alias("docs"), F.transform("p", lambda x: x["tf"]).alias("tfs"), F.flatten(F.transform("p", lambda x: x["gaps"])).alias("gaps"),
         F.get(docs, F.lit(0)).alias("first_doc"), F.element_at(docs, -1).alias("last_doc"), F.size("p").alias("n_docs"), F.array_max(F.transform("p", lambda x: x["tf"])).alias("max_tf"),
-        *([F.transform("p", lambda x: x["doc_len"]).alias("lengths")] if known else []),
+        F.get(F.element_at("p", -1)["gaps"], F.lit(0)).cast("long").alias("last_pos"), *([F.transform("p", lambda x: x["doc_len"].cast("int")).alias("lengths")] if known else []), *(["df"] if df else []),
     )
 
 
@@ -95,27 +104,78 @@ def encode(segments: DataFrame, cfg: IndexConfig) -> DataFrame:
     return segments.mapInArrow(kernel, schema)
 
 
-def decode(encoded: DataFrame, positions: bool = True) -> DataFrame:
-    """(term, seg_no, doc_id, tf, positions) from the compressed blocks; only the asked-for columns are read."""
-    wanted = ["term", "seg_no", "d_block", "f_block", *(["p_blocks"] if positions else [])]
+DECODED = "term string, seg_no long, doc_id long, tf int, positions array<int>"
+
+
+def decoded(rows: list[dict], positions: bool) -> pa.RecordBatch:
+    """DECODED rows of segments, in their order."""
+    out: list[list] = [[], [], [], [], []]
+    for r in rows:
+        docs, tfs = np.cumsum(codec.pfor_decode(r["d_block"])).tolist(), codec.pfor_decode(r["f_block"]).tolist()
+        gaps = np.concatenate([codec.pfor_decode(b) for b in r["p_blocks"]]) if positions and r["p_blocks"] else None
+        at = 0
+        for doc, tf in zip(docs, tfs):
+            pos = np.cumsum(gaps[at : at + tf]).tolist() if gaps is not None else None
+            at += tf
+            for c, v in zip(out, (r["term"], r["seg_no"], doc, tf, pos)):
+                c.append(v)
+    kinds = (pa.string(), pa.int64(), pa.int64(), pa.int32(), pa.list_(pa.int32()))
+    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(out, kinds)], names=["term", "seg_no", "doc_id", "tf", "positions"])
+
+
+def decode(encoded: DataFrame, positions: bool = True, keys: tuple[str, ...] = ()) -> DataFrame:
+    """(keys, term, seg_no, doc_id, tf, positions) from the compressed blocks; only the asked-for columns are read."""
+    wanted = ["term", "seg_no", "d_block", "f_block", *(["p_blocks"] if positions else []), *keys]
+    types = {f.name: f.dataType.simpleString() for f in encoded.schema.fields}
 
     def kernel(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in it:
             rows = batch.to_pylist()
-            out: list[list] = [[], [], [], [], []]
-            for r in rows:
-                docs, tfs = np.cumsum(codec.pfor_decode(r["d_block"])).tolist(), codec.pfor_decode(r["f_block"]).tolist()
-                gaps = np.concatenate([codec.pfor_decode(b) for b in r["p_blocks"]]) if positions and r["p_blocks"] else None
-                at = 0
-                for doc, tf in zip(docs, tfs):
-                    pos = np.cumsum(gaps[at : at + tf]).tolist() if gaps is not None else None
-                    at += tf
-                    for c, v in zip(out, (r["term"], r["seg_no"], doc, tf, pos)):
-                        c.append(v)
-            kinds = (pa.string(), pa.int64(), pa.int64(), pa.int32(), pa.list_(pa.int32()))
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(out, kinds)], names=["term", "seg_no", "doc_id", "tf", "positions"])
-
-    return encoded.select(*wanted).mapInArrow(kernel, "term string, seg_no long, doc_id long, tf int, positions array<int>")
+            if rows:
+                out = decoded(rows, positions)
+                times = [int.from_bytes(r["f_block"][:2], "little") for r in rows] if keys else []
+                more = [pa.array(np.repeat(batch.column(batch.schema.get_field_index(k)).to_numpy(zero_copy_only=False), times), batch.schema.field(k).type) for k in keys]
+                yield pa.RecordBatch.from_arrays([*more, *out.columns], names=[*keys, *out.schema.names])
+
+    return encoded.select(*wanted).mapInArrow(kernel, ", ".join([*(f"`{k}` {types[k]}" for k in keys), DECODED]))
+
+
+def traverse(segments: DataFrame, positions: bool = True) -> DataFrame:
+    """(term, seg_no, doc_id, tf, positions) by walking each list: from the head, the next pointer names the address of
+    the segment that is decoded next. ValueError for a pointer to nowhere, or if segments stay that no pointer reaches.
+
+    Lists move whole to a task (a shard bounds them) and come one after the other, in pool order."""
+    rows = segments.select("shard", "term_id", "addr", "next_addr", "is_head", "term", "seg_no", "d_block", "f_block", *(["p_blocks"] if positions else []))
+    rows = rows.repartition("shard", "term_id").sortWithinPartitions("shard", "term_id", "addr")
+
+    def kernel(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, held = None, []
+        for batch in it:
+            for row in batch.to_pylist():
+                if (row["shard"], row["term_id"]) != key:
+                    if held:
+                        yield decoded(walked(held), positions)
+                    key, held = (row["shard"], row["term_id"]), []
+                held.append(row)
+        if held:
+            yield decoded(walked(held), positions)
+
+    return rows.mapInArrow(kernel, DECODED)
+
+
+def walked(rows: list[dict]) -> list[dict]:
+    """One list's segments in the order of its pointers."""
+    at = {r["addr"]: r for r in rows}
+    out = []
+    row = next((r for r in rows if r["is_head"]), None)
+    while row is not None:
+        out.append(row)
+        if row["next_addr"] is None:
+            break
+        row = at.get(row["next_addr"]) if len(out) < len(rows) else None
+    if len(out) != len(rows) or out[-1]["next_addr"] is not None:
+        raise ValueError(f"the list of term {rows[0]['term']!r} is broken")
+    return out
 
 
 def flush_order(segments: DataFrame, events: DataFrame, cfg: IndexConfig, keys: tuple[str, ...] = ()) -> DataFrame:
@@ -136,9 +196,13 @@ def place(segments: DataFrame, events: DataFrame, cfg: IndexConfig, keys: tuple[
 
 
 def link(placed: DataFrame, keys: tuple[str, ...] = ()) -> DataFrame:
-    """Adds next_addr (null at the end), is_head and is_tail."""
-    w = Window.partitionBy(*keys, "term_id").orderBy("seg_no")
-    return placed.withColumns({"next_addr": F.lead("addr").over(w), "is_head": F.lag("addr").over(w).isNull()}).withColumn("is_tail", F.col("next_addr").isNull())
+    """Adds next_addr (null at the end), is_head and is_tail. A segment meets the one with the next number in an equi
+    join, so no list is ordered as a whole."""
+    after = placed.select(*(F.col(k).alias(f"_{k}") for k in keys), F.col("term_id").alias("_term_id"), (F.col("seg_no") - 1).alias("_seg_no"), F.col("addr").alias("next_addr"))
+    on = (F.col("term_id") == F.col("_term_id")) & (F.col("seg_no") == F.col("_seg_no"))
+    for k in keys:
+        on = on & (F.col(k) == F.col(f"_{k}"))
+    return placed.join(after, on, "left").select(*placed.columns, "next_addr", (F.col("seg_no") == 0).alias("is_head"), F.col("next_addr").isNull().alias("is_tail"))
 
 
 def jumps(linked: DataFrame) -> DataFrame:

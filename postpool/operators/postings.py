@@ -34,6 +34,20 @@ def build_postings(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     return rows if positional else rows.select("doc_id", "term", "tf", F.array(F.get("positions", F.lit(0))).alias("positions"))
 
 
+def parsed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", cfg: IndexConfig = IndexConfig()) -> DataFrame:
+    """(doc_id, doc_len, occ): a row for each document, inverted inside it; occ is an array of (term, tf, positions).
+    Documents with more words than positions have numbers for are cut or emptied (doc_len too)."""
+    w = analyze.words(F.col(text_col))
+    if cfg.pos_bits < 32:
+        most = (1 << cfg.pos_bits) - 1
+        w = F.when(F.size(w) <= most, w).otherwise(F.slice(w, 1, most) if cfg.overflow == "truncate" else F.array().cast("array<string>"))
+    rows = docs.select(F.col(id_col).alias("doc_id"), analyze.row_postings(w).alias("occ"))
+    rows = rows.select("doc_id", F.size("occ").cast("long").alias("doc_len"), analyze.cut(F.col("occ")).alias("occ"))
+    if not cfg.positional:
+        rows = rows.withColumn("occ", F.transform("occ", lambda o: F.struct(o["term"].alias("term"), o["tf"].alias("tf"), F.slice(o["positions"], 1, 1).alias("positions"))))
+    return rows
+
+
 def postings_of_tokens(tokens: DataFrame) -> DataFrame:
     """The same from a table of tokens (already parsed input): one shuffle, on (document, term)."""
     return tokens.groupBy("doc_id", "term").agg(F.count(F.lit(1)).cast("int").alias("tf"), F.sort_array(F.collect_list("pos")).alias("positions"))

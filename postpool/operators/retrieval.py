@@ -6,16 +6,21 @@ from functools import reduce
 
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
+from ..config import IndexConfig
+from ..functions import schedule
+from .numbering import numbered, running_sum
+from .postings import RANGE
+
 K1, B = 0.9, 0.4
-#: Queries that are sent to every executor at most; larger sets are cut by the caller.
-MOST_TERMS = 2_000_000
+#: Query terms that are sent to every executor at once; larger query sets are run in batches.
+BATCH_TERMS = 200_000
 
 
-def bounded(queries: DataFrame, most: int = MOST_TERMS) -> DataFrame:
-    """The query set as a broadcast side, once its number of terms is known to be within the bound; else as it is,
-    so that Spark shuffles it."""
+def query_batches(queries: DataFrame, most: int = BATCH_TERMS) -> list[DataFrame]:
+    """The query set in batches of about `most` terms, by a hash of the query."""
     n = queries.agg(F.coalesce(F.sum(F.size("terms")), F.lit(0))).first()[0]
-    return F.broadcast(queries) if n <= most else queries
+    parts = max(1, -(-n // most))
+    return [queries] if parts == 1 else [queries.where(F.pmod(F.xxhash64("query_id"), F.lit(parts)) == i) for i in range(parts)]
 
 
 def query_terms(queries: DataFrame) -> DataFrame:
@@ -27,8 +32,11 @@ def query_terms(queries: DataFrame) -> DataFrame:
 def intersect(postings: DataFrame, queries: DataFrame, missing: str = "empty") -> DataFrame:
     """(query_id, doc_id) with every term of the query. An unknown or dropped term empties the answer, or is skipped
     (missing='ignore'). Counting matches needs one pass over the lists and one aggregate on (query, document)."""
-    terms = query_terms(bounded(queries))
-    hits = postings.select("term", "doc_id").join(terms, "term")
+    return reduce(DataFrame.unionByName, (_intersect(postings, query_terms(part), missing) for part in query_batches(queries)))
+
+
+def _intersect(postings: DataFrame, terms: DataFrame, missing: str) -> DataFrame:
+    hits = postings.select("term", "doc_id").join(F.broadcast(terms), "term")
     if missing == "ignore":
         known = terms.join(postings.select("term").distinct(), "term", "left_semi").groupBy("query_id").agg(F.count(F.lit(1)).alias("need"))
         return hits.groupBy("query_id", "doc_id").agg(F.count(F.lit(1)).alias("n")).join(known, "query_id").where("n = need").select("query_id", "doc_id")
@@ -72,6 +80,20 @@ def term_bounds(weights: DataFrame) -> DataFrame:
     return weights.groupBy("term").agg(F.max("df").alias("df"), F.max("w").alias("max_contrib"))
 
 
+def bounds_at_flush(postings: DataFrame, stats: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """(shard, term, seg_no, bound) with the statistics known when a segment's last document arrived. Documents seen and
+    a term's df so far are two-level counts; no list is ordered as a whole."""
+    by_range = schedule.div(F.col("doc_id"), RANGE)
+    seen = running_sum(stats, F.col("doc_len"), [], by_range, [F.col("doc_id")], "sum_before")
+    seen = numbered(seen, [], by_range, [F.col("doc_id")], "n_docs", first=1)
+    seen = seen.select(F.col("doc_id").alias("flushed"), "n_docs", ((F.col("sum_before") + F.col("doc_len")) / F.col("n_docs")).alias("avg_len"))
+    rows = numbered(postings.select("shard", "term", "doc_id", "tf", "doc_len", "rank"), ["term"], by_range, [F.col("doc_id")], "df_then", first=1)
+    rows = rows.withColumn("seg_no", schedule.segment_no(F.col("rank"), cfg.block))
+    ends = rows.groupBy("shard", "term", "seg_no").agg(F.max("doc_id").alias("flushed"), F.max("df_then").alias("df"))
+    known = rows.join(ends.join(seen, "flushed"), ["shard", "term", "seg_no"])
+    return known.groupBy("shard", "term", "seg_no").agg(F.max(contribution(F.col("tf"), F.col("df"), F.col("doc_len"), F.col("n_docs"), F.col("avg_len"))).alias("bound"))
+
+
 def ranked(scores: DataFrame, k: int) -> DataFrame:
     """(query_id, rank, doc_id, score): scores rounded to 6 places, ties to the smaller document."""
     w = Window.partitionBy("query_id").orderBy(F.desc("score"), "doc_id")
@@ -80,7 +102,7 @@ def ranked(scores: DataFrame, k: int) -> DataFrame:
 
 def exhaustive(weights: DataFrame, queries: DataFrame, k: int) -> DataFrame:
     """Every posting of every query term is scored: the truth that WAND must equal. Unknown terms add nothing."""
-    hits = weights.join(query_terms(bounded(queries)).select("query_id", "term"), "term")
+    hits = reduce(DataFrame.unionByName, (weights.join(F.broadcast(query_terms(part).select("query_id", "term")), "term") for part in query_batches(queries)))
     return ranked(hits.groupBy("query_id", "doc_id").agg(F.round(F.sum("w"), 6).alias("score")), k)
 
 

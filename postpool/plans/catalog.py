@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from ..config import IndexConfig
 from ..functions import analyze, schedule
+from ..operators.index import serve
 from ..operators import baselines, kernels, measures, pool, postings as P, retrieval as R
 from ..sources.io import read_table
 from . import workloads as W
@@ -167,10 +168,8 @@ def segment_roundtrip(spark, sf_dir):
 
 @query("traverse_lists", KEPT_SQL)
 def traverse_lists(spark, sf_dir):
-    """Lists by their links: from each head the next pointers are followed, and only segments so reached are decoded."""
-    segs = index(spark, sf_dir).segments
-    reached = segs.where("is_head").select("shard", "addr").unionByName(segs.where("next_addr IS NOT NULL").select("shard", F.col("next_addr").alias("addr")))
-    return posting_digest(pool.decode(segs.join(reached, ["shard", "addr"], "left_semi")))
+    """Lists by their links: from each head the next pointers are walked, and segments are decoded as they are reached."""
+    return posting_digest(pool.traverse(index(spark, sf_dir).segments))
 
 
 LAYOUTS = (("linked", 0), ("capped", 5), ("contiguous", 5))
@@ -266,12 +265,12 @@ def kept_postings(spark, sf_dir):
 
 @query("svs_set_e", twin("SELECT query_id, doc_id FROM and_e"))
 def svs_set_e(spark, sf_dir):
-    return kernels.svs(index(spark, sf_dir, SEARCH).segments, W.query_set(spark, sf_dir, "E"))
+    return kernels.svs(index(spark, sf_dir, SEARCH).served, W.query_set(spark, sf_dir, "E"))
 
 
 @query("svs_set_w", twin("SELECT query_id, doc_id FROM and_w"))
 def svs_set_w(spark, sf_dir):
-    return kernels.svs(index(spark, sf_dir, SEARCH).segments, W.query_set(spark, sf_dir, "W"))
+    return kernels.svs(index(spark, sf_dir, SEARCH).served, W.query_set(spark, sf_dir, "W"))
 
 
 @query("svs_relational", twin("SELECT query_id, doc_id FROM and_w"))
@@ -320,21 +319,9 @@ def bm25_topk_w(spark, sf_dir):
     return R.exhaustive(weights(spark, sf_dir), W.query_set(spark, sf_dir, "W"), K)
 
 
-def bounds(ix):
-    w = R.scored(ix.postings, ix.dictionary, ix.stats, ix.coll)
-    return R.term_bounds(w).join(ix.dictionary.select("term", "term_id"), "term")
-
-
-def block_bounds(ix):
-    """(shard, term, seg_no, bound) with final statistics."""
-    w = R.scored(ix.postings, ix.dictionary, ix.stats, ix.coll)
-    seg = ix.postings.select("shard", "term", "doc_id", schedule.segment_no(F.col("rank"), ix.cfg.block).alias("seg_no"))
-    return seg.join(w, ["term", "doc_id"]).groupBy("shard", "term", "seg_no").agg(F.max("w").alias("bound"))
-
-
-def run_wand(spark, sf_dir, which, k=K, blocks=False, counters=False):
+def run_wand(spark, sf_dir, which, k=K, by_block=False, counters=False):
     ix = index(spark, sf_dir, SEARCH)
-    return kernels.wand(ix.segments, W.query_set(spark, sf_dir, which), bounds(ix), ix.stats, ix.coll, k, block_bounds(ix) if blocks else None, counters)
+    return kernels.wand(ix.served, W.query_set(spark, sf_dir, which), ix.dictionary, ix.coll, k, by_block, counters)
 
 
 @query("wand_set_e", twin("SELECT query_id, rank, doc_id, score FROM top_e"))
@@ -354,26 +341,15 @@ def wand_top1000(spark, sf_dir):
 
 @query("bmw_final", twin("SELECT query_id, rank, doc_id, score FROM top_e"))
 def bmw_final(spark, sf_dir):
-    return run_wand(spark, sf_dir, "E", blocks=True)
+    return run_wand(spark, sf_dir, "E", by_block=True)
 
 
 @query("bmw_stale_recall")
 def bmw_stale_recall(spark, sf_dir):
     """Block bounds with the statistics known when a block was flushed: recall may fall below 1."""
-    from pyspark.sql import Window
-
     ix = index(spark, sf_dir, SEARCH)
-    seg = ix.postings.select("shard", "term", "doc_id", "tf", "doc_len", "rank", schedule.segment_no(F.col("rank"), ix.cfg.block).alias("seg_no"))
-    at = seg.groupBy("shard", "term", "seg_no").agg(F.max("doc_id").alias("flushed"))
-    from ..operators.numbering import running_sum
-
-    seen = running_sum(ix.stats, F.col("doc_len"), [], schedule.div(F.col("doc_id"), P.RANGE), [F.col("doc_id")], "sum_before")
-    seen = P.numbered(seen, [], schedule.div(F.col("doc_id"), P.RANGE), [F.col("doc_id")], "n_docs", first=1).select(F.col("doc_id").alias("flushed"), "n_docs", ((F.col("sum_before") + F.col("doc_len")) / F.col("n_docs")).alias("avg_len"))
-    upto = Window.partitionBy("term").orderBy("doc_id").rowsBetween(Window.unboundedPreceding, 0)
-    df_then = seg.select("shard", "term", "seg_no", "doc_id", F.count(F.lit(1)).over(upto).alias("df")).groupBy("shard", "term", "seg_no").agg(F.max("df").alias("df"))
-    stale = seg.join(at.join(seen, "flushed"), ["shard", "term", "seg_no"]).join(df_then, ["shard", "term", "seg_no"])
-    stale = stale.groupBy("shard", "term", "seg_no").agg(F.max(R.contribution(F.col("tf"), F.col("df"), F.col("doc_len"), F.col("n_docs"), F.col("avg_len"))).alias("bound"))
-    found = kernels.wand(ix.segments, W.query_set(spark, sf_dir, "E"), bounds(ix), ix.stats, ix.coll, K, stale)
+    stale = ix.served.drop("bound").join(R.bounds_at_flush(ix.postings, ix.stats, ix.cfg), ["shard", "term", "seg_no"])
+    found = kernels.wand(stale, W.query_set(spark, sf_dir, "E"), ix.dictionary, ix.coll, K, by_block=True)
     return measures.recall_at_k(found, bm25_topk(spark, sf_dir), K)
 
 
@@ -407,20 +383,46 @@ def phrase_match(spark, sf_dir):
 def work_by_len(spark, sf_dir):
     ix, q = index(spark, sf_dir, SEARCH), W.query_set(spark, sf_dir, "W")
     lists = R.query_terms(q).join(ix.dictionary.select("term", "df"), "term", "left").groupBy("query_id", "n_terms").agg(F.coalesce(F.sum("df"), F.lit(0)).alias("p"), F.coalesce(F.sum(F.ceil(F.col("df") / F.lit(CFG.block))), F.lit(0)).alias("s"))
-    found = kernels.svs(ix.segments, q).groupBy("query_id").agg(F.count(F.lit(1)).alias("r"))
+    found = kernels.svs(ix.served, q).groupBy("query_id").agg(F.count(F.lit(1)).alias("r"))
     return lists.join(found, "query_id", "left").groupBy("n_terms").agg(F.count(F.lit(1)).alias("queries"), F.sum("p").alias("postings_read"), F.sum("s").alias("segments_read"), F.sum(F.coalesce("r", F.lit(0))).alias("results"))
 
 
-@query("work_counters")
+#: A shard's lists cut into segments; a query's lists there, shortest first; how many of them, in that order, have a
+#: document; the segments that a document of all lists before falls into.
+SVS_WORK = {
+    "spost": "SELECT shard, term, doc_id, (row_number() OVER (PARTITION BY shard, term ORDER BY doc_id) - 1) // {b} AS seg_no FROM (SELECT CAST(doc_id // per AS INTEGER) AS shard, term, doc_id FROM kept, (SELECT (max(doc_id) + 4) // 4 AS per FROM documents))",
+    "sseg": "SELECT shard, term, seg_no, min(doc_id) AS a, max(doc_id) AS z, count(*) AS n FROM spost GROUP BY ALL",
+    "ssize": "SELECT shard, term, sum(n) AS df FROM sseg GROUP BY ALL",
+    "qq": "SELECT 'E' AS qset, query_id, term FROM qe UNION ALL SELECT 'W', query_id, term FROM qw",
+    "qshard": "SELECT qset, query_id, shard, term, row_number() OVER (PARTITION BY qset, query_id, shard ORDER BY df, term) AS k, count(df) OVER (PARTITION BY qset, query_id, shard) AS have, count(*) OVER (PARTITION BY qset, query_id, shard) AS want FROM qq CROSS JOIN (SELECT DISTINCT shard FROM ssize) LEFT JOIN ssize USING (shard, term)",
+    "qfull": "SELECT * FROM qshard WHERE have = want",
+    "qdocs": "SELECT qset, query_id, shard, doc_id, max(k) FILTER (WHERE k = rn) AS prefix FROM (SELECT f.qset, f.query_id, f.shard, f.k, p.doc_id, row_number() OVER (PARTITION BY f.qset, f.query_id, f.shard, p.doc_id ORDER BY f.k) AS rn FROM qfull f JOIN spost p USING (shard, term)) GROUP BY ALL",
+    "touched": "SELECT f.qset, f.query_id, f.shard, f.term, g.seg_no, g.n FROM qfull f JOIN sseg g USING (shard, term) WHERE f.k = 1 UNION ALL SELECT DISTINCT f.qset, f.query_id, f.shard, f.term, g.seg_no, g.n FROM qfull f JOIN sseg g USING (shard, term) JOIN qdocs d ON d.qset = f.qset AND d.query_id = f.query_id AND d.shard = f.shard AND d.doc_id BETWEEN g.a AND g.z AND d.prefix >= f.k - 1 WHERE f.k > 1",
+    "counted": "SELECT q.qset, q.query_id, coalesce(x.d, 0) AS d, coalesce(x.n, 0) AS n FROM (SELECT DISTINCT qset, query_id FROM qq) q LEFT JOIN (SELECT qset, query_id, count(*) AS d, sum(n) AS n FROM touched GROUP BY qset, query_id) x USING (qset, query_id)",
+}
+
+
+@query("work_counters", twin("SELECT qset AS query_set, query_id, 'svs' AS algo, layout, CAST(d AS BIGINT) AS segments_decoded, CAST(n AS BIGINT) AS postings_decoded FROM counted, (SELECT unnest(['linked', 'capped', 'contiguous']) AS layout)", **SVS_WORK))
 def work_counters(spark, sf_dir):
-    """(query_id, algo, layout, counters): layouts don't change the work, only where segments lie."""
+    """Segments and postings that SvS decodes: layouts don't change the work, only where segments lie."""
+    return counters_by_layout(spark, sf_dir).where("algo = 'svs'").select("query_set", "query_id", "algo", "layout", "segments_decoded", "postings_decoded")
+
+
+@query("work_counters_wand")
+def work_counters_wand(spark, sf_dir):
+    """WAND's counters, comparisons and pivots too, which no relation tells."""
+    return counters_by_layout(spark, sf_dir).where("algo = 'wand'")
+
+
+def counters_by_layout(spark, sf_dir):
     ix, out = index(spark, sf_dir, SEARCH), None
-    q = W.query_set(spark, sf_dir, "E")
-    for layout, cap in LAYOUTS:
-        segs = ix.segments if layout == "capped" else ix.relaid(layout, cap)
-        for algo, one in (("svs", kernels.svs(segs, q, counters=True)), ("wand", kernels.wand(segs, q, bounds(ix), ix.stats, ix.coll, K, counters=True))):
-            one = one.withColumns({"algo": F.lit(algo), "layout": F.lit(layout)})
-            out = one if out is None else out.unionByName(one)
+    for which in ("E", "W"):
+        q = W.query_set(spark, sf_dir, which)
+        for layout, cap in LAYOUTS:
+            segs = ix.served if layout == "capped" else serve(ix.relaid(layout, cap), SEARCH.n_shards)
+            for algo, one in (("svs", kernels.svs(segs, q, counters=True)), ("wand", kernels.wand(segs, q, ix.dictionary, ix.coll, 1000, counters=True))):
+                one = one.withColumns({"algo": F.lit(algo), "layout": F.lit(layout), "query_set": F.lit(which)})
+                out = one if out is None else out.unionByName(one)
     return out
 
 

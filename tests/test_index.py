@@ -46,6 +46,38 @@ def test_every_layout_has_the_same_lists(spark, sf):
         assert rows(pool.decode(segs)) == truth
 
 
+def test_a_broken_list_is_noticed(spark, sf):
+    ix = build_index(read_table(spark, sf, "documents"), IndexConfig(block=8, cap_log2=2))
+    rows = lambda df: sorted((r.term, r.doc_id, r.tf, tuple(r.positions)) for r in df.collect())
+    assert rows(pool.traverse(ix.segments)) == rows(ix.postings)
+    longest = ix.segments.groupBy("term").count().orderBy(F.desc("count")).first().term
+    cut = ix.segments.withColumn("next_addr", F.when((F.col("term") == longest) & (F.col("seg_no") == 1), None).otherwise(F.col("next_addr")))
+    with pytest.raises(Exception, match="broken"):
+        pool.traverse(cut).count()
+    loop = ix.segments.withColumn("next_addr", F.when((F.col("term") == longest) & (F.col("seg_no") == 2), F.col("addr")).otherwise(F.col("next_addr")))
+    with pytest.raises(Exception, match="broken"):
+        pool.traverse(loop).count()
+
+
+@pytest.mark.parametrize("cap", [0, 1, 3])
+def test_events_of_segments(spark, sf, cap):
+    """Triggers read off segments are those of the postings."""
+    cfg = IndexConfig(block=8, cap_log2=cap)
+    ix = build_index(read_table(spark, sf, "documents"), cfg, encode=False)
+    rows = lambda df: sorted(map(tuple, df.select("term", "group_no", "trigger_doc", "trigger_pos").collect()))
+    assert rows(pool.events_of_segments(ix.blocks, cfg)) == rows(pool.flush_events(ix.postings, cfg))
+
+
+@pytest.mark.parametrize("overflow", ["truncate", "drop"])
+def test_short_positions(spark, sf, overflow):
+    docs = read_table(spark, sf, "documents")
+    ix = build_index(docs, IndexConfig(block=16, df_threshold=1, pos_bits=8, overflow=overflow), encode=False)
+    want = {r.doc_id: len(words(r.text)) for r in docs.collect()}
+    got = {r.doc_id: r.doc_len for r in ix.stats.collect()}
+    assert max(want.values()) > 255 and got == {d: n if n <= 255 else 255 if overflow == "truncate" else 0 for d, n in want.items()}
+    assert ix.postings.agg(F.max(F.array_max("positions"))).first()[0] <= 255
+
+
 def test_threshold_edges(spark):
     docs = spark.createDataFrame([(i, " ".join(w for w, n in (("nine", 9), ("ten", 10), ("eleven", 11)) if i < n)) for i in range(12)], "doc_id long, text string")
     d = P.build_dictionary(P.build_postings(docs), IndexConfig(df_threshold=10))

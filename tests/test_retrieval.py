@@ -6,7 +6,7 @@ import pytest
 from postpool.config import IndexConfig
 from postpool.operators import kernels, measures, retrieval as R
 from postpool.operators.index import build_index
-from postpool.plans import catalog, workloads as W
+from postpool.plans import workloads as W
 from postpool.sources.io import read_table
 
 
@@ -45,12 +45,60 @@ def test_query_edges(spark, ix):
 @pytest.mark.parametrize("k", [1, 10, 1000])
 def test_wand_equals_exhaustive(spark, sf, ix, k):
     weights = R.scored(ix.postings, ix.dictionary, ix.stats, ix.coll)
-    bounds = R.term_bounds(weights).join(ix.dictionary.select("term", "term_id"), "term")
+    most = {r.term: r.max_contrib for r in R.term_bounds(weights).collect()}
+    assert all(abs(most[r.term] - r.max_contrib) < 1e-12 for r in ix.dictionary.collect())
     rows = lambda df: sorted((r.query_id, r.rank, r.doc_id, r.score) for r in df.collect())
     q = W.query_set(spark, sf, "W")
     truth = rows(R.exhaustive(weights, q, k))
-    assert rows(kernels.wand(ix.segments, q, bounds, ix.stats, ix.coll, k)) == truth
-    assert rows(kernels.wand(ix.segments, q, bounds, ix.stats, ix.coll, k, catalog.block_bounds(ix))) == truth
+    for segs in (ix.served, ix.segments):
+        assert rows(kernels.wand(segs, q, ix.dictionary, ix.coll, k)) == truth
+        assert rows(kernels.wand(segs, q, ix.dictionary, ix.coll, k, by_block=True)) == truth
+
+
+def plan(df):
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_queries_shuffle_no_blocks(spark, sf, ix):
+    """Shards are read where they lie, one task each; only top-k lists meet after the kernel."""
+    q = W.query_set(spark, sf, "E")
+    found = kernels.svs(ix.served, q)
+    assert "hashpartitioning(slot" not in plan(found) and "Exchange" not in plan(found).split("FlatMapGroupsInArrow")[0]
+    found.collect()
+    assert "hashpartitioning(slot" not in plan(found) and "Bucketed: true" in plan(found)
+    sizes = ix.served.select("slot", "shard").distinct().collect()
+    assert len({r.slot for r in sizes}) == len(sizes) == 3
+    per_task = ix.served.groupBy("slot").count().rdd.glom().map(len).collect()
+    assert max(per_task) == 1
+
+
+def test_query_batches(spark, sf, ix, monkeypatch):
+    """Sets beyond the bound are run in batches, with the same answers."""
+    q = W.query_set(spark, sf, "W")
+    rows = lambda df: sorted(map(tuple, df.collect()))
+    weights = R.scored(ix.postings, ix.dictionary, ix.stats, ix.coll)
+    one = [rows(kernels.svs(ix.served, q)), rows(kernels.wand(ix.served, q, ix.dictionary, ix.coll, 5)), rows(R.intersect(ix.postings, q)), rows(R.exhaustive(weights, q, 5))]
+    whole = R.query_batches
+    for module in (R, kernels):
+        monkeypatch.setattr(module, "query_batches", lambda queries: whole(queries, 40))
+    assert len(whole(q, 40)) > 2
+    assert [rows(kernels.svs(ix.served, q)), rows(kernels.wand(ix.served, q, ix.dictionary, ix.coll, 5)), rows(R.intersect(ix.postings, q)), rows(R.exhaustive(weights, q, 5))] == one
+
+
+def test_decoded_blocks_are_bounded(spark, sf, ix):
+    """A small cache gives the same answers and counts."""
+    import pyarrow as pa
+
+    table = pa.Table.from_pylist([r.asDict() for r in ix.served.where("shard = 0").collect()], schema=pa.schema([("slot", pa.int32()), ("shard", pa.int32()), ("term", pa.string()), ("seg_no", pa.int64()), ("n_docs", pa.int32()), ("first_doc", pa.int64()), ("last_doc", pa.int64()), ("d_block", pa.binary()), ("f_block", pa.binary()), ("lengths", pa.list_(pa.int32())), ("bound", pa.float64())]))
+    big, small = kernels.Lists.of_table(table), kernels.Lists.of_table(table)
+    small.kept = 2
+    about = {r.term: (1.0, float(r.max_contrib), r.term_id) for r in ix.dictionary.collect()}
+    for q in W.query_set(spark, sf, "W").collect():
+        a, b = kernels.new_work(), kernels.new_work()
+        assert kernels.small_versus_small(big, q.terms, a) == kernels.small_versus_small(small, q.terms, b) and a == b
+        known = {t: about[t] for t in q.terms if t in about}
+        assert kernels.weak_and(big, known, 5, 100.0, a) == kernels.weak_and(small, known, 5, 100.0, b)
+        assert len(small.blocks) <= 2
 
 
 def test_layouts_do_the_same_work(spark, sf, ix):
