@@ -1,10 +1,14 @@
-"""Other index designs, as schedules and counters over the same lists."""
+"""Other index designs: full-flush runs and their merges with compressed segments, and in-place lists as folds and
+counters over the same lists."""
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
 
+from ..config import IndexConfig
 from ..functions import schedule
+from ..runtime import materialise
+from . import pool
 from .numbering import numbered, running_sum
 from .postings import RANGE
 
@@ -24,10 +28,51 @@ def full_flush(postings: DataFrame, budget: int) -> DataFrame:
     return by_term.groupBy("run").agg(F.min("a").alias("first_doc"), F.max("z").alias("last_doc"), F.count(F.lit(1)).alias("terms"), F.sum("n").alias("postings"))
 
 
+RUN_SEGMENT = "run long, term string, seg_no long, n_docs int, first_doc long, last_doc long, n_bytes long, d_block binary, f_block binary, p_blocks array<binary>"
+
+
+def _segments(rows: DataFrame, key: str, cfg: IndexConfig) -> DataFrame:
+    """Compressed segments of (key, term, doc_id, tf, positions): the lists of each key for themselves."""
+    by_range = schedule.div(F.col("doc_id"), RANGE)
+    ranked = numbered(rows.select(key, "term", "doc_id", "tf", "positions").withColumn("term_id", F.lit(0).cast("long")), [key, "term"], by_range, [F.col("doc_id")], "rank", first=1)
+    return pool.encode(pool.assemble(ranked, cfg, (key,)), cfg).select(key, "term", "seg_no", "n_docs", "first_doc", "last_doc", "n_bytes", "d_block", "f_block", "p_blocks")
+
+
+def write_runs(postings: DataFrame, cfg: IndexConfig, budget: int) -> DataFrame:
+    """RUN_SEGMENT rows: whenever memory holds `budget` postings, all lists so far are compressed and written as a run."""
+    runs = runs_of(postings, budget).select("doc_id", "run")
+    return materialise(_segments(postings.join(runs, "doc_id"), "run", cfg), "runs")
+
+
+def merge_runs(runs: DataFrame, plan: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """Segments by `target`, of (target, run): a merge reads the blocks of its runs, and compresses the joined lists
+    anew. Merges of a plan are independent of each other, as each goes back to its runs; what it reads and writes is
+    what a merge of earlier targets would."""
+    rows = pool.decode(runs, keys=("run",)).drop("seg_no")
+    return materialise(_segments(rows.join(plan.select("target", "run"), "run"), "target", cfg), "merged")
+
+
+def full_flush_index(postings: DataFrame, cfg: IndexConfig, budget: int) -> tuple[DataFrame, DataFrame]:
+    """(runs, merged): one merge of all runs at the end; lists are then whole."""
+    runs = write_runs(postings, cfg, budget)
+    return runs, merge_runs(runs, runs.select(F.lit(0).cast("long").alias("target"), "run").distinct(), cfg)
+
+
+def geometric_index(postings: DataFrame, cfg: IndexConfig, budget: int, ratio: int = 3) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(runs, merged, log): merges as `geometric_merges` schedules them, a target for each, named by its last run; the
+    log says which targets stay. Lists are as many pieces as there are partitions in the end."""
+    runs = write_runs(postings, cfg, budget)
+    counts = runs.groupBy("run").agg(F.sum("n_docs").alias("postings"))
+    log = materialise(geometric_merges(counts, ratio), "merges")
+    plan = log.select(F.col("run").alias("target"), F.explode(F.sequence(F.col("first_run"), F.col("run"))).alias("run"))
+    return runs, merge_runs(runs, plan, cfg), log
+
+
 def merged_runs(postings: DataFrame, budget: int) -> DataFrame:
-    """(term, doc_id, rank): the final merge concatenates a term's runs in run order; document ranges don't overlap."""
+    """(term, doc_id, rank): the final merge concatenates a term's runs in run order; document ranges don't overlap, so
+    ranks follow from documents and no list is ordered as a whole."""
     rows = postings.join(runs_of(postings, budget).select("doc_id", "run"), "doc_id")
-    return running_sum(rows, F.lit(1), ["term"], F.col("run"), [F.col("doc_id")], "rank").withColumn("rank", F.col("rank") + 1)
+    return numbered(rows, ["term"], schedule.div(F.col("doc_id"), RANGE), [F.col("doc_id")], "rank", first=1)
 
 
 def term_churn(postings: DataFrame, budgets: list[int]) -> DataFrame:
@@ -42,7 +87,8 @@ def term_churn(postings: DataFrame, budgets: list[int]) -> DataFrame:
 
 
 def geometric_merges(runs: DataFrame, ratio: int = 3) -> DataFrame:
-    """(run, target_partition, postings_rewritten) of (run, postings), runs in order of their number.
+    """(run, target_partition, postings_rewritten, first_run, stays) of (run, postings), runs in order of their number;
+    first_run is the first of those merged, and stays says that no later merge takes the result.
 
     Partition j holds at most (ratio-1) * ratio**(j-1) runs, so that the n-th run cascades as far as n has trailing
     zeros in base `ratio`, and the partition it lands in then holds the last n mod ratio**j runs."""
@@ -51,22 +97,31 @@ def geometric_merges(runs: DataFrame, ratio: int = 3) -> DataFrame:
     rows = rows.withColumn("target_partition", (zeros + 1).cast("long"))
     rows = rows.withColumn("held", F.col("n") % F.pow(F.lit(ratio), F.col("target_partition")).cast("long"))
     rows = running_sum(rows, F.col("postings"), [], schedule.div(F.col("n"), RANGE), [F.col("n")], "before")
-    start = rows.select((F.col("n") - 1).alias("start"), F.col("before").alias("base"))
+    start = rows.select((F.col("n") - 1).alias("start"), F.col("before").alias("base"), F.col("run").alias("first_run"))  # run numbers may have gaps
     out = rows.withColumn("start", F.col("n") - F.col("held")).join(start, "start")
-    return out.select("run", "target_partition", (F.col("before") + F.col("postings") - F.col("base")).alias("postings_rewritten"))
+    total = rows.agg(F.max("n").alias("total"))
+    alive = F.floor(F.col("total") / F.pow(F.lit(ratio), F.col("target_partition") - 1)) * F.pow(F.lit(ratio), F.col("target_partition") - 1)
+    return out.join(F.broadcast(total)).select("run", "target_partition", (F.col("before") + F.col("postings") - F.col("base")).alias("postings_rewritten"), "first_run", (F.col("n") == alive).alias("stays"))
+
+
+def _lists(segments: DataFrame) -> list[str]:
+    """A list is a term's in one shard: each shard has a pool of its own."""
+    return [c for c in ("shard", "term") if c in segments.columns]
 
 
 def remerge(segments: DataFrame) -> DataFrame:
     """(term, bytes_copied): at each flush of a group the list so far moves to a new region."""
-    groups = segments.groupBy("term", "group_no").agg(F.sum("n_bytes").alias("b"))
-    before = Window.partitionBy("term").orderBy("group_no").rowsBetween(Window.unboundedPreceding, -1)
-    return groups.withColumn("old", F.coalesce(F.sum("b").over(before), F.lit(0))).groupBy("term").agg(F.sum("old").alias("bytes_copied"))
+    keys = _lists(segments)
+    groups = segments.groupBy(*keys, "group_no").agg(F.sum("n_bytes").alias("b"))
+    moved = running_sum(groups, F.col("b"), keys, schedule.div(F.col("group_no"), RANGE), [F.col("group_no")], "old")
+    return moved.groupBy("term").agg(F.sum("old").alias("bytes_copied"))
 
 
 def in_place(segments: DataFrame, slack) -> DataFrame:
     """(term, reserved, used, wasted, relocations, copied): free space of slack(used) bytes is left behind a list; a
-    segment that doesn't fit moves the list. A fold over the sizes of a term's segments, which a shard bounds."""
-    sizes = segments.groupBy("term").agg(F.transform(F.sort_array(F.collect_list(F.struct("seg_no", "n_bytes"))), lambda s: s["n_bytes"]).alias("sizes"))
+    segment that doesn't fit moves the list. A fold over the sizes of one shard's segments of a term; sums over shards."""
+    keys = _lists(segments)
+    sizes = segments.groupBy(*keys).agg(F.transform(F.sort_array(F.collect_list(F.struct("seg_no", "n_bytes"))), lambda s: s["n_bytes"]).alias("sizes"))
     zero = F.lit(0).cast("long")
     state = lambda r, u, n, c: F.struct(r.cast("long").alias("reserved"), u.cast("long").alias("used"), n.cast("long").alias("relocations"), c.cast("long").alias("copied"))
 
@@ -76,7 +131,22 @@ def in_place(segments: DataFrame, slack) -> DataFrame:
         return F.when(used <= s["reserved"], state(s["reserved"], used, s["relocations"], s["copied"])).otherwise(moved)
 
     done = sizes.select("term", F.aggregate("sizes", state(zero, zero, zero, zero), step).alias("s"))
-    return done.select("term", "s.reserved", "s.used", (F.col("s.reserved") - F.col("s.used")).alias("wasted"), "s.relocations", "s.copied")
+    done = done.groupBy("term").agg(*(F.sum(f"s.{c}").alias(c) for c in ("reserved", "used", "relocations", "copied")))
+    return done.select("term", "reserved", "used", (F.col("reserved") - F.col("used")).alias("wasted"), "relocations", "copied")
+
+
+def unbounded_buffers(segments: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """Placed and linked segments if buffers hold everything: nothing is flushed before the end, and the final flush
+    writes each list as one group."""
+    thin = segments.select("shard", "term", "term_id", "seg_no", F.lit(0).cast("long").alias("group_no"), "n_bytes")
+    none = segments.select("shard", "term_id", F.lit(0).cast("long").alias("group_no"), F.lit(0).cast("long").alias("trigger_doc"), F.lit(0).cast("long").alias("trigger_pos")).where(F.lit(False))
+    return pool.link(pool.place(thin, none, cfg, ("shard",)), ("shard",))
+
+
+def adjacent_groups(linked: DataFrame) -> DataFrame:
+    """(term, segments, groups): how many stretches of side by side segments a list is laid out in."""
+    apart = F.col("next_addr").isNull() | (F.col("next_addr") != F.col("addr") + F.col("n_bytes"))
+    return linked.groupBy("term").agg(F.count(F.lit(1)).alias("segments"), F.sum(apart.cast("long")).alias("groups"))
 
 
 def eager(segments: DataFrame) -> DataFrame:

@@ -461,7 +461,65 @@ def merged_runs(spark, sf_dir):
 def geometric_merges(spark, sf_dir):
     rows = all_postings(spark, sf_dir)
     runs = baselines.full_flush(rows, budget_of(rows, 1)).select("run", "postings")
-    return baselines.geometric_merges(runs)
+    return baselines.geometric_merges(runs).select("run", "target_partition", "postings_rewritten")
+
+
+RIVAL = IndexConfig(block=128, df_threshold=1)
+
+
+def rival(spark, sf_dir, design, percent):
+    """Runs and merged segments of a design with a memory of so many percent of all postings, built once a session."""
+    rows = all_postings(spark, sf_dir)
+    make = {"full": baselines.full_flush_index, "geometric": baselines.geometric_index}[design]
+    return W.once(spark, (sf_dir, design, percent), lambda: make(rows, RIVAL, budget_of(rows, percent)))
+
+
+@query("full_flush_lists", POSTINGS_SQL)
+def full_flush_lists(spark, sf_dir):
+    """Lists decoded from the final merge of compressed runs."""
+    return posting_digest(pool.decode(rival(spark, sf_dir, "full", 5)[1]))
+
+
+@query("full_flush_run_lists", twin("SELECT run, term, count(*) AS n_postings, CAST((count(*) + 127) // 128 AS BIGINT) AS n_segments, min(doc_id) AS first_doc, max(doc_id) AS last_doc FROM post JOIN runs5 USING (doc_id) GROUP BY run, term", **RUNS))
+def full_flush_run_lists(spark, sf_dir):
+    """What each run has of each term, from its compressed segments."""
+    runs = rival(spark, sf_dir, "full", 5)[0]
+    return runs.groupBy("run", "term").agg(F.sum("n_docs").alias("n_postings"), F.count(F.lit(1)).alias("n_segments"), F.min("first_doc").alias("first_doc"), F.max("last_doc").alias("last_doc"))
+
+
+MERGES = RUNS | {
+    "numbered_": "SELECT run, row_number() OVER (ORDER BY run) AS n, CAST(sum(n) AS BIGINT) AS postings FROM runs1 GROUP BY run",
+    "merge_": "SELECT run, n, (SELECT CAST(max(i) + 1 AS BIGINT) FROM range(0, 30) r(i) WHERE n % CAST(pow(3, i) AS BIGINT) = 0) AS j FROM numbered_",
+    "alive": "SELECT run, n, j, n - n % CAST(pow(3, j) AS BIGINT) AS after FROM merge_ m WHERE NOT EXISTS (SELECT 1 FROM merge_ l WHERE l.n > m.n AND l.j >= m.j)",
+    "piece": "SELECT a.run AS part, n.run FROM alive a JOIN numbered_ n ON n.n <= a.n AND n.n > a.after",
+}
+
+
+@query("geometric_lists", POSTINGS_SQL)
+def geometric_lists(spark, sf_dir):
+    """Lists put together from the partitions that are left in the end."""
+    _, merged, log = rival(spark, sf_dir, "geometric", 1)
+    left = merged.join(F.broadcast(log.where("stays").select(F.col("run").alias("target"))), "target", "left_semi")
+    return posting_digest(pool.decode(left))
+
+
+@query("geometric_pieces", twin("SELECT term, count(DISTINCT part) AS pieces, count(*) AS postings FROM post JOIN runs1 USING (doc_id) JOIN piece USING (run) GROUP BY term", **MERGES))
+def geometric_pieces(spark, sf_dir):
+    """Pieces a list is in at the end: one for each partition that has the term."""
+    _, merged, log = rival(spark, sf_dir, "geometric", 1)
+    left = merged.join(F.broadcast(log.where("stays").select(F.col("run").alias("target"))), "target", "left_semi")
+    return left.groupBy("term").agg(F.countDistinct("target").alias("pieces"), F.sum("n_docs").alias("postings"))
+
+
+@query("rival_postings_written", twin("SELECT 'full' AS design, (SELECT p FROM total) AS in_runs, (SELECT p FROM total) AS in_merges UNION ALL SELECT 'geometric', (SELECT p FROM total), (SELECT CAST(sum(b.postings) AS BIGINT) FROM merge_ a JOIN numbered_ b ON b.n <= a.n AND b.n > a.n - a.n % CAST(pow(3, a.j) AS BIGINT))", **MERGES))
+def rival_postings_written(spark, sf_dir):
+    """Postings compressed into runs, and again in merges."""
+    out = None
+    for design, percent in (("full", 5), ("geometric", 1)):
+        runs, merged = rival(spark, sf_dir, design, percent)[:2]
+        one = runs.agg(F.sum("n_docs").alias("in_runs")).join(merged.agg(F.sum("n_docs").alias("in_merges"))).select(F.lit(design).alias("design"), "in_runs", "in_merges")
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @query("remerge_copied", twin("SELECT term, CAST(sum(old) AS BIGINT) AS bytes_copied FROM (SELECT term, coalesce(sum(bb) OVER (PARTITION BY term ORDER BY group_no ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS old FROM (SELECT term, group_no, sum(n_bytes) AS bb FROM segg JOIN segb USING (term, seg_no) GROUP BY term, group_no)) GROUP BY term"))
@@ -500,9 +558,14 @@ def size_class_waste(spark, sf_dir):
 
 @query("one_group_limit", twin("SELECT term, (df + {b} - 1) // {b} AS segments, CAST(1 AS BIGINT) AS groups FROM dict"))
 def one_group_limit(spark, sf_dir):
-    """Buffers that hold everything: the final flush writes each list as one group."""
-    d = index(spark, sf_dir).dictionary
-    return d.select("term", F.ceil(F.col("df") / F.lit(CFG.block)).alias("segments"), F.lit(1).cast("long").alias("groups"))
+    """Buffers that hold everything: the pool is laid out by the final flush alone, and its stretches are counted."""
+    return baselines.adjacent_groups(baselines.unbounded_buffers(index(spark, sf_dir).blocks, CFG))
+
+
+@query("groups_laid_out", twin("SELECT term, count(*) AS segments, CAST(sum(CASE WHEN nx IS NULL OR nx <> addr + n_bytes THEN 1 ELSE 0 END) AS BIGINT) AS groups FROM (SELECT *, lead(addr) OVER (PARTITION BY term ORDER BY seg_no) AS nx FROM pooled) GROUP BY term"))
+def groups_laid_out(spark, sf_dir):
+    """The same count in the capped layout."""
+    return baselines.adjacent_groups(index(spark, sf_dir).placed)
 
 
 # ---------------------------------------------------------------- measures
