@@ -1,7 +1,11 @@
-"""The incremental index as a stream: documents arrive, full buffers leave as groups of segments.
+"""The incremental index as a stream: documents arrive, full buffers leave as groups of compressed segments.
+
+State of a (shard, term): its buffered postings with positions, appended as they come and rewritten only by a flush, and
+a few numbers (postings buffered and seen, groups and segments flushed, first sight). A term's first buffer is no larger
+than the df threshold, and only terms that fill it get into the final index. A group leaves when the buffer holds as many
+postings as the group has room for; what is left when the stream ends is read from the state. Buffers are rows of numbers
+or, with codec 'vbyte', bytes of variable length.
 
-State of a (shard, term): the buffered documents and tfs, and how often it has been flushed. A group leaves when the
-buffer holds as many postings as the group has room for; what is left when the stream ends is read from the state.
 Documents of a micro-batch are put in id order; a late document (an id below one already seen) is never dropped: it
 takes the next number instead of its own id, as lists only grow.
 """
@@ -10,16 +14,22 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from ..config import IndexConfig
-from ..functions import analyze
-from ..operators.postings import shard_of
+from ..functions import analyze, codec, schedule
+from ..operators import pool, postings as P, retrieval as R
+from ..operators.numbering import numbered
 
 ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
-GROUP = "shard int, term string, group_no long, n_docs long, docs array<long>, tfs array<int>"
+#: A flushed segment; trigger: the posting that filled the buffer.
+SEGMENT = "shard int, term string, seg_no long, group_no long, n_docs int, first_doc long, last_doc long, trigger_doc long, trigger_pos long, n_bytes long, d_block binary, f_block binary, p_blocks array<binary>"
+NUMBERS = "n long, seen long, groups long, segments long, last long, first_doc long, first_pos long"
+BUFFERS = {"raw": "doc long, positions array<int>", "vbyte": "chunk binary"}
 
 
 def room(group_no: int, cfg: IndexConfig) -> int:
@@ -27,49 +37,105 @@ def room(group_no: int, cfg: IndexConfig) -> int:
     return cfg.block << min(group_no, cfg.cap)
 
 
+def squeeze(docs: list[int], positions: list[list[int]]) -> bytes:
+    """Postings in variable bytes: how many, then for each the document, its tf and gaps of its positions."""
+    numbers = [len(docs)]
+    for doc, pos in zip(docs, positions):
+        numbers += [doc, len(pos), *np.diff(pos, prepend=0).tolist()]
+    return codec.vbyte_encode(np.array(numbers, np.int64))
+
+
+def unsqueeze(chunk: bytes) -> Iterator[tuple[int, list[int]]]:
+    numbers = codec.vbyte_decode(bytes(chunk)).tolist()
+    at = 1
+    for _ in range(numbers[0]):
+        doc, tf = numbers[at], numbers[at + 1]
+        yield doc, np.cumsum(numbers[at + 2 : at + 2 + tf]).tolist()
+        at += 2 + tf
+
+
 class Buffers(StatefulProcessor):
     """One term's buffers."""
 
-    def __init__(self, cfg: IndexConfig):
-        self.cfg = cfg
+    def __init__(self, cfg: IndexConfig, buffer_codec: str = "raw"):
+        self.cfg, self.codec = cfg, buffer_codec
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.state = handle.getValueState("buffer", "docs array<long>, tfs array<int>, flushed long, last long")
+        self.numbers = handle.getValueState("numbers", NUMBERS)
+        self.postings = handle.getListState("postings", BUFFERS[self.codec])
+
+    def _held(self) -> tuple[list[int], list[list[int]]]:
+        docs, positions = [], []
+        if self.postings.exists():
+            for row in self.postings.get():
+                for doc, pos in [row] if self.codec == "raw" else unsqueeze(row[0]):
+                    docs.append(doc)
+                    positions.append(list(pos))
+        return docs, positions
+
+    def _append(self, docs: list[int], positions: list[list[int]]) -> None:
+        if docs:
+            self.postings.appendList(list(zip(docs, positions)) if self.codec == "raw" else [(squeeze(docs, positions),)])
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer_values) -> Iterator[pd.DataFrame]:
-        docs, tfs, flushed, last = self.state.get() if self.state.exists() else ([], [], 0, -1)
-        docs, tfs = list(docs), list(tfs)
-        new = pd.concat(list(rows)).sort_values("doc_id")
+        n, seen, groups, segments, last, first_doc, first_pos = self.numbers.get() if self.numbers.exists() else (0, 0, 0, 0, -1, None, None)
+        new = pd.concat(list(rows)).sort_values("doc_id", kind="stable")
+        docs, positions = new["doc_id"].tolist(), [list(map(int, p)) for p in new["positions"]]
+        for i, doc in enumerate(docs):
+            docs[i] = last = max(int(doc), last + 1)
+        if first_doc is None:
+            first_doc, first_pos = docs[0], positions[0][0]
+        seen += len(docs)
         out = []
-        for doc, tf in zip(new["doc_id"].tolist(), new["tf"].tolist()):
-            last = max(int(doc), last + 1)
-            docs.append(last)
-            tfs.append(int(tf))
-            if len(docs) == room(flushed, self.cfg):
-                out.append((int(key[0]), key[1], flushed, len(docs), docs, tfs))
-                docs, tfs, flushed = [], [], flushed + 1
-        self.state.update((docs, tfs, flushed, last))
+        if n + len(docs) < room(groups, self.cfg):
+            self._append(docs, positions)
+            n += len(docs)
+        else:
+            held = self._held()
+            docs, positions, at = held[0] + docs, held[1] + positions, 0
+            while len(docs) - at >= room(groups, self.cfg):
+                end = at + room(groups, self.cfg)
+                for i in range(at, end, self.cfg.block):
+                    out.append((int(key[0]), key[1], segments, groups, *self._segment(docs[i : i + self.cfg.block], positions[i : i + self.cfg.block], docs[end - 1], positions[end - 1][0])))
+                    segments += 1
+                groups, at = groups + 1, end
+            self.postings.clear()
+            self._append(docs[at:], positions[at:])
+            n = len(docs) - at
+        self.numbers.update((n, seen, groups, segments, last, first_doc, first_pos))
         if out:
-            yield pd.DataFrame(out, columns=["shard", "term", "group_no", "n_docs", "docs", "tfs"])
+            yield pd.DataFrame(out, columns=[c.split()[0] for c in SEGMENT.split(", ")])
+
+    def _segment(self, docs: list[int], positions: list[list[int]], trigger_doc: int, trigger_pos: int) -> tuple:
+        d, f, p = blocks(docs, positions, self.cfg)
+        size = pool.POINTER + 2 * pool.LENGTH + len(d) + len(f) + sum(pool.LENGTH + len(b) for b in p)
+        return len(docs), docs[0], docs[-1], trigger_doc, trigger_pos, size, d, f, p
 
     def close(self) -> None:
         pass
 
 
-def index_stream(docs: DataFrame, cfg: IndexConfig, per_shard: int | None = None) -> DataFrame:
-    """GROUP rows of a stream of (doc_id, text), as buffers fill."""
+def blocks(docs: list[int], positions: list[list[int]], cfg: IndexConfig) -> tuple[bytes, bytes, list[bytes]]:
+    """The compressed blocks of a segment."""
+    gaps = np.concatenate([np.diff(p, prepend=0) for p in positions]) if cfg.positional else []
+    p = [codec.pfor_encode(gaps[i : i + cfg.block]) for i in range(0, len(gaps), cfg.block)]
+    return codec.pfor_encode(np.diff(docs, prepend=0)), codec.pfor_encode([len(p) for p in positions]), p
+
+
+def index_stream(docs: DataFrame, cfg: IndexConfig, per_shard: int | None = None, buffer_codec: str = "raw") -> DataFrame:
+    """SEGMENT rows of a stream of (doc_id, text), as buffers fill."""
     occ = docs.select("doc_id", analyze.row_postings(analyze.words(F.col("text"))).alias("occ"))
-    rows = occ.select("doc_id", F.inline(analyze.cut(F.col("occ")))).select(shard_of(F.col("doc_id"), per_shard).alias("shard"), "term", "doc_id", "tf")
-    return rows.groupBy("shard", "term").transformWithStateInPandas(Buffers(cfg), GROUP, "append", "none")
+    rows = occ.select("doc_id", F.inline(analyze.cut(F.col("occ")))).select(P.shard_of(F.col("doc_id"), per_shard).alias("shard"), "term", "doc_id", "positions")
+    return rows.groupBy("shard", "term").transformWithStateInPandas(Buffers(cfg, buffer_codec), SEGMENT, "append", "none")
 
 
-def run(docs: DataFrame, cfg: IndexConfig, out: str, checkpoint: str, per_shard: int | None = None) -> None:
+def run(docs: DataFrame, cfg: IndexConfig, out: str, checkpoint: str, per_shard: int | None = None, buffer_codec: str = "raw") -> None:
     """Run to the end of what is there; a later call with the same folders goes on from the state."""
     spark = docs.sparkSession
     before = spark.conf.get("spark.sql.streaming.stateStore.providerClass", None)
     spark.conf.set("spark.sql.streaming.stateStore.providerClass", ROCKS)
     try:
-        q = index_stream(docs, cfg, per_shard).writeStream.format("parquet").option("path", out).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+        q = index_stream(docs, cfg, per_shard, buffer_codec).writeStream.format("parquet").option("path", out).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
         q.awaitTermination()
     finally:
         if before:
@@ -78,20 +144,79 @@ def run(docs: DataFrame, cfg: IndexConfig, out: str, checkpoint: str, per_shard:
             spark.conf.unset("spark.sql.streaming.stateStore.providerClass")
 
 
-def leftovers(spark: SparkSession, checkpoint: str) -> DataFrame:
-    """GROUP rows of the final flush, from the state of a stopped stream."""
-    state = spark.read.format("statestore").option("stateVarName", "buffer").load(checkpoint)
-    rows = state.select("key.*", "value.*").where(F.size("docs") > 0)
-    return rows.select("shard", "term", F.col("flushed").alias("group_no"), F.size("docs").cast("long").alias("n_docs"), "docs", "tfs")
-
-
-def search_as_of(groups: DataFrame, log: DataFrame, at: int) -> DataFrame:
-    """(term, docs): what a query sees when `at` is the last document arrived: flushed groups and unflushed postings.
-
-    log holds every posting (term, doc_id); the flushed part comes from groups, the rest from the log."""
-    flushed = groups.select("term", F.explode("docs").alias("doc_id")).where(F.col("doc_id") <= at)
-    rest = log.where(F.col("doc_id") <= at).join(flushed, ["term", "doc_id"], "left_anti")
-    return flushed.unionByName(rest).groupBy("term").agg(F.sort_array(F.collect_list("doc_id")).alias("docs"))
+def flushed(spark: SparkSession, out: str) -> DataFrame:
+    return spark.read.schema(SEGMENT).parquet(out)
+
+
+def numbers(spark: SparkSession, checkpoint: str) -> DataFrame:
+    """(shard, term, NUMBERS) of every term that the stream has seen."""
+    return spark.read.format("statestore").option("stateVarName", "numbers").load(checkpoint).select("key.*", "value.*")
+
+
+def buffered(spark: SparkSession, checkpoint: str, buffer_codec: str = "raw") -> DataFrame:
+    """(shard, term, doc_id, tf, positions): postings that are in buffers, from the state of a stopped stream."""
+    state = spark.read.format("statestore").option("stateVarName", "postings").option("flattenCollectionTypes", True).load(checkpoint).select("key.*", "list_element.*")
+    if buffer_codec == "raw":
+        return state.select("shard", "term", F.col("doc").alias("doc_id"), F.size("positions").alias("tf"), "positions")
+
+    def kernel(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in it:
+            rows = [(s, t, doc, len(pos), pos) for s, t, chunk in zip(*(batch.column(i).to_pylist() for i in range(3))) for doc, pos in unsqueeze(chunk)]
+            if rows:
+                kinds = (pa.int32(), pa.string(), pa.int64(), pa.int32(), pa.list_(pa.int32()))
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], names=["shard", "term", "doc_id", "tf", "positions"])
+
+    return state.mapInArrow(kernel, "shard int, term string, doc_id long, tf int, positions array<int>")
+
+
+def state_bytes(spark: SparkSession, checkpoint: str, buffer_codec: str = "raw") -> DataFrame:
+    """(buffer_bytes): what buffered values take, 4 bytes a number or as coded."""
+    if buffer_codec == "raw":
+        rows = buffered(spark, checkpoint)
+        return rows.agg(F.coalesce(F.sum(8 + 4 * F.size("positions")), F.lit(0)).alias("buffer_bytes"))
+    state = spark.read.format("statestore").option("stateVarName", "postings").option("flattenCollectionTypes", True).load(checkpoint)
+    return state.agg(F.coalesce(F.sum(F.length("list_element.chunk")), F.lit(0)).cast("long").alias("buffer_bytes"))
+
+
+def finish(spark: SparkSession, out: str, checkpoint: str, cfg: IndexConfig, buffer_codec: str = "raw") -> tuple[DataFrame, DataFrame]:
+    """(dictionary, segments) of the whole index: flushed segments and the final flush of terms that reached the df
+    threshold, with ids by first sight, addresses in flush order, and links. A term that the threshold drops never filled
+    a block, so nothing of it is in the pool."""
+    kept = numbers(spark, checkpoint).where(F.col("seen") >= cfg.df_threshold)
+    dictionary = numbered(kept.withColumnRenamed("seen", "df"), ["shard"], schedule.div(F.col("first_doc"), P.RANGE), [F.col("first_doc"), F.col("first_pos")], "term_id")
+    base = dictionary.select("shard", "term", "term_id", F.col("groups").alias("group_base"), F.col("segments").alias("seg_base"))
+    rest = buffered(spark, checkpoint, buffer_codec).join(base, ["shard", "term"])
+    rest = numbered(rest, ["shard", "term"], schedule.div(F.col("doc_id"), P.RANGE), [F.col("doc_id")], "rank", first=1)
+    last = pool.encode(pool.assemble(rest, cfg, ("shard", "seg_base", "group_base")), cfg)
+    names = ["shard", "term", "seg_no", "group_no", "n_docs", "first_doc", "last_doc", "trigger_doc", "trigger_pos", "n_bytes", "d_block", "f_block", "p_blocks"]
+    none = F.lit(None).cast("long")
+    last = last.withColumns({"seg_no": F.col("seg_no") + F.col("seg_base"), "group_no": F.col("group_base"), "trigger_doc": none, "trigger_pos": none}).select(*names)
+    segments = flushed(spark, out).select(*names).unionByName(last).join(base.select("shard", "term", "term_id"), ["shard", "term"])
+    events = segments.where("trigger_doc IS NOT NULL").select("shard", "term_id", "group_no", "trigger_doc", "trigger_pos").distinct()
+    thin = segments.select("shard", "term_id", "seg_no", "group_no", "n_bytes")
+    placed = pool.link(pool.place(thin, events, cfg, ("shard",)), ("shard",))
+    ends = placed.groupBy("shard", "term_id").agg(F.max(F.when(F.col("is_head"), F.col("addr"))).alias("head_addr"), F.max(F.when(F.col("is_tail"), F.col("addr"))).alias("tail_addr"))
+    dictionary = dictionary.join(ends, ["shard", "term_id"]).select("shard", "term", "term_id", "df", "first_doc", "first_pos", "head_addr", "tail_addr")
+    return dictionary, segments.drop("trigger_doc", "trigger_pos").join(placed.drop("group_no", "n_bytes"), ["shard", "term_id", "seg_no"])
+
+
+def visible(spark: SparkSession, out: str, checkpoint: str, cfg: IndexConfig, buffer_codec: str = "raw") -> DataFrame:
+    """(term, doc_id, tf): what a query sees between two micro-batches: flushed segments, decoded, and live buffers. The
+    cost is that of segments and buffers; no log of postings is kept."""
+    written = pool.decode(flushed(spark, out), positions=False).select("term", "doc_id", "tf")
+    live = buffered(spark, checkpoint, buffer_codec).select("term", "doc_id", "tf")
+    return written.unionByName(live)
+
+
+def answers(spark: SparkSession, out: str, checkpoint: str, cfg: IndexConfig, queries: DataFrame, buffer_codec: str = "raw") -> DataFrame:
+    """(query_id, doc_id): conjunctive answers at this moment. Only terms over the df threshold are in the dictionary;
+    segments and buffers of other terms than the queries' are left where they are."""
+    used = queries.select(F.explode("terms").alias("term")).distinct()
+    kept = numbers(spark, checkpoint).where(F.col("seen") >= cfg.df_threshold).groupBy("term").agg(F.count(F.lit(1)).alias("shards")).join(F.broadcast(used), "term", "left_semi").select("term")
+    written = flushed(spark, out).join(F.broadcast(used), "term", "left_semi")
+    live = buffered(spark, checkpoint, buffer_codec).join(F.broadcast(used), "term", "left_semi").select("term", "doc_id")
+    rows = pool.decode(written, positions=False).select("term", "doc_id").unionByName(live).join(kept, "term", "left_semi")
+    return R.intersect(rows, queries)
 
 
 def split_for_stream(docs: DataFrame, path: str, files: int) -> None:

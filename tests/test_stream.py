@@ -1,3 +1,4 @@
+import pytest
 from pyspark.sql import functions as F
 
 from postpool.config import IndexConfig
@@ -6,48 +7,65 @@ from postpool.plans import support
 from postpool.sources.io import read_table
 from postpool.streaming import stream
 
-CFG = IndexConfig(block=4, cap_log2=2, df_threshold=1)
+CFG = IndexConfig(block=4, cap_log2=2, df_threshold=3)
 
 
-def lists(rows):
-    out = {}
-    for r in rows:
-        out.setdefault((r.term, r.group_no), (list(r.docs), list(r.tfs)))
-    return out
+def source(spark, path):
+    return spark.readStream.schema("doc_id long, text string").option("maxFilesPerTrigger", 1).parquet(path)
 
 
-def test_stream_equals_batch(spark, sf, tmp_path):
-    docs = read_table(spark, sf, "documents").select("doc_id", "text").where("doc_id < 60")
+@pytest.mark.parametrize("codec", ["raw", "vbyte"])
+def test_stream_equals_batch(spark, sf, tmp_path, codec):
+    """Blocks, addresses, links and the dictionary of the stream are those of the batch index, byte by byte."""
+    docs = read_table(spark, sf, "documents").select("doc_id", "text").where("doc_id < 50")
     stream.split_for_stream(docs, f"{tmp_path}/in", 3)
-    source = lambda: spark.readStream.schema("doc_id long, text string").option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in")
-    stream.run(source(), CFG, f"{tmp_path}/out", f"{tmp_path}/state")
+    stream.run(source(spark, f"{tmp_path}/in"), CFG, f"{tmp_path}/out", f"{tmp_path}/state", buffer_codec=codec)
     n = spark.read.parquet(f"{tmp_path}/out").count()
-    stream.run(source(), CFG, f"{tmp_path}/out", f"{tmp_path}/state")  # nothing new: a restart repeats nothing
-    flushed = spark.read.schema(stream.GROUP).parquet(f"{tmp_path}/out")
-    assert flushed.count() == n
-    got = lists(flushed.unionByName(stream.leftovers(spark, f"{tmp_path}/state")).collect())
-    ix = build_index(docs, CFG, encode=False)
-    want = {}
-    for r in ix.segments.orderBy("term", "seg_no").collect():
-        d, t = want.setdefault((r.term, r.group_no), ([], []))
-        d += r.docs
-        t += r.tfs
-    assert got == want
+    stream.run(source(spark, f"{tmp_path}/in"), CFG, f"{tmp_path}/out", f"{tmp_path}/state", buffer_codec=codec)  # nothing new: a restart repeats nothing
+    assert spark.read.parquet(f"{tmp_path}/out").count() == n
+    dictionary, segments = stream.finish(spark, f"{tmp_path}/out", f"{tmp_path}/state", CFG, codec)
+    ix = build_index(docs, CFG)
+    names = ["term", "seg_no", "group_no", "n_docs", "first_doc", "last_doc", "n_bytes", "addr", "next_addr", "is_head", "is_tail", "d_block", "f_block", "p_blocks"]
+    rows = lambda df: sorted((tuple(r) for r in df.select(*names).collect()), key=lambda r: r[:2])
+    assert rows(segments) == rows(ix.segments)
+    ends = {r.term: r.addr for r in ix.segments.where("is_tail").collect()}
+    got = {r.term: (r.term_id, r.df, r.tail_addr) for r in dictionary.collect()}
+    assert got == {r.term: (r.term_id, r.df, ends[r.term]) for r in ix.dictionary.collect()}
+
+
+def test_squeezed_buffers_are_smaller(spark, sf, tmp_path):
+    docs = read_table(spark, sf, "documents").select("doc_id", "text").where("doc_id < 20")
+    stream.split_for_stream(docs, f"{tmp_path}/in", 2)
+    sizes = {}
+    for codec in ("raw", "vbyte"):
+        stream.run(source(spark, f"{tmp_path}/in"), CFG, f"{tmp_path}/out-{codec}", f"{tmp_path}/state-{codec}", buffer_codec=codec)
+        sizes[codec] = stream.state_bytes(spark, f"{tmp_path}/state-{codec}", codec).first()[0]
+    assert 0 < sizes["vbyte"] < sizes["raw"] / 2
+    assert list(stream.unsqueeze(stream.squeeze([3, 9, 500], [[1, 4], [7], [200, 70000]]))) == [(3, [1, 4]), (9, [7]), (500, [200, 70000])]
 
 
 def test_late_document_gets_the_next_number(spark, tmp_path):
-    for i, rows in enumerate([[(5, "x"), (6, "x")], [(2, "x")]]):
+    for rows in [[(5, "x"), (6, "x")], [(2, "x")]]:
         spark.createDataFrame(rows, "doc_id long, text string").coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
-        source = spark.readStream.schema("doc_id long, text string").parquet(f"{tmp_path}/in")
-        stream.run(source, CFG, f"{tmp_path}/out", f"{tmp_path}/state")
-    assert stream.leftovers(spark, f"{tmp_path}/state").first().docs == [5, 6, 7]
-
-
-def test_search_as_of(spark):
-    groups = spark.createDataFrame([(0, "x", 0, 2, [1, 3], [1, 1])], stream.GROUP)
-    log = spark.createDataFrame([("x", 1), ("x", 3), ("x", 4), ("x", 9), ("y", 4)], "term string, doc_id long")
-    got = {r.term: r.docs for r in stream.search_as_of(groups, log, 4).collect()}
-    assert got == {"x": [1, 3, 4], "y": [4]}
+        stream.run(source(spark, f"{tmp_path}/in"), CFG, f"{tmp_path}/out", f"{tmp_path}/state")
+    assert sorted(r.doc_id for r in stream.buffered(spark, f"{tmp_path}/state").collect()) == [5, 6, 7]
+
+
+def test_queries_between_batches(spark, tmp_path):
+    """A query sees flushed segments and live buffers, and only terms that have reached the threshold by then."""
+    texts = ["a b", "a", "a b", "a b c", "a", "b c", "a b", "a"]
+    q = spark.createDataFrame([(1, ["a", "b"]), (2, ["b"]), (3, ["c", "a"]), (4, ["zz"])], "query_id long, terms array<string>")
+    seen = 0
+    for step in ([0, 1, 2], [3, 4, 5], [6, 7]):
+        spark.createDataFrame([(i, texts[i]) for i in step], "doc_id long, text string").coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+        stream.run(source(spark, f"{tmp_path}/in"), CFG, f"{tmp_path}/out", f"{tmp_path}/state")
+        seen += len(step)
+        docs = {t: {i for i in range(seen) if t in texts[i].split()} for t in "abc"}
+        docs = {t: d for t, d in docs.items() if len(d) >= CFG.df_threshold}
+        want = sorted((r.query_id, i) for r in q.collect() if all(t in docs for t in r.terms) for i in set.intersection(*(docs[t] for t in r.terms)))
+        assert sorted(map(tuple, stream.answers(spark, f"{tmp_path}/out", f"{tmp_path}/state", CFG, q).collect())) == want
+        everything = sorted((r.term, r.doc_id) for r in stream.visible(spark, f"{tmp_path}/out", f"{tmp_path}/state", CFG).collect())
+        assert everything == sorted((t, i) for i in range(seen) for t in texts[i].split())
 
 
 def test_watermark_drops_late_aggregates_only(spark, tmp_path):
