@@ -135,3 +135,23 @@ def jumps_of_queries(segments: DataFrame, queries: DataFrame) -> DataFrame:
     lists = segments.groupBy("term").agg(F.count(F.lit(1)).alias("s"), F.coalesce(F.sum((gap != 0).cast("long")), F.lit(0)).alias("j"))
     return lists.join(F.broadcast(terms), "term").groupBy("query_id").agg(F.sum("s").alias("segments"), F.sum("j").alias("jumps"))
 
+
+def work_between_jumps(stretches: DataFrame, dictionary: DataFrame, queries: DataFrame) -> DataFrame:
+    """(query_id, postings, stretches, postings_per_stretch): a list is read in stretches of side by side segments, and a
+    stretch's postings are what is decoded before the next jump."""
+    terms = queries.select("query_id", F.explode(F.array_distinct("terms")).alias("term"))
+    lists = stretches.select("term", "groups").join(dictionary.select("term", "df"), "term").join(F.broadcast(terms), "term")
+    sums = lists.groupBy("query_id").agg(F.sum("df").alias("postings"), F.sum("groups").alias("stretches"))
+    return sums.select("query_id", "postings", "stretches", F.round(F.col("postings") / F.col("stretches"), 6).alias("postings_per_stretch"))
+
+
+def seen_by_queries(ix, queries: DataFrame) -> DataFrame:
+    """(query_id, docs_visible, list_segments, list_postings, buffered_postings, postings_per_doc) of (query_id, terms,
+    at): a query that arrives with document `at` sees groups flushed by then, and buffers."""
+    terms = queries.select("query_id", "at", F.explode(F.array_distinct("terms")).alias("term"))
+    events = pool.events_of_segments(ix.blocks, ix.cfg).select("shard", "term", "group_no", "trigger_doc")
+    groups = ix.placed.join(ix.blocks.select("shard", "term_id", "seg_no", "n_docs"), ["shard", "term_id", "seg_no"]).groupBy("shard", "term", "group_no").agg(F.count(F.lit(1)).alias("s"), F.sum("n_docs").alias("p"))
+    written = events.join(groups, ["shard", "term", "group_no"]).join(F.broadcast(terms), "term").where("trigger_doc <= at").groupBy("query_id").agg(F.sum("s").alias("list_segments"), F.sum("p").alias("flushed"))
+    there = ix.postings.select("term", "doc_id").join(F.broadcast(terms), "term").where("doc_id <= at").groupBy("query_id").agg(F.count(F.lit(1)).alias("list_postings"))
+    out = queries.select("query_id", (F.col("at") + 1).alias("docs_visible")).join(there, "query_id", "left").join(written, "query_id", "left").fillna(0)
+    return out.select("query_id", "docs_visible", "list_segments", "list_postings", (F.col("list_postings") - F.col("flushed")).alias("buffered_postings"), F.round(F.col("list_postings") / F.col("docs_visible"), 6).alias("postings_per_doc"))

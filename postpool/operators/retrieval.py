@@ -94,6 +94,15 @@ def bounds_at_flush(postings: DataFrame, stats: DataFrame, cfg: IndexConfig) ->
     return known.groupBy("shard", "term", "seg_no").agg(F.max(contribution(F.col("tf"), F.col("df"), F.col("doc_len"), F.col("n_docs"), F.col("avg_len"))).alias("bound"))
 
 
+def bounds_as_of(postings: DataFrame, stats: DataFrame, cfg: IndexConfig, at: int) -> DataFrame:
+    """(shard, term, seg_no, bound): bounds refreshed when document `at` has arrived, of what has arrived by then."""
+    rows = postings.where(F.col("doc_id") <= at).select("shard", "term", "doc_id", "tf", "doc_len", schedule.segment_no(F.col("rank"), cfg.block).alias("seg_no"))
+    df = rows.groupBy("term").agg(F.count(F.lit(1)).alias("df"))
+    coll = stats.where(F.col("doc_id") <= at).agg(F.count(F.lit(1)).alias("n_docs"), F.avg("doc_len").alias("avg_len"))
+    known = rows.join(df, "term").join(F.broadcast(coll))
+    return known.groupBy("shard", "term", "seg_no").agg(F.max(contribution(F.col("tf"), F.col("df"), F.col("doc_len"), F.col("n_docs"), F.col("avg_len"))).alias("bound"))
+
+
 def ranked(scores: DataFrame, k: int) -> DataFrame:
     """(query_id, rank, doc_id, score): scores rounded to 6 places, ties to the smaller document."""
     w = Window.partitionBy("query_id").orderBy(F.desc("score"), "doc_id")

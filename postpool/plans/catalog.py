@@ -10,6 +10,7 @@ from ..config import IndexConfig
 from ..functions import analyze, schedule
 from ..operators.index import serve
 from ..operators import baselines, kernels, measures, pool, postings as P, retrieval as R
+from ..runtime import materialise
 from ..sources.io import read_table
 from . import workloads as W
 from .oracle import WORDS, twin
@@ -36,8 +37,8 @@ def docs(spark, sf_dir):
     return W.collection(spark, sf_dir)
 
 
-def index(spark, sf_dir, cfg=CFG):
-    return W.index_for(spark, sf_dir, cfg)
+def index(spark, sf_dir, cfg=CFG, name="documents"):
+    return W.index_for(spark, sf_dir, cfg, name)
 
 
 # ---------------------------------------------------------------- indexing
@@ -109,7 +110,7 @@ def groups_by_cap(spark, sf_dir):
 
 @query("group_adjacency", twin("SELECT count(*) AS violations FROM (SELECT term, group_no, max(addr + n_bytes) - min(addr) AS span, sum(n_bytes) AS used FROM pooled GROUP BY term, group_no) WHERE span <> used"))
 def group_adjacency(spark, sf_dir):
-    segs = index(spark, sf_dir).segments
+    segs = index(spark, sf_dir).placed
     g = segs.groupBy("term", "group_no").agg((F.max(F.col("addr") + F.col("n_bytes")) - F.min("addr")).alias("span"), F.sum("n_bytes").alias("used"))
     return g.agg(F.coalesce(F.sum((F.col("span") != F.col("used")).cast("long")), F.lit(0)).alias("violations"))
 
@@ -152,7 +153,7 @@ def block_sizes(spark, sf_dir):
 def segment_bytes(spark, sf_dir):
     """From the encoded blocks themselves; the twin has the size formula."""
     blocks = F.lit(pool.POINTER) + F.length("d_block") + F.length("f_block") + 2 * pool.LENGTH + F.aggregate("p_blocks", F.lit(0), lambda a, b: a + F.length(b) + pool.LENGTH)
-    return index(spark, sf_dir).segments.select("term", "seg_no", blocks.cast("long").alias("n_bytes"))
+    return index(spark, sf_dir).blocks.select("term", "seg_no", blocks.cast("long").alias("n_bytes"))
 
 
 @query("segment_bytes_nopos", twin("SELECT term, seg_no, CAST(8 + sum(4 + n_bytes) AS BIGINT) AS n_bytes FROM shape WHERE part <> 'P' GROUP BY term, seg_no"))
@@ -163,7 +164,7 @@ def segment_bytes_nopos(spark, sf_dir):
 
 @query("segment_roundtrip", KEPT_SQL)
 def segment_roundtrip(spark, sf_dir):
-    return posting_digest(pool.decode(index(spark, sf_dir).segments))
+    return posting_digest(pool.decode(index(spark, sf_dir).blocks))
 
 
 @query("traverse_lists", KEPT_SQL)
@@ -186,7 +187,7 @@ def pool_addresses(spark, sf_dir):
 
 @query("pool_links", twin("SELECT term, seg_no, addr, lead(addr) OVER w AS next_addr, seg_no = 0 AS is_head, lead(addr) OVER w IS NULL AS is_tail FROM pooled WINDOW w AS (PARTITION BY term ORDER BY seg_no)"))
 def pool_links(spark, sf_dir):
-    return index(spark, sf_dir).segments.select("term", "seg_no", "addr", "next_addr", "is_head", "is_tail")
+    return index(spark, sf_dir).placed.select("term", "seg_no", "addr", "next_addr", "is_head", "is_tail")
 
 
 CONTIGUOUS_SQL = twin("SELECT term, seg_no, addr FROM contig")
@@ -202,7 +203,7 @@ def two_pass_layout(spark, sf_dir):
     """Pass 1 adds up each term's bytes, pass 2 fills the exact space from each term's start."""
     from ..operators.numbering import running_sum
 
-    segs = index(spark, sf_dir).segments.select("term", "term_id", "seg_no", "n_bytes")
+    segs = index(spark, sf_dir).placed.select("term", "term_id", "seg_no", "n_bytes")
     sizes = segs.groupBy("term_id").agg(F.sum("n_bytes").alias("size"))
     starts = running_sum(sizes, F.col("size"), [], schedule.div(F.col("term_id"), P.RANGE), [F.col("term_id")], "base")
     inner = running_sum(segs, F.col("n_bytes"), ["term", "term_id"], schedule.div(F.col("seg_no"), P.RANGE), [F.col("seg_no")], "inside")
@@ -234,6 +235,17 @@ def pos16_loss(spark, sf_dir):
     return s.select("docs", F.expr("stack(2, 'drop', d, 'truncate', t) AS (policy, tokens_lost)")).select("policy", "docs", "tokens_lost")
 
 
+@query("short_positions", twin("SELECT policy, count(*) AS postings, CAST(sum(tf) AS BIGINT) AS tokens, CAST(max(p) AS BIGINT) AS max_pos FROM (SELECT policy, doc_id, term, count(*) AS tf, max(pos) AS p FROM (SELECT policy, doc_id, unnest(v) AS term, unnest(range(1, len(v) + 1)) AS pos FROM (SELECT 'truncate' AS policy, doc_id, w[1:255] AS v FROM docw UNION ALL SELECT 'drop', doc_id, CASE WHEN len(w) > 255 THEN [] ELSE w END FROM docw)) GROUP BY policy, doc_id, term) GROUP BY policy"))
+def short_positions(spark, sf_dir):
+    """The index option for narrow positions, at 8 bits, so that documents here are long enough to feel it."""
+    out = None
+    for policy in ("truncate", "drop"):
+        rows = materialise(P.parsed(docs(spark, sf_dir), cfg=IndexConfig(pos_bits=8, overflow=policy)), "parsed").select("doc_id", F.inline("occ"))
+        one = rows.agg(F.count(F.lit(1)).alias("postings"), F.sum("tf").alias("tokens"), F.max(F.array_max("positions")).cast("long").alias("max_pos")).select(F.lit(policy).alias("policy"), "postings", "tokens", "max_pos")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 @query("buffer_bytes_by_codec", twin("""SELECT codec, part, CAST(sum(bytes) AS BIGINT) AS bytes FROM (
   SELECT 'raw' AS codec, part, 4 * n AS bytes FROM per UNION ALL SELECT 'vbyte', part, vb FROM per UNION ALL SELECT 'rice', part, (bits + 7) // 8 FROM rice) GROUP BY codec, part""",
     per="SELECT term, seg_no, part, count(*) AS n, sum(greatest(1, (bl + 6) // 7)) AS vb, CASE WHEN sum(v) // count(*) > 0 THEN length(bin(CAST(sum(v) // count(*) AS BIGINT))) - 1 ELSE 0 END AS kk FROM lens GROUP BY term, seg_no, part",
@@ -363,6 +375,40 @@ def bmw_refresh_cost(spark, sf_dir):
     return e.join(F.broadcast(d)).agg(F.max("statistics_changes").alias("statistics_changes"), F.coalesce(F.sum(n * (F.col("last") - F.col("trigger_doc"))), F.lit(0)).alias("bounds_recomputed"))
 
 
+POINTS = {
+    "pts": "SELECT i AS point, (SELECT max(doc_id) + 1 FROM documents) * i // 4 - 1 AS upto FROM range(1, 5) r(i)",
+    "pdf": "SELECT point, term, count(*) AS dfp FROM pts JOIN kept ON doc_id <= upto GROUP BY point, term",
+    "pco": "SELECT point, count(*) AS n, avg(len(w)) AS a FROM pts JOIN docw ON doc_id <= upto GROUP BY point",
+    "gone": "SELECT point, s.term, s.seg_no FROM pts JOIN events_ e ON e.trigger_doc <= upto JOIN segg s ON s.term = e.term AND s.group_no = e.group_no",
+    "fresh": "SELECT point, term, seg_no, max(ln(1 + (n - dfp + 0.5) / (dfp + 0.5)) * tf * 1.9 / (tf + 0.9 * (1 - 0.4 + 0.4 * len(w) / a))) AS bd FROM gone JOIN rseg USING (term, seg_no) JOIN pdf USING (point, term) JOIN pco USING (point) JOIN docw USING (doc_id) GROUP BY point, term, seg_no",
+}
+
+
+@query("bmw_refresh_points", twin("SELECT point, count(*) AS segments, round(max(bd), 6) AS max_bound, round(min(bd), 6) AS min_bound FROM fresh GROUP BY point", **POINTS))
+def bmw_refresh_points(spark, sf_dir):
+    """Bounds of all segments in the pool computed anew at each quarter of the collection, with the statistics then."""
+    ix, out = index(spark, sf_dir), None
+    top = ix.stats.agg(F.max("doc_id")).first()[0] or 0
+    flushed = pool.events_of_segments(ix.blocks, CFG).select("shard", "term", "group_no", "trigger_doc")
+    thin = ix.placed.select("shard", "term", "seg_no", "group_no")
+    for i in range(1, 5):
+        at = (top + 1) * i // 4 - 1
+        there = thin.join(flushed.where(F.col("trigger_doc") <= at), ["shard", "term", "group_no"], "left_semi").select("shard", "term", "seg_no")
+        fresh = R.bounds_as_of(ix.postings, ix.stats, ix.cfg, at).join(there, ["shard", "term", "seg_no"], "left_semi")
+        one = fresh.agg(F.count(F.lit(1)).alias("segments"), F.round(F.max("bound"), 6).alias("max_bound"), F.round(F.min("bound"), 6).alias("min_bound")).select(F.lit(i).cast("long").alias("point"), "segments", "max_bound", "min_bound").where("segments > 0")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query("bmw_refreshed", twin("SELECT query_id, rank, doc_id, score FROM top_e"))
+def bmw_refreshed(spark, sf_dir):
+    """With bounds refreshed at the last document the answers are exact again."""
+    ix = index(spark, sf_dir, SEARCH)
+    top = ix.stats.agg(F.max("doc_id")).first()[0] or 0
+    fresh = ix.served.drop("bound").join(R.bounds_as_of(ix.postings, ix.stats, ix.cfg, top), ["shard", "term", "seg_no"])
+    return kernels.wand(fresh, W.query_set(spark, sf_dir, "E"), ix.dictionary, ix.coll, K, by_block=True)
+
+
 @query("wand_recall", twin("SELECT query_id, CAST(10 AS BIGINT) AS k, count(*) AS found, count(*) AS hit, CAST(1.0 AS DOUBLE) AS recall FROM top_e GROUP BY query_id"))
 def wand_recall(spark, sf_dir):
     return measures.recall_at_k(wand_set_e(spark, sf_dir), bm25_topk(spark, sf_dir), K)
@@ -374,9 +420,9 @@ def candidates(spark, sf_dir):
     return R.candidates(bm25_topk(spark, sf_dir), ix.stats, read_table(spark, sf_dir, "labels"), K)
 
 
-@query("phrase_match", twin("SELECT item_id AS query_id, a.doc_id, count(*) AS n_matches FROM bw, tok a, tok b WHERE len(w) >= 2 AND a.term = w[1] AND b.term = w[2] AND a.doc_id = b.doc_id AND b.pos = a.pos + 1 GROUP BY item_id, a.doc_id"))
+@query("phrase_match", twin("SELECT q.query_id, a.doc_id, count(*) AS n_matches FROM bp q JOIN tok a ON a.term = q.x JOIN tok b ON b.term = q.y AND a.doc_id = b.doc_id AND b.pos = a.pos + 1 GROUP BY q.query_id, a.doc_id", bp="SELECT item_id * 100000 + i AS query_id, w[i] AS x, w[i + 1] AS y FROM (SELECT item_id, w, unnest(range(1, len(w))) AS i FROM bw)"))
 def phrase_match(spark, sf_dir):
-    return R.phrase(P.build_postings(docs(spark, sf_dir)), W.phrases(spark, sf_dir).where(F.size("terms") == 2))
+    return R.phrase(P.build_postings(docs(spark, sf_dir)), W.phrases(spark, sf_dir))
 
 
 @query("work_by_len", twin("SELECT n_terms, count(*) AS queries, CAST(sum(p) AS BIGINT) AS postings_read, CAST(sum(s) AS BIGINT) AS segments_read, CAST(sum(r) AS BIGINT) AS results FROM (SELECT query_id, count(*) AS n_terms, coalesce(sum(df), 0) AS p, coalesce(sum((df + {b} - 1) // {b}), 0) AS s FROM qw LEFT JOIN dict USING (term) GROUP BY query_id) JOIN (SELECT query_id, count(doc_id) AS r FROM (SELECT DISTINCT query_id FROM qw) LEFT JOIN and_w USING (query_id) GROUP BY query_id) USING (query_id) GROUP BY n_terms"))
@@ -428,7 +474,39 @@ def counters_by_layout(spark, sf_dir):
 
 @query("query_jumps", twin("SELECT query_id, CAST(sum(s) AS BIGINT) AS segments, CAST(sum(j) AS BIGINT) AS jumps FROM qe JOIN (SELECT term, count(*) AS s, coalesce(sum(CASE WHEN nx <> addr + n_bytes THEN 1 ELSE 0 END), 0) AS j FROM (SELECT *, lead(addr) OVER (PARTITION BY term ORDER BY seg_no) AS nx FROM pooled) GROUP BY term) USING (term) GROUP BY query_id"))
 def query_jumps(spark, sf_dir):
-    return measures.jumps_of_queries(index(spark, sf_dir).segments, W.query_set(spark, sf_dir, "E"))
+    return measures.jumps_of_queries(index(spark, sf_dir).placed, W.query_set(spark, sf_dir, "E"))
+
+
+def _hidden_sql():
+    parts = []
+    for layout, cap in LAYOUTS:
+        source = "contig" if layout == "contiguous" else "pooled"
+        body = f"SELECT '{layout}' AS layout, query_id, CAST(sum(df) AS BIGINT) AS postings, CAST(sum(j) AS BIGINT) AS stretches, round(sum(df) / sum(j), 6) AS postings_per_stretch FROM qe JOIN dict USING (term) JOIN (SELECT term, sum(CASE WHEN nx IS NULL OR nx <> addr + n_bytes THEN 1 ELSE 0 END) AS j FROM (SELECT *, lead(addr) OVER (PARTITION BY term ORDER BY seg_no) AS nx FROM {source}) GROUP BY term) USING (term) GROUP BY query_id"
+        parts.append("SELECT * FROM (" + twin(body, cap=cap) + ")")
+    return " UNION ALL ".join(parts)
+
+
+@query("hidden_latency", _hidden_sql())
+def hidden_latency(spark, sf_dir):
+    """Postings to decode between two jumps: what a jump's latency can hide behind."""
+    ix, out, q = index(spark, sf_dir), None, W.query_set(spark, sf_dir, "E")
+    for layout, cap in LAYOUTS:
+        one = measures.work_between_jumps(baselines.adjacent_groups(ix.addresses(layout, cap)), ix.dictionary, q).withColumn("layout", F.lit(layout))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+ARRIVAL = {"arrive": "SELECT query_id, term, (query_id * 7919) % (SELECT max(doc_id) + 1 FROM documents) AS upto FROM qe"}
+
+
+@query("interleaved_queries", twin("SELECT query_id, upto + 1 AS docs_visible, CAST(coalesce(sum(s), 0) AS BIGINT) AS list_segments, CAST(coalesce(sum(p), 0) AS BIGINT) AS list_postings, CAST(coalesce(sum(p), 0) - coalesce(sum(f), 0) AS BIGINT) AS buffered_postings, round(coalesce(sum(p), 0) / (upto + 1), 6) AS postings_per_doc FROM (SELECT a.query_id, a.upto, (SELECT count(*) FROM kept k WHERE k.term = a.term AND k.doc_id <= a.upto) AS p, (SELECT count(*) FROM events_ e JOIN rgrp r ON r.term = e.term AND r.group_no = e.group_no WHERE e.term = a.term AND e.trigger_doc <= a.upto) AS f, (SELECT count(*) FROM events_ e JOIN segg g ON g.term = e.term AND g.group_no = e.group_no WHERE e.term = a.term AND e.trigger_doc <= a.upto) AS s FROM arrive a) GROUP BY query_id, upto", **ARRIVAL))
+def interleaved_queries(spark, sf_dir):
+    """Queries that arrive while documents do: what a query's lists hold at that moment, in the pool and in buffers, and
+    the work a document costs, free of the index's growth."""
+    ix = index(spark, sf_dir)
+    top = ix.stats.agg(F.max("doc_id")).first()[0] or 0
+    q = W.query_set(spark, sf_dir, "E").withColumn("at", F.col("query_id") * 7919 % (top + 1))
+    return measures.seen_by_queries(ix, q)
 
 
 # ---------------------------------------------------------------- baselines
@@ -524,7 +602,7 @@ def rival_postings_written(spark, sf_dir):
 
 @query("remerge_copied", twin("SELECT term, CAST(sum(old) AS BIGINT) AS bytes_copied FROM (SELECT term, coalesce(sum(bb) OVER (PARTITION BY term ORDER BY group_no ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS old FROM (SELECT term, group_no, sum(n_bytes) AS bb FROM segg JOIN segb USING (term, seg_no) GROUP BY term, group_no)) GROUP BY term"))
 def remerge_copied(spark, sf_dir):
-    return baselines.remerge(index(spark, sf_dir).segments)
+    return baselines.remerge(index(spark, sf_dir).placed)
 
 
 def _in_place_sql(slack: str) -> str:
@@ -538,22 +616,30 @@ def _in_place_sql(slack: str) -> str:
 
 @query("inplace_constant", _in_place_sql("512"))
 def inplace_constant(spark, sf_dir):
-    return baselines.in_place(index(spark, sf_dir).segments, lambda used: F.lit(512).cast("long"))
+    return baselines.in_place(index(spark, sf_dir).placed, lambda used: F.lit(512).cast("long"))
+
+
+@query("inplace_mean", _in_place_sql("2 * (SELECT CAST(floor(avg(n_bytes)) AS BIGINT) FROM segb)"))
+def inplace_mean(spark, sf_dir):
+    """Slack of two mean segments."""
+    segs = index(spark, sf_dir).placed
+    slack = 2 * int(segs.agg(F.avg("n_bytes")).first()[0] or 0)
+    return baselines.in_place(segs, lambda used: F.lit(slack).cast("long"))
 
 
 @query("inplace_proportional", _in_place_sql("{u} // 2"))
 def inplace_proportional(spark, sf_dir):
-    return baselines.in_place(index(spark, sf_dir).segments, lambda used: F.floor(used / F.lit(2)).cast("long"))
+    return baselines.in_place(index(spark, sf_dir).placed, lambda used: F.floor(used / F.lit(2)).cast("long"))
 
 
 @query("eager_waste", twin("SELECT term, max(used) OVER () AS reserved, used, max(used) OVER () - used AS wasted, CAST(0 AS BIGINT) AS relocations, CAST(0 AS BIGINT) AS copied FROM (SELECT term, CAST(sum(n_bytes) AS BIGINT) AS used FROM segb GROUP BY term)"))
 def eager_waste(spark, sf_dir):
-    return baselines.eager(index(spark, sf_dir).segments)
+    return baselines.eager(index(spark, sf_dir).placed)
 
 
 @query("size_class_waste", twin("SELECT CAST(sum(pow(2, ceil(log2(n_bytes)))) AS BIGINT) AS allocated, CAST(sum(n_bytes) AS BIGINT) AS used, CAST(sum(pow(2, ceil(log2(n_bytes)))) - sum(n_bytes) AS BIGINT) AS wasted FROM segb"))
 def size_class_waste(spark, sf_dir):
-    return baselines.size_classes(index(spark, sf_dir).segments)
+    return baselines.size_classes(index(spark, sf_dir).placed)
 
 
 @query("one_group_limit", twin("SELECT term, (df + {b} - 1) // {b} AS segments, CAST(1 AS BIGINT) AS groups FROM dict"))
@@ -580,7 +666,7 @@ def buffer_memory(spark, sf_dir):
 
 
 def pool_bytes(ix):
-    return ix.segments.agg(F.sum("n_bytes").alias("pool_bytes"))
+    return ix.placed.agg(F.sum("n_bytes").alias("pool_bytes"))
 
 
 @query("buffer_pool_ratio", twin("SELECT cap, docid_bytes + tf_bytes + pos_bytes AS buffer_bytes, p AS pool_bytes, round((docid_bytes + tf_bytes + pos_bytes) / p, 6) AS ratio FROM mem, (SELECT CAST(sum(n_bytes) AS BIGINT) AS p FROM segb)", **MEM))
@@ -693,3 +779,52 @@ def asof_visible_docs(spark, sf_dir):
     clock = ev.join(F.broadcast(span)).join(F.broadcast(nd)).select("event_id", at.alias("at"))
     seen = as_of(clock, log, "at", "flush", P.RANGE)
     return seen.select("event_id", F.col("flush.trigger_doc").alias("last_flush_doc"), (F.col("at") + 1).alias("docs_visible"), F.coalesce("flush.segments", F.lit(0).cast("long")).alias("segments_visible"))
+
+
+# ---------------------------------------------------------------- the second collection, and blocks of 128
+
+
+WIDE = IndexConfig(block=128, cap_log2=5, df_threshold=10, n_shards=1)
+WIDE_SEARCH = IndexConfig(block=128, cap_log2=5, df_threshold=10, n_shards=4)
+PAGES = {"docw": "SELECT page_id AS doc_id, " + WORDS.format(_strip("coalesce(html, '')")) + " AS w FROM pages"}
+
+for _which in ("E", "W"):
+    _set = _which.lower()
+
+    @query(f"svs_pages_{_set}", twin(f"SELECT query_id, doc_id FROM and_{_set}", **PAGES))
+    def _svs_pages(spark, sf_dir, which=_which):
+        return kernels.svs(index(spark, sf_dir, SEARCH, "pages").served, W.query_set(spark, sf_dir, which))
+
+    @query(f"wand_pages_{_set}", twin(f"SELECT query_id, rank, doc_id, score FROM top_{_set}", **PAGES))
+    def _wand_pages(spark, sf_dir, which=_which):
+        ix = index(spark, sf_dir, SEARCH, "pages")
+        return kernels.wand(ix.served, W.query_set(spark, sf_dir, which), ix.dictionary, ix.coll, K)
+
+    @query(f"svs_wide_{_set}", twin(f"SELECT query_id, doc_id FROM and_{_set}", b=128))
+    def _svs_wide(spark, sf_dir, which=_which):
+        return kernels.svs(index(spark, sf_dir, WIDE_SEARCH).served, W.query_set(spark, sf_dir, which))
+
+
+#: Collections and block sizes of the memory measures beside documents in blocks of 16: (suffix, collection, index, SQL).
+OTHERS = (("pages", "pages", CFG, {"b": 16} | PAGES), ("wide", "documents", WIDE, {"b": 128}), ("pages_wide", "pages", WIDE, {"b": 128} | PAGES))
+
+for _name, _coll, _cfg, _more in OTHERS:
+
+    @query(f"buffer_memory_{_name}", twin("SELECT cap, docid_bytes, tf_bytes, pos_bytes, round((docid_bytes + tf_bytes + pos_bytes) / (SELECT docid_bytes + tf_bytes + pos_bytes FROM mem WHERE cap = 0), 6) AS ratio_to_1b FROM mem", **(MEM | _more)))
+    def _memory(spark, sf_dir, coll=_coll, cfg=_cfg):
+        return measures.buffer_memory(index(spark, sf_dir, cfg, coll).dictionary, cfg)
+
+    @query(f"buffer_pool_ratio_{_name}", twin("SELECT cap, docid_bytes + tf_bytes + pos_bytes AS buffer_bytes, p AS pool_bytes, round((docid_bytes + tf_bytes + pos_bytes) / p, 6) AS ratio FROM mem, (SELECT CAST(sum(n_bytes) AS BIGINT) AS p FROM segb)", **(MEM | _more)))
+    def _ratio(spark, sf_dir, coll=_coll, cfg=_cfg):
+        ix = index(spark, sf_dir, cfg, coll)
+        total = F.col("docid_bytes") + F.col("tf_bytes") + F.col("pos_bytes")
+        return measures.buffer_memory(ix.dictionary, cfg).join(F.broadcast(pool_bytes(ix))).select("cap", total.alias("buffer_bytes"), "pool_bytes", F.round(total / F.col("pool_bytes"), 6).alias("ratio"))
+
+    @query(f"buffer_classes_{_name}", twin(f"SELECT c AS class_blocks, count(*) AS n_terms, round(count(*) / (SELECT count(*) FROM dict), 6) AS share FROM (SELECT {CLASS_SQL} AS c FROM dict) GROUP BY c", **_more))
+    def _classes(spark, sf_dir, coll=_coll, cfg=_cfg):
+        return measures.buffer_classes(index(spark, sf_dir, cfg, coll).dictionary, cfg.block)
+
+    @query(f"segment_size_by_class_{_name}", twin(f"SELECT class, count(*) AS n_segments, round(avg(n_bytes), 6) AS avg_bytes FROM segb JOIN (SELECT term, CASE {CLASS_SQL} WHEN 1 THEN '1b' WHEN 2 THEN '2b' ELSE '>2b' END AS class FROM dict) USING (term) GROUP BY class", **_more))
+    def _sizes(spark, sf_dir, coll=_coll, cfg=_cfg):
+        ix = index(spark, sf_dir, cfg, coll)
+        return measures.segment_size_by_class(ix.placed, ix.dictionary, cfg.block)

@@ -4,11 +4,12 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, Window, functions as F
 
+from ..config import IndexConfig
 from ..functions import analyze, schedule
-from ..operators import postings as P, relops
+from ..operators import pool, postings as P, relops
 from ..sources.io import read_table
 from . import workloads as W
-from .catalog import CFG, docs, index, query
+from .catalog import CFG, KEPT_SQL, docs, index, posting_digest, query
 from .oracle import WORDS, twin
 
 HOUR = 3_600_000_000
@@ -61,10 +62,12 @@ def join_merge(spark, sf_dir):
     return P.build_postings(d).select("term", "doc_id").join(P.doc_stats(d).hint("merge"), "doc_id").select("term", "doc_id", "doc_len")
 
 
-@query("join_nested_loop", twin("SELECT a.term AS a, b.term AS b FROM (SELECT * FROM dict WHERE df >= 200) a JOIN (SELECT * FROM dict WHERE df >= 200) b ON a.df >= 2 * b.df AND a.df <= 3 * b.df"))
+@query("join_nested_loop", twin("SELECT a.term AS a, b.term AS b FROM often a JOIN often b ON a.df >= 2 * b.df AND a.df <= 3 * b.df", often="SELECT * FROM dict WHERE 5 * df >= (SELECT count(*) FROM documents)"))
 def join_nested_loop(spark, sf_dir):
-    """Terms in a sizeable share of the documents are few, whatever the vocabulary; one side is broadcast."""
-    d = index(spark, sf_dir).dictionary.where("df >= 200").select("term", "df")
+    """Terms in a fifth of the documents or more are at most five times the words of a mean document, however many
+    documents and terms there are; one side is broadcast."""
+    ix = index(spark, sf_dir)
+    d = ix.dictionary.join(F.broadcast(ix.coll.select("n_docs"))).where("5 * df >= n_docs").select("term", "df")
     a, b = d.select(F.col("term").alias("a"), F.col("df").alias("x")), d.select(F.col("term").alias("b"), F.col("df").alias("y"))
     return a.join(b, (F.col("x") >= 2 * F.col("y")) & (F.col("x") <= 3 * F.col("y"))).select("a", "b")
 
@@ -266,11 +269,10 @@ def subqueries(spark, sf_dir):
     return spark.sql("SELECT doc_id, n_chars FROM pp_documents d WHERE n_chars > (SELECT avg(n_chars) FROM pp_documents) AND EXISTS (SELECT 1 FROM pp_labels l WHERE l.doc_id = d.doc_id AND l.quality = 1) AND n_chars > (SELECT avg(n_chars) FROM pp_documents e WHERE e.source = d.source)")
 
 
-@query("cte_recursive", twin("SELECT term, count(*) AS hops FROM segb JOIN (SELECT term FROM dict WHERE df >= 100) USING (term) GROUP BY term"))
+@query("cte_recursive", twin("SELECT term, count(*) AS hops FROM segb GROUP BY term"))
 def cte_recursive(spark, sf_dir):
-    """Frequent terms' lists walked from head to blank, one pointer a step."""
-    ix = index(spark, sf_dir)
-    segs = ix.segments.join(ix.dictionary.where("df >= 100").select("term"), "term", "left_semi").select("term", "addr", "next_addr", "is_head")
+    """All lists walked from head to blank, one pointer a step."""
+    segs = index(spark, sf_dir).placed.select("term", "addr", "next_addr", "is_head")
     segs.createOrReplaceTempView("pp_segments")
     return spark.sql("""
         WITH RECURSIVE walk(term, next_addr, hops) MAX RECURSION LEVEL 100000 AS (
@@ -321,10 +323,10 @@ def stream_sliding(spark, sf_dir):
 
 @query("stream_session", "SELECT user_id, CAST(n AS BIGINT) AS n, strftime(a, '%Y-%m-%d %H:%M:%S') AS start FROM (SELECT user_id, s, count(*) AS n, min(ts) AS a FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS s FROM (SELECT *, CASE WHEN lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) IS NULL OR epoch_us(ts) - epoch_us(lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id)) > 14400000000 THEN 1 ELSE 0 END AS fresh FROM events)) GROUP BY user_id, s)")
 def stream_session(spark, sf_dir):
-    """Sessions of a user with gaps of at most four hours; the source is one batch, all sessions close at its end."""
-    e = table(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    """Sessions of a user with gaps of at most four hours; those still open when the source ends are in the result."""
+    e = _stream(spark, sf_dir).withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "1 hour")
     out = e.groupBy("user_id", F.session_window("ts", "4 hours").alias("w")).agg(F.count(F.lit(1)).alias("n"))
-    return out.select("user_id", "n", _named(F.col("w.start")).alias("start"))
+    return run_stream(out, "session", "complete").select("user_id", "n", _named(F.col("w.start")).alias("start"))
 
 
 @query("udf_scalar", twin("SELECT term, doc_id, CAST(sum(greatest(1, (CASE WHEN gap > 0 THEN length(bin(gap)) ELSE 0 END + 6) // 7)) AS BIGINT) AS n FROM gaps GROUP BY term, doc_id"))
@@ -334,12 +336,12 @@ def udf_scalar(spark, sf_dir):
     return index(spark, sf_dir).postings.select("term", "doc_id", udfs.vbyte_length(analyze.position_gaps(F.col("positions"))).alias("n"))
 
 
-@query("udaf", twin("SELECT term, CAST(n_bytes AS BIGINT) AS n FROM shape WHERE part = 'F' AND seg_no = 0"))
+@query("udaf", twin("SELECT term, seg_no, CAST(n_bytes AS BIGINT) AS n FROM shape WHERE part = 'F'"))
 def udaf(spark, sf_dir):
     from ..functions import udfs
 
-    first = index(spark, sf_dir).postings.where(F.col("rank") <= CFG.block)
-    return first.groupBy("term").agg(udfs.block_bytes(F.col("tf")).alias("n"))
+    rows = pool.with_groups(index(spark, sf_dir).postings, CFG)
+    return rows.groupBy("term", "seg_no").agg(udfs.block_bytes(F.col("tf")).alias("n"))
 
 
 @query("udtf_decode", twin("SELECT term, doc_id, tf FROM kept"))
@@ -365,17 +367,45 @@ def sample(spark, sf_dir):
     return c.where((F.col("conv_id") * 7919 + F.col("turn") * 104729) % 10 == 3).select((F.col("conv_id") * 1000 + F.col("turn")).alias("query_id"))
 
 
-@query("stream_index")
-def stream_index(spark, sf_dir):
-    """(shard, term, group_no, n_docs): documents replayed as a stream, full groups and the final flush from state."""
+STREAM = IndexConfig(block=16, cap_log2=5, df_threshold=10)
+
+
+def streamed(spark, sf_dir):
+    """Folders of the documents replayed as a stream, once a session."""
     from ..runtime import scratch_path
     from ..streaming import stream
 
-    base = scratch_path(spark, "stream")
-    stream.split_for_stream(docs(spark, sf_dir).select("doc_id", "text"), f"{base}/in", 4)
-    source = spark.readStream.schema("doc_id long, text string").option("maxFilesPerTrigger", 1).parquet(f"{base}/in")
-    stream.run(source, CFG, f"{base}/out", f"{base}/state")
-    flushed = spark.read.schema(stream.GROUP).parquet(f"{base}/out")
-    rows = flushed.unionByName(stream.leftovers(spark, f"{base}/state"))
-    kept = index(spark, sf_dir).dictionary.select("term")
-    return rows.join(kept, "term", "left_semi").select("shard", "term", "group_no", "n_docs")
+    def make():
+        base = scratch_path(spark, "stream")
+        stream.split_for_stream(docs(spark, sf_dir).select("doc_id", "text"), f"{base}/in", 4)
+        source = spark.readStream.schema("doc_id long, text string").option("maxFilesPerTrigger", 1).parquet(f"{base}/in")
+        stream.run(source, STREAM, f"{base}/out", f"{base}/state")
+        return base
+
+    base = W.once(spark, ("stream", sf_dir), make)
+    return f"{base}/out", f"{base}/state"
+
+
+@query("stream_index", twin("SELECT p.term, p.term_id, p.seg_no, p.group_no, p.n_bytes, p.addr, g.n AS n_docs FROM pooled p JOIN (SELECT term, seg_no, count(*) AS n FROM rseg GROUP BY term, seg_no) g USING (term, seg_no)"))
+def stream_index(spark, sf_dir):
+    """Documents replayed as a stream: groups as buffers filled, the final flush from state, addresses in flush order."""
+    from ..streaming import stream
+
+    _, segments = stream.finish(spark, *streamed(spark, sf_dir), STREAM)
+    return segments.select("term", "term_id", "seg_no", "group_no", "n_bytes", "addr", F.col("n_docs").cast("long").alias("n_docs"))
+
+
+@query("stream_lists", KEPT_SQL)
+def stream_lists(spark, sf_dir):
+    """The stream's lists by their pointers."""
+    from ..streaming import stream
+
+    return posting_digest(pool.traverse(stream.finish(spark, *streamed(spark, sf_dir), STREAM)[1]))
+
+
+@query("stream_answers", twin("SELECT query_id, doc_id FROM and_e"))
+def stream_answers(spark, sf_dir):
+    """Conjunctive answers from flushed segments and live buffers, before any final flush."""
+    from ..streaming import stream
+
+    return stream.answers(spark, *streamed(spark, sf_dir), STREAM, W.query_set(spark, sf_dir, "E"))
