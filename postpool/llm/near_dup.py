@@ -229,13 +229,24 @@ def centred(reps: DataFrame, files: int) -> DataFrame:
     return materialise(shared.drop("weight").join(centre, "bucket").select("bucket", "rep", "n", (-F.col("m.c")).alias("centre"), F.col("m.weight").alias("weight")).coalesce(files), "buckets")
 
 
+#: Parts that rows of one key are dealt to in a join with a row for each key.
+SALTS = 32
+
+
+def spread_join(rows: DataFrame, per_key: DataFrame, key: list[str]) -> DataFrame:
+    """rows with the columns of per_key (a row for each key). One key may have a third of all rows: its rows are dealt to
+    SALTS parts by `rep`, and each row of per_key goes to all of them."""
+    salted = per_key.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    return rows.withColumn("salt", F.pmod(F.xxhash64("rep"), F.lit(SALTS)).cast("int")).join(salted, [*key, "salt"]).drop("salt")
+
+
 def links_in_blocks(rows: DataFrame, key: list[str], texts: DataFrame, threshold: float, size: int, block: int) -> DataFrame:
     """(a, b) links from (key, side, rep, label): within a key every row of the true side meets every row of the false
     one, in blocks of about `block` rows a side. A block pair emits no pairs but the links that join components it still
     sees apart, fewer than it has rows."""
     counts = rows.groupBy(*key).agg(F.sum(F.col("side").cast("int")).alias("n"), F.sum((~F.col("side")).cast("int")).alias("m"))
     parts = lambda c: F.greatest(F.ceil(F.col(c) / F.lit(block)), F.lit(1)).cast("int")
-    rows = rows.join(counts.where("n > 0 AND m > 0").select(*key, parts("n").alias("rows"), parts("m").alias("cols")), key).join(texts, "rep")
+    rows = spread_join(rows, counts.where("n > 0 AND m > 0").select(*key, parts("n").alias("rows"), parts("m").alias("cols")), key).join(texts, "rep")
     deal = lambda n: F.pmod(F.xxhash64("rep"), n).cast("int")
     other = F.when(F.col("side"), F.col("cols")).otherwise(F.col("rows"))
     rows = rows.select(*key, "side", "rep", "label", "text", deal(F.when(F.col("side"), F.col("rows")).otherwise(F.col("cols"))).alias("mine"), F.explode(F.sequence(F.lit(0), other - 1)).alias("theirs"))
@@ -280,7 +291,7 @@ def family_rows(families: DataFrame) -> DataFrame:
     """(hub, side, rep, label) from (rep, hub, label): members outside a family's largest component, and all members."""
     counts = families.groupBy("hub", "label").agg(F.count(F.lit(1)).alias("n"))
     whole = counts.groupBy("hub").agg(F.sum("n").alias("members"), F.max(F.struct("n", (-F.col("label")).alias("l"))).alias("main")).where("members > main.n")
-    rows = families.join(whole.select("hub", (-F.col("main.l")).alias("main")), "hub").select("hub", "rep", "label", "main")
+    rows = spread_join(families, whole.select("hub", (-F.col("main.l")).alias("main")), ["hub"]).select("hub", "rep", "label", "main")
     minor = rows.where("label <> main").select("hub", F.lit(True).alias("side"), "rep", "label")
     return minor.unionByName(rows.select("hub", F.lit(False).alias("side"), "rep", "label"))
 
@@ -295,7 +306,7 @@ def meeting_rows(known: DataFrame) -> DataFrame:
     sides = pairs.select("bucket", "h0", "h1", F.explode(F.array(F.struct(F.lit(True).alias("side"), F.col("h0").alias("hub")), F.struct(F.lit(False).alias("side"), F.col("h1").alias("hub")))).alias("s")).select("bucket", "h0", "h1", "s.*")
     rows = known.join(sides, ["bucket", "hub"]).select("h0", "h1", "side", "rep", "label").distinct()
     apart = rows.groupBy("h0", "h1").agg(F.min("label").alias("l0"), F.max("label").alias("l1")).where("l0 < l1").select("h0", "h1")
-    return rows.join(apart, ["h0", "h1"])
+    return spread_join(rows, apart, ["h0", "h1"])
 
 
 #: Rows a side of a block pair.
