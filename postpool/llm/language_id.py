@@ -8,8 +8,8 @@ that the full mixture orders. Documents whose full mixture can't beat the best s
 there, which is exact, as no subset has a higher likelihood than the full set.
 
 Edge cases: a null, empty or letterless text is `und` with score 0, as is everything if no labelled text has a letter;
-ties between languages go to the alphabetically first; null labels don't train; equal texts get equal answers; very
-long texts are worked on in slices of words; other columns are ignored.
+ties between languages go to the alphabetically first; null labels don't train; equal texts get equal answers; a very
+long text is worked on whole, apart from others; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -103,15 +103,18 @@ def count_trigrams(labelled: DataFrame) -> DataFrame:
 
 
 def train(labelled: DataFrame) -> tuple[list[str], np.ndarray]:
-    """(languages, log likelihoods [BUCKETS, languages]): at most MOST_LANGUAGES x BUCKETS numbers come to the driver."""
-    found = count_trigrams(labelled).toArrow()
-    names = sorted(set(found.column("lang").to_pylist()))
+    """(languages, log likelihoods [BUCKETS, languages]): a row for each language comes to the driver, with at most
+    BUCKETS numbers."""
+    rows = count_trigrams(labelled).groupBy("lang").agg(F.collect_list(F.struct("bucket", "n")).alias("counts"))
+    found = rows.orderBy("lang").limit(MOST_LANGUAGES + 1).toArrow()
+    names = found.column("lang").to_pylist()
     if len(names) > MOST_LANGUAGES:
         raise ValueError(f"more than {MOST_LANGUAGES} languages")
     counts = np.zeros((BUCKETS, len(names)))
+    for i in range(len(names)):
+        one = found.column("counts")[i].values
+        counts[one.field("bucket").to_numpy(), i] = one.field("n").to_numpy()
     if names:
-        where = np.searchsorted(np.array(names), np.array(found.column("lang").to_pylist()))
-        counts[found.column("bucket").to_numpy(), where] = found.column("n").to_numpy()
         counts = (1 - SMOOTHING) * counts / counts.sum(axis=0) + SMOOTHING / BUCKETS
     return names, (TEMPER * np.log(counts)).astype(np.float32)
 

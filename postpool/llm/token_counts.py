@@ -38,7 +38,8 @@ def length_histogram(lengths: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
     """One row per (by..., n_tokens) that occurs, with suffix sums.
 
     n_docs; n_tokens_all = tokens of those documents; docs_ge and tokens_ge over documents of at least n_tokens;
-    truncated_total = tokens left if every document is cut to n_tokens; total_docs and total_tokens of the group.
+    truncated_total = tokens left if every document is cut to n_tokens; total_docs and total_tokens of the group;
+    quantile = share of documents of at most n_tokens.
     Only the histogram is sorted: its rows are bounded by the longest document, and windows run block by block.
     """
     by = list(by)
@@ -52,16 +53,20 @@ def length_histogram(lengths: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
         same = same & F.col(c).eqNullSafe(F.col(f"b_{c}"))
     tokens = F.col("n_docs") * F.col("n_tokens")
     out = hist.join(blocks, same).withColumns({"docs_ge": _suffix(F.col("n_docs"), by, "n_tokens", "block") + F.col("d_after"), "tokens_ge": _suffix(tokens, by, "n_tokens", "block") + F.col("t_after")})
-    return out.select(*by, "n_tokens", "n_docs", tokens.alias("n_tokens_all"), "docs_ge", "tokens_ge", (F.col("total_tokens") - F.col("tokens_ge") + F.col("docs_ge") * F.col("n_tokens")).alias("truncated_total"), "total_docs", "total_tokens")
+    return out.select(*by, "n_tokens", "n_docs", tokens.alias("n_tokens_all"), "docs_ge", "tokens_ge", (F.col("total_tokens") - F.col("tokens_ge") + F.col("docs_ge") * F.col("n_tokens")).alias("truncated_total"), "total_docs", "total_tokens", ((F.col("total_docs") - F.col("docs_ge") + F.col("n_docs")) / F.col("total_docs")).alias("quantile"))
 
 
 def at_limits(hist: DataFrame, limits: list[int]) -> DataFrame:
-    """(limit, total_docs, total_tokens, docs_within, truncated_total, lost) for any list of context limits, from the histogram alone."""
+    """(limit, total_docs, total_tokens, docs_within, truncated_total, lost) for any list of context limits, from the
+    suffix sums of the first length beyond a limit."""
     spark = hist.sparkSession
     asked = spark.sql("SELECT explode(array(" + ",".join(f"{int(x)}L" for x in limits) + ")) AS `limit`")
-    pairs = hist.select("n_tokens", "n_docs").join(F.broadcast(asked))
-    cut = F.least("n_tokens", "limit") * F.col("n_docs")
-    out = pairs.groupBy("limit").agg(F.sum("n_docs").alias("total_docs"), F.sum(F.col("n_tokens") * F.col("n_docs")).alias("total_tokens"), F.sum(F.when(F.col("n_tokens") <= F.col("limit"), F.col("n_docs")).otherwise(0)).alias("docs_within"), F.sum(cut).alias("truncated_total"))
+    whole = hist.agg(F.max("total_docs").alias("total_docs"), F.max("total_tokens").alias("total_tokens")).where("total_docs IS NOT NULL")
+    beyond = hist.select("n_tokens", "docs_ge", "tokens_ge").join(F.broadcast(asked), F.col("n_tokens") > F.col("limit"))
+    beyond = beyond.groupBy("limit").agg(F.min(F.struct("n_tokens", "docs_ge", "tokens_ge")).alias("s"))
+    out = asked.distinct().join(F.broadcast(whole)).join(beyond, "limit", "left")
+    more, tokens = F.coalesce("s.docs_ge", F.lit(0)), F.coalesce("s.tokens_ge", F.lit(0))
+    out = out.select("limit", "total_docs", "total_tokens", (F.col("total_docs") - more).alias("docs_within"), (F.col("total_tokens") - tokens + more * F.col("limit")).alias("truncated_total"))
     return out.withColumn("lost", F.col("total_tokens") - F.col("truncated_total"))
 
 

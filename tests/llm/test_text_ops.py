@@ -29,7 +29,7 @@ def texts_of(df):
 
 def histogram_by_hand(lengths):
     n, total = len(lengths), sum(lengths)
-    return sorted((x, c, x * c, sum(v >= x for v in lengths), sum(v for v in lengths if v >= x), sum(min(v, x) for v in lengths), n, total) for x, c in Counter(lengths).items())
+    return sorted((x, c, x * c, sum(v >= x for v in lengths), sum(v for v in lengths if v >= x), sum(min(v, x) for v in lengths), n, total, sum(v <= x for v in lengths) / n) for x, c in Counter(lengths).items())
 
 
 def test_length_histogram(spark, sf):
@@ -46,6 +46,7 @@ def test_length_answers(spark):
     assert sorted(map(tuple, hist.collect())) == histogram_by_hand(lengths)
     got = {r.limit: (r.docs_within, r.truncated_total, r.lost) for r in T.at_limits(hist, [4, 1024, 9999]).collect()}
     assert got == {m: (sum(n <= m for n in lengths), sum(min(n, m) for n in lengths), sum(max(0, n - m) for n in lengths)) for m in (4, 1024, 9999)}
+    assert T.at_limits(hist.where("n_tokens < 0"), [5]).count() == 0
     s = sorted(lengths)
     assert {r.share: r.n_tokens for r in T.quantiles(hist, [0.0, 0.5, 1.0]).collect()} == {0.0: s[0], 0.5: s[4], 1.0: s[-1]}
     by = T.length_histogram(spark.createDataFrame([("a", 1), ("a", 1), (None, 7)], "g string, n_tokens long"), ("g",))
@@ -83,6 +84,35 @@ def test_mixtures(spark, sf):
     assert 0.3 < share(2, "fr") < 0.7 and 0.3 < share(2, "es") < 0.7
 
 
+def test_language_sets_against_all_subsets(spark):
+    """The chosen set is the best of all sets of languages by penalised likelihood, each fitted for itself."""
+    from itertools import combinations
+
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    names, table = L.train(docs)
+    by = {}
+    for r in docs.orderBy("doc_id").collect():
+        by.setdefault(r.lang, []).append(r.text.split())
+    part = lambda lang, i, n: " ".join(by[lang][i][:n])
+    texts = [part("en", 3, 60), part("fr", 2, 9), part("en", 4, 40) + " " + part("de", 3, 40), part("es", 5, 50) + " " + part("fr", 6, 25), part("de", 7, 30) + " " + part("en", 8, 30) + " " + part("es", 9, 40)]
+    got = L.proportions(texts, table)
+    for text, row in zip(texts, got):
+        grams, first, _ = L.trigrams([text])
+        ll = np.add.reduceat(table[grams].astype(float), first, axis=0)
+        w = np.exp(ll - ll.max(axis=1)[:, None])
+
+        def value(chosen):
+            pi = np.zeros(len(names))
+            pi[list(chosen)] = 1 / len(chosen)
+            for _ in range(200):
+                r = w * pi
+                pi = (r / r.sum(axis=1, keepdims=True)).mean(axis=0)
+            return np.log((w * pi).sum(axis=1)).sum() - (len(chosen) - 1) * L.PRICE * np.log(len(w) + 1)  # noqa: B023
+
+        best = max((c for k in range(1, len(names) + 1) for c in combinations(range(len(names)), k)), key=value)
+        assert {names[i] for i in np.flatnonzero(row)} == {names[i] for i in best}
+
+
 def test_mixture_likelihood_rises():
     """EM never lowers the likelihood, and the sum of proportions is 1."""
     rng = np.random.default_rng(0)
