@@ -237,7 +237,8 @@ def spread_join(rows: DataFrame, per_key: DataFrame, key: list[str]) -> DataFram
     """rows with the columns of per_key (a row for each key). One key may have a third of all rows: its rows are dealt to
     SALTS parts by `rep`, and each row of per_key goes to all of them."""
     salted = per_key.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
-    return rows.withColumn("salt", F.pmod(F.xxhash64("rep"), F.lit(SALTS)).cast("int")).join(salted, [*key, "salt"]).drop("salt")
+    dealt = rows.withColumn("salt", F.pmod(F.xxhash64("rep"), F.lit(SALTS)).cast("int"))
+    return dealt.join(salted.hint("merge"), [*key, "salt"]).drop("salt")  # families grow with the input: never broadcast
 
 
 def links_in_blocks(rows: DataFrame, key: list[str], texts: DataFrame, threshold: float, size: int, block: int) -> DataFrame:
