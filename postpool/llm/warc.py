@@ -25,7 +25,7 @@ from .common import pick
 #: Fixed values of the Zstandard seekable format: skippable frame, footer magic.
 SKIPPABLE, SEEKABLE = 0x184D2A5E, 0x8F92EAB1
 FRAME_BYTES, BUNDLE_BYTES = 256 << 10, 8 << 20
-LEAST_REVISIT = 1000
+LEAST_REVISIT, SALTS = 1000, 32
 HTTP = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: %d\r\n\r\n"
 BUNDLE = "bundle binary, records array<struct<page_id:long,frame:int,offset:int,length:int>>"
 RECORD = "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long, target string, payload binary"
@@ -33,11 +33,13 @@ RECORD = "page_id long, payload_bytes long, payload_digest string, record_type s
 
 def roles(pages: DataFrame, least: int = LEAST_REVISIT) -> DataFrame:
     """pages with payload, digest and refers_to (null: response). Digests are counted before they are shuffled, and
-    only those that occur twice are joined back, a join that Spark may split by key."""
+    only those that occur twice are joined back. A third of all pages may be copies of one: the rows of a digest are
+    dealt to SALTS parts, and the digest's owner goes to all of them."""
     rows = pick(pages, page_id="long", url="string", html="string").select("page_id", "url", F.coalesce("html", F.lit("")).cast("binary").alias("payload"))
     rows = rows.withColumn("digest", F.sha1("payload"))
     owner = rows.where(F.length("payload") >= least).groupBy("digest").agg(F.max("page_id").alias("owner"), F.count(F.lit(1)).alias("n")).where("n > 1 AND owner IS NOT NULL").select("digest", "owner")
-    joined = rows.join(owner, "digest", "left")
+    owner = owner.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    joined = rows.withColumn("salt", F.pmod(F.xxhash64("page_id"), F.lit(SALTS)).cast("int")).join(owner, ["digest", "salt"], "left")
     return joined.select("page_id", "url", "payload", "digest", F.when(~F.col("owner").eqNullSafe(F.col("page_id")), F.col("owner")).alias("refers_to"))
 
 
