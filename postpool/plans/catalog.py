@@ -692,7 +692,7 @@ def buffer_classes(spark, sf_dir):
 @query("segment_size_by_class", twin(f"SELECT class, count(*) AS n_segments, round(avg(n_bytes), 6) AS avg_bytes FROM segb JOIN (SELECT term, CASE {CLASS_SQL} WHEN 1 THEN '1b' WHEN 2 THEN '2b' ELSE '>2b' END AS class FROM dict) USING (term) GROUP BY class"))
 def segment_size_by_class(spark, sf_dir):
     ix = index(spark, sf_dir)
-    return measures.segment_size_by_class(ix.segments, ix.dictionary, CFG.block)
+    return measures.segment_size_by_class(ix.placed, ix.dictionary, CFG.block)
 
 
 @query("ci_overlap", f"SELECT a.algo, a.collection, a.set, a.layout, round(a.mean / b.mean - 1, 6) AS slowdown, round(abs(a.mean - b.mean), 6) <= round(a.half + b.half, 6) AS overlaps FROM ({W.printed_values()}) a(algo, collection, set, layout, mean, half) JOIN ({W.printed_values()}) b(algo, collection, set, layout, mean, half) ON a.algo = b.algo AND a.collection = b.collection AND a.set = b.set AND b.layout = 'contiguous' WHERE a.layout <> 'contiguous'")

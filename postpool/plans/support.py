@@ -52,8 +52,12 @@ def join_hash(spark, sf_dir):
 def join_broadcast(spark, sf_dir):
     from ..operators import retrieval as R
 
-    q = R.query_terms(R.bounded(W.query_set(spark, sf_dir, "E"))).select("query_id", "term")
-    return index(spark, sf_dir).dictionary.join(F.broadcast(q), "term").select("query_id", "term", "term_id", "df")
+    out, d = None, index(spark, sf_dir).dictionary
+    for part in R.query_batches(W.query_set(spark, sf_dir, "E")):
+        q = R.query_terms(part).select("query_id", "term")
+        one = d.join(F.broadcast(q), "term").select("query_id", "term", "term_id", "df")
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @query("join_merge", twin("SELECT term, doc_id, CAST(len(w) AS BIGINT) AS doc_len FROM post JOIN docw USING (doc_id)"))
@@ -75,7 +79,7 @@ def join_nested_loop(spark, sf_dir):
 @query("join_range", twin("SELECT l.doc_id, s.term, s.seg_no FROM (SELECT doc_id FROM labels WHERE toxic = 1) l JOIN (SELECT term, seg_no, min(doc_id) AS a, max(doc_id) AS z FROM rseg WHERE df >= 100 GROUP BY term, seg_no) s ON l.doc_id BETWEEN a AND z"))
 def join_range(spark, sf_dir):
     ix = index(spark, sf_dir)
-    segs = ix.segments.join(ix.dictionary.where("df >= 100").select("term"), "term", "left_semi").select("term", "seg_no", "first_doc", "last_doc")
+    segs = ix.blocks.join(ix.dictionary.where("df >= 100").select("term"), "term", "left_semi").select("term", "seg_no", "first_doc", "last_doc")
     return relops.range_join(table(spark, sf_dir, "labels").where("toxic = 1").select("doc_id"), segs, "doc_id", "first_doc", "last_doc", 256).select("doc_id", "term", "seg_no")
 
 
