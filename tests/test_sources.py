@@ -64,7 +64,7 @@ def test_salted_join(spark):
 def test_observed_counters(spark, sf):
     from postpool.plans import catalog
 
-    df, seen = relops.observed(catalog.QUERIES["work_counters"](spark, sf), "work", "segments_decoded", "pivots")
+    df, seen = relops.observed(catalog.QUERIES["work_counters_wand"](spark, sf), "work", "segments_decoded", "pivots")
     rows = df.collect()
     assert seen.get == {"rows": len(rows), "segments_decoded": sum(r.segments_decoded for r in rows), "pivots": sum(r.pivots for r in rows)}
 
