@@ -165,7 +165,7 @@ class Cursor:
         self.list = lists.terms[term]
         self.first, self.last = self.list.first, self.list.last
         self.i = self.j = 0
-        self.held = None
+        self.held = self.beside = None
         self.doc = self.first[0]
 
     def seek(self, target: int) -> None:
@@ -174,7 +174,8 @@ class Cursor:
         if target > self.last[self.i]:
             self.i, probes = gallop(self.last, target, self.i + 1)
             self.work["probes"] += probes
-            self.held, self.j = None, 0
+            self.held = self.beside = None
+            self.j = 0
             if self.i >= len(self.last):
                 self.doc = None
                 return
@@ -193,9 +194,11 @@ class Cursor:
 
     def weight(self, idf: float, avg: float) -> float:
         """BM25 part of the posting at the cursor; its document's length lies beside it."""
-        self._docs()
-        tf = self.lists.tfs(self.term, self.i)[self.j]
-        return idf * tf * (K1 + 1) / (tf + K1 * (1 - B + B * self.lists.lengths(self.term, self.i)[self.j] / avg))
+        if self.beside is None:
+            self._docs()
+            self.beside = self.lists.tfs(self.term, self.i), self.lists.lengths(self.term, self.i)
+        tf, length = self.beside[0][self.j], self.beside[1][self.j]
+        return idf * tf * (K1 + 1) / (tf + K1 * (1 - B + B * length / avg))
 
     def block(self, target: int) -> int | None:
         """Segment that would hold the target."""
