@@ -184,11 +184,17 @@ def jaccard(pairs: DataFrame, size: int = WORDS) -> DataFrame:
     return pairs.select("a", "b", "text_a", "text_b").mapInArrow(kernel, "a long, b long, similarity double")
 
 
+def met(rows: DataFrame, other: DataFrame, key: str | list[str], how: str = "inner") -> DataFrame:
+    """An equi join of two tables that grow with the input. It is never broadcast, whatever the session's threshold is:
+    a side that is small today would be collected and hashed on the driver, dozens of times a run."""
+    return rows.join(other.hint("merge"), key, how)
+
+
 def verified(pairs: DataFrame, texts: DataFrame, threshold: float, size: int) -> DataFrame:
     """Distinct (a, b) whose texts are similar. Texts move by row id; only those of candidates are joined."""
     left = texts.select(F.col("rep").alias("a"), F.col("text").alias("text_a"))
     right = texts.select(F.col("rep").alias("b"), F.col("text").alias("text_b"))
-    return jaccard(pairs.join(right, "b").join(left, "a"), size).where(F.col("similarity") >= threshold).select("a", "b")
+    return jaccard(met(met(pairs, right, "b"), left, "a"), size).where(F.col("similarity") >= threshold).select("a", "b")
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -199,10 +205,10 @@ def components(links: DataFrame) -> DataFrame:
     both = materialise(links.unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct().coalesce(files), "links")
     labels = materialise(both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("label")).select(F.col("a").alias("node"), "label").coalesce(files), "labels")
     while True:
-        heard = both.join(labels.withColumnRenamed("node", "b"), "b").groupBy("a").agg(F.min("label").alias("heard"))
-        near = labels.join(heard, labels.node == heard.a, "left").select("node", "label", F.least("label", "heard").alias("next"))
+        heard = met(both, labels.withColumnRenamed("node", "b"), "b").groupBy("a").agg(F.min("label").alias("heard"))
+        near = met(labels, heard.withColumnRenamed("a", "node"), "node", "left").select("node", "label", F.least("label", "heard").alias("next"))
         jump = labels.select(F.col("node").alias("next"), F.col("label").alias("far"))
-        new = materialise(near.join(jump, "next", "left").select("node", "label", F.least("next", "far").alias("fresh")).coalesce(files), "labels")
+        new = materialise(met(near, jump, "next", "left").select("node", "label", F.least("next", "far").alias("fresh")).coalesce(files), "labels")
         if new.where("fresh < label").isEmpty():
             return labels
         labels = new.select("node", F.col("fresh").alias("label"))
@@ -222,11 +228,11 @@ def centred(reps: DataFrame, files: int) -> DataFrame:
     meets most others over all its buckets (`weight`), as an original among its edited copies does; ties to the smaller."""
     member = reps.select("rep", "n", F.explode("bands").alias("bucket"))
     sizes = member.groupBy("bucket").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
-    shared = materialise(member.join(sizes, "bucket").coalesce(files), "buckets")
+    shared = materialise(met(member, sizes, "bucket").coalesce(files), "buckets")
     weight = shared.groupBy("rep").agg(F.sum("size").alias("weight"))
-    shared = materialise(shared.join(weight, "rep").select("bucket", "rep", "n", "weight").coalesce(files), "buckets")
+    shared = materialise(met(shared, weight, "rep").select("bucket", "rep", "n", "weight").coalesce(files), "buckets")
     centre = shared.groupBy("bucket").agg(F.max(F.struct("weight", (-F.col("rep")).alias("c"))).alias("m"))
-    return materialise(shared.drop("weight").join(centre, "bucket").select("bucket", "rep", "n", (-F.col("m.c")).alias("centre"), F.col("m.weight").alias("weight")).coalesce(files), "buckets")
+    return materialise(met(shared.drop("weight"), centre, "bucket").select("bucket", "rep", "n", (-F.col("m.c")).alias("centre"), F.col("m.weight").alias("weight")).coalesce(files), "buckets")
 
 
 #: Parts that rows of one key are dealt to in a join with a row for each key.
@@ -247,7 +253,7 @@ def links_in_blocks(rows: DataFrame, key: list[str], texts: DataFrame, threshold
     sees apart, fewer than it has rows."""
     counts = rows.groupBy(*key).agg(F.sum(F.col("side").cast("int")).alias("n"), F.sum((~F.col("side")).cast("int")).alias("m"))
     parts = lambda c: F.greatest(F.ceil(F.col(c) / F.lit(block)), F.lit(1)).cast("int")
-    rows = spread_join(rows, counts.where("n > 0 AND m > 0").select(*key, parts("n").alias("rows"), parts("m").alias("cols")), key).join(texts, "rep")
+    rows = met(spread_join(rows, counts.where("n > 0 AND m > 0").select(*key, parts("n").alias("rows"), parts("m").alias("cols")), key), texts, "rep")
     deal = lambda n: F.pmod(F.xxhash64("rep"), n).cast("int")
     other = F.when(F.col("side"), F.col("cols")).otherwise(F.col("rows"))
     rows = rows.select(*key, "side", "rep", "label", "text", deal(F.when(F.col("side"), F.col("rows")).otherwise(F.col("cols"))).alias("mine"), F.explode(F.sequence(F.lit(0), other - 1)).alias("theirs"))
@@ -302,10 +308,10 @@ def meeting_rows(known: DataFrame) -> DataFrame:
     another's than the centre's, the members that lie in a bucket with the other family. Two families meet once,
     however many buckets they share."""
     hubs = known.select("bucket", "hub", "main").distinct()
-    pairs = hubs.where("hub <> main").select("bucket", F.col("hub").alias("x")).join(hubs.select("bucket", F.col("hub").alias("y")), "bucket").where("x <> y")
+    pairs = met(hubs.where("hub <> main").select("bucket", F.col("hub").alias("x")), hubs.select("bucket", F.col("hub").alias("y")), "bucket").where("x <> y")
     pairs = pairs.select("bucket", F.least("x", "y").alias("h0"), F.greatest("x", "y").alias("h1")).distinct()
     sides = pairs.select("bucket", "h0", "h1", F.explode(F.array(F.struct(F.lit(True).alias("side"), F.col("h0").alias("hub")), F.struct(F.lit(False).alias("side"), F.col("h1").alias("hub")))).alias("s")).select("bucket", "h0", "h1", "s.*")
-    rows = known.join(sides, ["bucket", "hub"]).select("h0", "h1", "side", "rep", "label").distinct()
+    rows = met(known, sides, ["bucket", "hub"]).select("h0", "h1", "side", "rep", "label").distinct()
     apart = rows.groupBy("h0", "h1").agg(F.min("label").alias("l0"), F.max("label").alias("l1")).where("l0 < l1").select("h0", "h1")
     return spread_join(rows, apart, ["h0", "h1"])
 
@@ -333,7 +339,7 @@ def classified(docs: DataFrame, threshold: float, bands: int, rows: int, size: i
     shared = centred(reps, files)
     pairs = materialise(shared.where("rep <> centre").select(F.greatest("rep", "centre").alias("a"), F.least("rep", "centre").alias("b")).distinct().coalesce(files), "pairs")
     # a representative's text: the row of its id and mark
-    wanted = reps.join(shared.select("rep").distinct().hint("merge"), "rep", "left_semi").select("rep", F.col("doc_id").alias("its_id"), F.col("mark").alias("its_mark"))
+    wanted = met(reps, shared.select("rep").distinct(), "rep", "left_semi").select("rep", F.col("doc_id").alias("its_id"), F.col("mark").alias("its_mark"))
     texts = marked(docs).where("text IS NOT NULL").join(wanted.hint("merge"), (F.col("mark") == F.col("its_mark")) & F.col("doc_id").eqNullSafe(F.col("its_id"))).groupBy("rep").agg(F.min("text").alias("text"))
     texts = materialise(texts.coalesce(files), "texts")
     links = materialise(verified(pairs, texts, threshold, size).repartition(files), "verified")  # few rows of many tasks
@@ -341,24 +347,24 @@ def classified(docs: DataFrame, threshold: float, bands: int, rows: int, size: i
 
     # what the centres leave open: components of one family (members with the same heaviest centre) ...
     hubs = shared.groupBy("rep").agg(F.max(F.struct("weight", (-F.col("centre")).alias("c"))).alias("m")).select("rep", (-F.col("m.c")).alias("hub"))
-    labelled = hubs.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("rep", "hub", F.coalesce("label", "rep").alias("label"))
+    labelled = met(hubs, labels.withColumnRenamed("node", "rep"), "rep", "left").select("rep", "hub", F.coalesce("label", "rep").alias("label"))
     labelled = materialise(labelled.coalesce(files), "families")
     inside = materialise(links_in_blocks(family_rows(labelled), ["hub"], texts, threshold, size, block).repartition(files), "verified")
 
     # ... and buckets where families meet: members of another family than the centre's against the others
-    known = shared.select("bucket", "rep", "centre").join(labelled, "rep")
+    known = met(shared.select("bucket", "rep", "centre"), labelled, "rep")
     mixed = known.groupBy("bucket").agg(F.min("hub").alias("h0"), F.max("hub").alias("h1"), F.min("label").alias("l0"), F.max("label").alias("l1"), F.min(F.when(F.col("rep") == F.col("centre"), F.col("hub"))).alias("main")).where("h0 < h1 AND l0 < l1").select("bucket", "main")
-    known = materialise(known.join(mixed, "bucket").select("bucket", "rep", "hub", "label", "main").coalesce(files), "mixed")
+    known = materialise(met(known, mixed, "bucket").select("bucket", "rep", "hub", "label", "main").coalesce(files), "mixed")
     across = links_in_blocks(meeting_rows(known), ["h0", "h1"], texts, threshold, size, block)
     more = materialise(inside.unionByName(across.repartition(files)), "verified")
     if not more.isEmpty():
         labels = components(links.unionByName(more))
 
-    named = reps.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("key", "doc_id", F.coalesce("label", "rep").alias("label"))
+    named = met(reps, labels.withColumnRenamed("node", "rep"), "rep", "left").select("key", "doc_id", F.coalesce("label", "rep").alias("label"))
     named = materialise(named.coalesce(files), "classes")
     smallest = named.groupBy("label").agg(F.min("doc_id").alias("class_id"))
-    final = materialise(named.drop("doc_id").join(smallest, "label").coalesce(files), "classes")
-    out = sketches.select("doc_id", "mark", "key").join(final, "key", "left")
+    final = materialise(met(named.drop("doc_id"), smallest, "label").coalesce(files), "classes")
+    out = met(sketches.select("doc_id", "mark", "key"), final, "key", "left")
     return out.select("doc_id", "mark", "label", F.when(F.col("label").isNull(), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"))
 
 
