@@ -383,4 +383,4 @@ def keep_one(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS,
     once = docs.join(kept.where("n = 1").hint("merge"), same, "left_semi")  # one plan at any size: ids of kept rows grow with the input
     if kept.where("n > 1").isEmpty():
         return once
-    return once.unionByName(docs.join(kept.where("n > 1"), same, "left_semi").dropDuplicates(["doc_id", "text"]))
+    return once.unionByName(docs.join(kept.where("n > 1").hint("merge"), same, "left_semi").dropDuplicates(["doc_id", "text"]))

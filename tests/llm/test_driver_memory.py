@@ -5,7 +5,7 @@ import pytest
 from postpool.llm import near_dup
 
 
-@pytest.mark.parametrize("run", [near_dup.near_duplicates])
+@pytest.mark.parametrize("run", [near_dup.near_duplicates, near_dup.keep_one])
 def test_no_join_is_broadcast(spark, sf, monkeypatch, run):
     plans = []
     write = near_dup.materialise
