@@ -3,7 +3,12 @@ counters over the same lists."""
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, functions as F
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from ..config import IndexConfig
 from ..functions import schedule
@@ -31,25 +36,110 @@ def full_flush(postings: DataFrame, budget: int) -> DataFrame:
 RUN_SEGMENT = "run long, term string, seg_no long, n_docs int, first_doc long, last_doc long, n_bytes long, d_block binary, f_block binary, p_blocks array<binary>"
 
 
-def _segments(rows: DataFrame, key: str, cfg: IndexConfig) -> DataFrame:
-    """Compressed segments of (key, term, doc_id, tf, positions): the lists of each key for themselves."""
-    by_range = schedule.div(F.col("doc_id"), RANGE)
-    ranked = numbered(rows.select(key, "term", "doc_id", "tf", "positions").withColumn("term_id", F.lit(0).cast("long")), [key, "term"], by_range, [F.col("doc_id")], "rank", first=1)
-    return pool.encode(pool.assemble(ranked, cfg, (key,)), cfg).select(key, "term", "seg_no", "n_docs", "first_doc", "last_doc", "n_bytes", "d_block", "f_block", "p_blocks")
+def _numbered(it: Iterator[pa.RecordBatch], block: int) -> Iterator[pa.Table]:
+    """Sorted postings (key, term, doc_id, tf, positions) with the seg_no that their place in their list gives."""
+    held, before = None, 0
+    for batch in it:
+        if not batch.num_rows:
+            continue
+        fresh = _changes([batch.column(0), batch.column(1)])
+        starts = np.flatnonzero(fresh)
+        place = np.arange(len(fresh)) - np.repeat(starts, np.diff([*starts, len(fresh)]))
+        if (batch.column(0)[0].as_py(), batch.column(1)[0].as_py()) == held:
+            place[: starts[1] if len(starts) > 1 else None] += before
+        held, before = (batch.column(0)[-1].as_py(), batch.column(1)[-1].as_py()), int(place[-1]) + 1
+        yield pa.table([batch.column(0), batch.column(1), pa.array(place // block, pa.int64()), *batch.columns[2:5]], names=POSTING)
+
+
+POSTING = ["key", "term", "seg_no", "doc_id", "tf", "positions"]
+
+
+def _changes(columns: list) -> np.ndarray:
+    """Where a row differs from the one before; the first does."""
+    out = np.zeros(len(columns[0]), bool)
+    out[0] = True
+    for c in columns:
+        out[1:] |= pc.not_equal(c[1:], c[:-1]).to_numpy(zero_copy_only=False)
+    return out
+
+
+def _written(tables: Iterator[pa.Table], key: str, cfg: IndexConfig) -> Iterator[pa.RecordBatch]:
+    """RUN_SEGMENT rows of POSTING rows that come sorted: a task holds one Arrow batch and at most a block beside it."""
+    rest = None
+
+    def done(t: pa.Table, starts: np.ndarray) -> pa.RecordBatch:
+        t = t.combine_chunks()
+        column = lambda c: t[c].combine_chunks() if isinstance(t[c], pa.ChunkedArray) else t[c]
+        at = pa.array([*starts, len(t)], pa.int32())
+        docs, tfs, first = column("doc_id"), column("tf"), pa.array(starts)
+        p = column("positions")
+        counts = np.diff(p.offsets.to_numpy())
+        places = p.flatten().to_numpy(zero_copy_only=False).astype(np.int64)
+        gaps = np.diff(places, prepend=0)
+        begin = (np.cumsum(counts) - counts)[counts > 0]
+        gaps[begin] = places[begin]
+        ends = np.concatenate([[0], np.cumsum(counts)])[at.to_numpy()]
+        size, blocks = pool.packed(pa.ListArray.from_arrays(at, docs), pa.ListArray.from_arrays(at, tfs), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(gaps)), cfg.block, cfg.positional)
+        last = pa.array(at.to_numpy()[1:] - 1)
+        columns = [column("key").take(first), column("term").take(first), column("seg_no").take(first), pa.array(np.diff(at.to_numpy()), pa.int32()), docs.take(first), docs.take(last), size, *blocks]
+        return pa.RecordBatch.from_arrays(columns, names=[key, *(c.split()[0] for c in RUN_SEGMENT.split(", ")[1:])])
+
+    for table in tables:
+        if not len(table):
+            continue
+        table = table if rest is None else pa.concat_tables([rest, table])
+        starts = np.flatnonzero(_changes([table[c].combine_chunks() for c in ("key", "term", "seg_no")]))
+        if len(starts) > 1:
+            yield done(table.slice(0, int(starts[-1])), starts[:-1])
+        rest = table.slice(int(starts[-1]))
+    if rest is not None:
+        yield done(rest, np.zeros(1, np.int64))
 
 
 def write_runs(postings: DataFrame, cfg: IndexConfig, budget: int) -> DataFrame:
-    """RUN_SEGMENT rows: whenever memory holds `budget` postings, all lists so far are compressed and written as a run."""
+    """RUN_SEGMENT rows: whenever memory holds `budget` postings, all lists so far are compressed and written as a run.
+    A list of a run streams through a task, and is no longer than the budget."""
     runs = runs_of(postings, budget).select("doc_id", "run")
-    return materialise(_segments(postings.join(runs, "doc_id"), "run", cfg), "runs")
+    rows = postings.join(runs, "doc_id").select("run", "term", "doc_id", "tf", "positions")
+    rows = rows.repartition("run", "term").sortWithinPartitions("run", "term", "doc_id")
+    block = cfg.block
+    return materialise(rows.mapInArrow(lambda it: _written(_numbered(it, block), "run", cfg), RUN_SEGMENT), "runs")
+
+
+#: Blocks of a list that a merge writes in one go; longer lists are merged in such parts.
+PART = 64
 
 
 def merge_runs(runs: DataFrame, plan: DataFrame, cfg: IndexConfig) -> DataFrame:
     """Segments by `target`, of (target, run): a merge reads the blocks of its runs, and compresses the joined lists
     anew. Merges of a plan are independent of each other, as each goes back to its runs; what it reads and writes is
-    what a merge of earlier targets would."""
-    rows = pool.decode(runs, keys=("run",)).drop("seg_no")
-    return materialise(_segments(rows.join(plan.select("target", "run"), "run"), "target", cfg), "merged")
+    what a merge of earlier targets would.
+
+    Runs are document ranges, so that a posting's rank in the merged list is its rank in its run's plus the lengths of
+    the runs before. Compressed blocks move, by target, term and part of the list; no posting is shuffled. A block that
+    lies in two parts goes to both, and each takes its own of it."""
+    wide = PART * cfg.block
+    counts = runs.groupBy("run", "term").agg(F.sum("n_docs").alias("n")).join(plan.select("target", "run"), "run")
+    before = F.coalesce(F.sum("n").over(Window.partitionBy("target", "term").orderBy("run").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    rank = F.col("before") + F.col("seg_no") * cfg.block
+    rows = runs.select("run", "term", "seg_no", "n_docs", "d_block", "f_block", "p_blocks").join(counts.select("target", "run", "term", before.alias("before")), ["run", "term"]).withColumn("rank", rank)
+    part = F.sequence(schedule.div(F.col("rank"), wide), schedule.div(F.col("rank") + F.col("n_docs") - 1, wide))
+    rows = rows.select("target", "term", F.explode(part).alias("part"), "rank", "seg_no", "d_block", "f_block", "p_blocks")
+    rows = rows.repartition("target", "term", "part").sortWithinPartitions("target", "term", "part", "rank")
+
+    def opened(it: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+        for whole in it:
+            for start in range(0, whole.num_rows, pool.SLICE):
+                batch = whole.slice(start, pool.SLICE)
+                rows = pool.unpacked(batch, cfg.positional, ("target", "part", "rank"))
+                part, rank = (rows.column(i).to_numpy() for i in (1, 2))
+                n = np.diff(np.flatnonzero([*_changes([rows.column(i) for i in (0, 1, 2, 3)]), True])) if rows.num_rows else np.zeros(0, np.int64)
+                rank = rank + np.arange(len(rank)) - np.repeat(np.cumsum(n) - n, n)
+                own = pa.array(rank // wide == part)
+                columns = [rows.column(0), rows.column(3), pa.array(rank // cfg.block, pa.int64()), *(rows.column(i) for i in (5, 6, 7))]
+                yield pa.table(columns, names=POSTING).filter(own)
+
+    return materialise(rows.mapInArrow(lambda it: _written(opened(it), "target", cfg), RUN_SEGMENT.replace("run", "target", 1)), "merged")
 
 
 def full_flush_index(postings: DataFrame, cfg: IndexConfig, budget: int) -> tuple[DataFrame, DataFrame]:
