@@ -29,6 +29,14 @@ def block_bytes(values: pd.Series) -> int:
     return len(codec.pfor_encode(values.to_numpy()))
 
 
+@F.pandas_udf("long")
+def sizes_of_blocks(values: pd.Series) -> pd.Series:
+    """The same of collected groups (at most a block each), a whole Arrow batch at once: groups are too many and too
+    small for a Python call each."""
+    sizes = values.map(len).to_numpy(np.int64)
+    return pd.Series(codec.pfor_shapes(np.concatenate(values.to_list()).astype(np.int64), sizes)[2] if len(values) else sizes)
+
+
 @F.udtf(returnType="doc_id: long, tf: long")
 class DecodeSegment:
     """A segment's blocks to its postings."""

@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame, Window, functions as F
 from ..config import IndexConfig
 from ..functions import analyze, schedule
 from ..operators import pool, postings as P, relops
+from ..runtime import materialise
 from ..sources.io import read_table
 from . import workloads as W
 from .catalog import CFG, KEPT_SQL, docs, index, posting_digest, query
@@ -275,16 +276,30 @@ def subqueries(spark, sf_dir):
 
 @query("cte_recursive", twin("SELECT term, count(*) AS hops FROM segb GROUP BY term"))
 def cte_recursive(spark, sf_dir):
-    """All lists walked from head to blank, one pointer a step."""
-    segs = index(spark, sf_dir).placed.select("term", "addr", "next_addr", "is_head")
-    segs.createOrReplaceTempView("pp_segments")
+    """All lists walked from head to blank by their pointers. A round of the recursion takes a stretch of a list: inside
+    a stretch the pointers are followed from segment to segment as far as they name the next one's address."""
+    segs = index(spark, sf_dir).placed.select("term", "addr", "next_addr", "is_head", "seg_no")
+    stretches(segs).createOrReplaceTempView("pp_stretches")
     return spark.sql("""
         WITH RECURSIVE walk(term, next_addr, hops) MAX RECURSION LEVEL 100000 AS (
-          SELECT term, next_addr, 1L FROM pp_segments WHERE is_head
-          UNION ALL SELECT s.term, s.next_addr, w.hops + 1 FROM walk w JOIN pp_segments s ON s.addr = w.next_addr AND s.term = w.term)
+          SELECT term, next_addr, hops FROM pp_stretches WHERE is_head
+          UNION ALL SELECT s.term, s.next_addr, w.hops + s.hops FROM walk w JOIN pp_stretches s ON s.addr = w.next_addr AND s.term = w.term)
         SELECT term, max(hops) AS hops FROM walk GROUP BY term""")
 
 
+def stretches(segments: DataFrame, wide: int = P.RANGE) -> DataFrame:
+    """(term, addr, is_head, next_addr, hops): from the first of at most `wide` segments the pointers are followed as
+    long as they stay in the stretch; next_addr is where they leave it (null: the list's end), after so many segments.
+    A stretch whose pointers don't name the next segment breaks up: each piece is entered at its own address. Written
+    once, as every round of a recursion reads it."""
+    w = Window.partitionBy("term", "part").orderBy("seg_no")
+    rows = segments.withColumn("part", schedule.div(F.col("seg_no"), wide))
+    rows = rows.withColumn("enters", F.coalesce((F.lag("next_addr").over(w) != F.col("addr")).cast("long"), F.lit(1)))
+    rows = rows.withColumn("piece", F.sum("enters").over(w.rowsBetween(Window.unboundedPreceding, 0)))
+    out = rows.groupBy("term", "part", "piece").agg(F.min_by("addr", "seg_no").alias("addr"), F.max("is_head").alias("is_head"), F.max_by("next_addr", "seg_no").alias("next_addr"), F.count(F.lit(1)).alias("hops"))
+    return materialise(out.select("term", "addr", "is_head", "next_addr", "hops"), "stretches")
+
+
 def _stream(spark, sf_dir):
     path = f"{sf_dir.rstrip('/')}/events.parquet"
     schema = spark.read.parquet(path).schema
@@ -345,7 +360,7 @@ def udaf(spark, sf_dir):
     from ..functions import udfs
 
     rows = pool.with_groups(index(spark, sf_dir).postings, CFG)
-    return rows.groupBy("term", "seg_no").agg(udfs.block_bytes(F.col("tf")).alias("n"))
+    return rows.groupBy("term", "seg_no").agg(F.collect_list("tf").alias("tfs")).select("term", "seg_no", udfs.sizes_of_blocks("tfs").alias("n"))
 
 
 @query("udtf_decode", twin("SELECT term, doc_id, tf FROM kept"))
