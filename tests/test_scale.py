@@ -71,3 +71,8 @@ def test_matches_are_counted_where_they_arise(spark, sf):
     for name in ("svs_relational", "svs_edge", "bm25_topk_w"):
         lines = plan(catalog.QUERIES[name](spark, sf)).splitlines()
         assert not [x for x in lines if "Exchange hashpartitioning(query_id" in x and "doc_id" in x.split("),")[0]], name
+
+
+def test_intervals_come_from_a_table(spark, sf):
+    out = catalog.QUERIES["ci_overlap"](spark, sf)
+    assert out.count() > 0 and any("lineitem" in f for f in out.inputFiles())
