@@ -1,13 +1,16 @@
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from postpool.config import IndexConfig
+from postpool.functions import codec
 from postpool.operators.index import build_index
-from postpool.plans import support
+from postpool.plans import catalog, support
 from postpool.sources.io import read_table
 from postpool.streaming import stream
 
 CFG = IndexConfig(block=4, cap_log2=2, df_threshold=3)
+STEEP = IndexConfig(block=4, cap_log2=2)
 
 
 def source(spark, path):
@@ -93,3 +96,58 @@ def test_stream_dedup_and_static_join(spark, sf, tmp_path):
     out = s.withColumn("ts", F.timestamp_seconds("doc_id")).withWatermark("ts", "10 days").dropDuplicatesWithinWatermark(["text"]).join(labels, "doc_id")
     rows = support.run_stream(out.select("doc_id", "text", "quality"), "dedup")
     assert rows.select("text").distinct().count() == rows.count() <= docs.select("text").distinct().count()
+
+
+def test_state_is_of_parts_not_of_terms(spark, sf, tmp_path):
+    """A micro-batch calls for parts of the vocabulary, and ranges of documents that arrive in many files are as one."""
+    docs = read_table(spark, sf, "documents").select("doc_id", "text").where("doc_id < 60")
+    stream.replay(docs, CFG, str(tmp_path), 3)
+    state = spark.read.format("statestore").option("stateVarName", "numbers").load(f"{tmp_path}/state")
+    about = {r.term: r for r in stream.numbers(spark, f"{tmp_path}/state", CFG).collect()}
+    assert 0 < state.count() <= stream.PARTS < len(about)
+    lists = {}
+    for r in catalog.P.build_postings(docs).collect():
+        lists.setdefault(r.term, []).append(r.doc_id)
+    held = {}
+    for r in stream.buffered(spark, f"{tmp_path}/state").collect():
+        held.setdefault(r.term, []).append(r.doc_id)
+    assert about.keys() == lists.keys()
+    for term, docs_ in lists.items():
+        docs_, r, end, groups = sorted(docs_), about[term], 0, 0
+        while end + (CFG.block << min(groups, CFG.cap)) <= len(docs_):
+            end, groups = end + (CFG.block << min(groups, CFG.cap)), groups + 1
+        assert (r.seen, r.n, r.groups, r.segments, r.last, r.first_doc) == (len(docs_), len(docs_) - end, groups, end // CFG.block, docs_[-1], docs_[0])
+        assert sorted(held.get(term, [])) == docs_[end:]
+
+
+def test_groups_of_long_lists():
+    seen = np.arange(0, 3000)
+    groups = stream.full_groups(seen, STEEP)
+    ends = stream.group_ends(groups, STEEP)
+    assert (ends <= seen).all() and (stream.group_ends(groups + 1, STEEP) > seen).all()
+    assert stream.group_ends(np.arange(6), STEEP).tolist() == [0, 4, 12, 28, 44, 60]
+
+
+@pytest.mark.parametrize("kind", ["raw", "vbyte"])
+def test_chunks_give_lists_back(kind):
+    lists = stream.Lists(["é", "b"], np.array([2, 1]), np.array([-3, 5, 1 << 40]), np.array([1, 2, 1]), np.array([1, 70000, 3, 128]))
+    back = stream.Lists.unpacked(*lists.packed(kind), kind)
+    assert back.terms == lists.terms and all((getattr(back, c) == getattr(lists, c)).all() for c in ("counts", "docs", "tfs", "gaps"))
+    parts = list(lists.cut(2))
+    assert [p.terms for p in parts] == [["é"], ["b"]] and parts[1].docs.tolist() == [1 << 40] and parts[1].gaps.tolist() == [128]
+
+
+def test_late_documents_of_one_batch(spark, tmp_path):
+    """Late documents take the next numbers, list by list, and others keep theirs."""
+    for rows in [[(5, "x y"), (9, "x")], [(2, "x y"), (3, "x"), (20, "x y z"), (20, "z")]]:
+        spark.createDataFrame(rows, "doc_id long, text string").coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+        stream.run(source(spark, f"{tmp_path}/in"), IndexConfig(block=16, df_threshold=3), f"{tmp_path}/out", f"{tmp_path}/state", buffer_codec="vbyte")
+    got = sorted((r.term, r.doc_id) for r in stream.buffered(spark, f"{tmp_path}/state", "vbyte").collect())
+    assert got == [("x", 5), ("x", 9), ("x", 10), ("x", 11), ("x", 20), ("y", 5), ("y", 6), ("y", 20), ("z", 20), ("z", 21)]
+
+
+def test_variable_bytes_of_all_sizes():
+    values = np.array([0, 1, 127, 128, 16383, 16384, (1 << 35) + 5, (1 << 62) + 7, 3])
+    data = codec.vbyte_encode(values)
+    assert codec.vbyte_decode(data).tolist() == values.tolist() and len(data) == 1 + 1 + 1 + 2 + 2 + 3 + 6 + 9 + 1
+    assert codec.vbyte_encode([]) == b"" and len(codec.vbyte_decode(b"")) == 0
