@@ -1,9 +1,11 @@
 """What queries move: plans that grew faster than their input, or made a Python call for each tiny group."""
 
+import pyarrow as pa
+import pytest
 from pyspark.sql import Row, functions as F
 
 from postpool.config import IndexConfig
-from postpool.operators import baselines, retrieval as R
+from postpool.operators import baselines, pool, retrieval as R
 from postpool.plans import catalog, support, workloads as W
 
 
@@ -76,3 +78,25 @@ def test_matches_are_counted_where_they_arise(spark, sf):
 def test_intervals_come_from_a_table(spark, sf):
     out = catalog.QUERIES["ci_overlap"](spark, sf)
     assert out.count() > 0 and any("lineitem" in f for f in out.inputFiles())
+
+
+def test_lists_are_walked_together():
+    """Rows of several lists by address, some with pointers back; broken ones are told by their term."""
+    rows = [("a", 0, 40, 7, True), ("a", 0, 50, None, False), ("a", 0, 7, 50, False), ("b", 1, 3, None, True), ("c", 2, 60, 90, False), ("c", 2, 90, None, False), ("c", 2, 95, 60, True)]
+    rows = sorted(rows, key=lambda r: (r[1], r[2]))
+    table = lambda rows: pa.table({n: pa.array(c, k) for n, c, k in zip(["term", "term_id", "addr", "next_addr", "is_head"], zip(*rows), [pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.bool_()])})
+    assert [rows[i][2] for i in pool.walked(table(rows), [0, 3, 4])] == [40, 7, 50, 3, 95, 60, 90]
+    for bad in (8, 95, None):
+        broken = [("c", 2, 60, bad, False) if r[2] == 60 else r for r in rows]
+        with pytest.raises(ValueError, match="'c' is broken"):
+            pool.walked(table(broken), [0, 3, 4])
+
+
+def test_lists_go_on_in_the_next_arrow_batch(spark, sf):
+    segs = catalog.index(spark, sf).segments
+    want = pool.traverse(segs).select("term", "doc_id", "tf", "positions").exceptAll(catalog.index(spark, sf).postings.select("term", "doc_id", "tf", "positions"))
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 3)
+    try:
+        assert pool.traverse(segs).count() == catalog.index(spark, sf).postings.count() and want.count() == 0
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
