@@ -396,7 +396,9 @@ def streamed(spark, sf_dir):
 
     def make():
         base = scratch_path(spark, "stream")
-        stream.replay(read_table(spark, sf_dir, "documents").select("doc_id", "text"), STREAM, base, 4)
+        stream.split_for_stream(read_table(spark, sf_dir, "documents").select("doc_id", "text"), f"{base}/in", 4)
+        source = spark.readStream.schema("doc_id long, text string").option("maxFilesPerTrigger", 1).parquet(f"{base}/in")
+        stream.run(source, STREAM, f"{base}/out", f"{base}/state")
         return base
 
     base = W.once(spark, ("stream", sf_dir), make)

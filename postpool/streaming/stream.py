@@ -286,9 +286,9 @@ def index_stream(docs: DataFrame, cfg: IndexConfig, per_shard: int | None = None
 
 def run(docs: DataFrame, cfg: IndexConfig, out: str, checkpoint: str, per_shard: int | None = None, buffer_codec: str = "raw") -> None:
     """Run to the end of what is there; a later call with the same folders goes on from the state. Parts are dealt to no
-    more tasks than twice the cores, as each task opens a state store in each micro-batch."""
+    more tasks than there are cores, as each task has a state store with files of its own."""
     spark = docs.sparkSession
-    tasks = min(shuffle_partitions(spark), 2 * spark.sparkContext.defaultParallelism)
+    tasks = min(shuffle_partitions(spark), spark.sparkContext.defaultParallelism)
     settings = {"spark.sql.streaming.stateStore.providerClass": ROCKS, "spark.sql.shuffle.partitions": str(tasks)}
     before = {k: spark.conf.get(k, None) for k in settings}
     try:
@@ -389,13 +389,13 @@ def finish(spark: SparkSession, out: str, checkpoint: str, cfg: IndexConfig, buf
     none = F.lit(None).cast("long")
     dictionary = materialise(dictionary, "stream-dictionary")
     last = materialise(last_flush(spark, checkpoint, cfg, buffer_codec), "last-flush").withColumns({"trigger_doc": none, "trigger_pos": none}).select(*NAMES)
-    segments = flushed(spark, out).select(*NAMES).unionByName(last).join(dictionary.select("shard", "term", "term_id"), ["shard", "term"])
-    events = segments.where("trigger_doc IS NOT NULL").select("shard", "term_id", "group_no", "trigger_doc", "trigger_pos").distinct()
-    thin = segments.select("shard", "term_id", "seg_no", "group_no", "n_bytes")
-    placed = pool.link(pool.place(thin, events, cfg, ("shard",)), ("shard",))
-    ends = placed.groupBy("shard", "term_id").agg(F.max(F.when(F.col("is_head"), F.col("addr"))).alias("head_addr"), F.max(F.when(F.col("is_tail"), F.col("addr"))).alias("tail_addr"))
+    segments = flushed(spark, out).select(*NAMES).unionByName(last)
+    thin = segments.select("shard", "term", "seg_no", "group_no", "n_bytes", "trigger_doc", "trigger_pos").join(dictionary.select("shard", "term", "term_id"), ["shard", "term"])
+    placed = materialise(pool.place(thin, None, cfg, ("shard",)), "stream-placed")  # blocks are moved once, for all this
+    linked = pool.link(placed, ("shard",))
+    ends = linked.groupBy("shard", "term_id").agg(F.max(F.when(F.col("is_head"), F.col("addr"))).alias("head_addr"), F.max(F.when(F.col("is_tail"), F.col("addr"))).alias("tail_addr"))
     dictionary = dictionary.join(ends, ["shard", "term_id"]).select("shard", "term", "term_id", "df", "first_doc", "first_pos", "head_addr", "tail_addr")
-    return dictionary, segments.drop("trigger_doc", "trigger_pos").join(placed.drop("group_no", "n_bytes"), ["shard", "term_id", "seg_no"])
+    return dictionary, segments.drop("trigger_doc", "trigger_pos").join(linked.drop("group_no", "n_bytes"), ["shard", "term", "seg_no"])
 
 
 def visible(spark: SparkSession, out: str, checkpoint: str, cfg: IndexConfig, buffer_codec: str = "raw") -> DataFrame:
@@ -417,26 +417,16 @@ def answers(spark: SparkSession, out: str, checkpoint: str, cfg: IndexConfig, qu
     return R.intersect(rows, queries)
 
 
-def id_ranges(docs: DataFrame, n: int) -> Iterator[DataFrame]:
-    """The documents in `n` ranges of ids, of equal width."""
-    low, high = docs.agg(F.min("doc_id"), F.max("doc_id")).first()
-    low, high = low or 0, high or 0
-    width = -(-(high - low + 1) // n)
-    for i in range(n):
-        yield docs.where(F.col("doc_id").between(low + i * width, low + (i + 1) * width - 1))
+#: Row groups of a file that documents arrive in: small ones, so that many tasks read a file.
+ROW_GROUP = 2 << 20
 
 
 def split_for_stream(docs: DataFrame, path: str, files: int) -> None:
-    """Write documents as `files` files of id ranges, one after the other, as a file source replays by time of writing."""
-    for part in id_ranges(docs, files):
-        part.coalesce(1).sortWithinPartitions("doc_id").write.mode("append").parquet(path)
-
-
-def replay(docs: DataFrame, cfg: IndexConfig, base: str, n: int, buffer_codec: str = "raw") -> None:
-    """Documents arrive in `n` ranges of ids under `base`, and each time the index goes on from its state: a micro-batch
-    is all that has arrived, in as many files as there are cores to read them."""
-    spark = docs.sparkSession
-    tasks = max(spark.sparkContext.defaultParallelism, docs.rdd.getNumPartitions() // n)
-    for part in id_ranges(docs, n):
-        part.repartition(tasks, "doc_id").write.mode("append").parquet(f"{base}/in")
-        run(spark.readStream.schema(docs.schema).parquet(f"{base}/in"), cfg, f"{base}/out", f"{base}/state", buffer_codec=buffer_codec)
+    """Write documents as `files` files of id ranges, one after the other, as a file source replays by time of writing.
+    A range is one file, as a micro-batch of several could be cut anywhere and its ids come late."""
+    low, high = docs.agg(F.min("doc_id"), F.max("doc_id")).first()
+    low, high = low or 0, high or 0
+    width = -(-(high - low + 1) // files)
+    for i in range(files):
+        part = docs.where(F.col("doc_id").between(low + i * width, low + (i + 1) * width - 1))
+        part.repartition(1).sortWithinPartitions("doc_id").write.mode("append").option("parquet.block.size", ROW_GROUP).parquet(path)

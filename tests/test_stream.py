@@ -99,9 +99,10 @@ def test_stream_dedup_and_static_join(spark, sf, tmp_path):
 
 
 def test_state_is_of_parts_not_of_terms(spark, sf, tmp_path):
-    """A micro-batch calls for parts of the vocabulary, and ranges of documents that arrive in many files are as one."""
+    """A micro-batch calls for parts of the vocabulary."""
     docs = read_table(spark, sf, "documents").select("doc_id", "text").where("doc_id < 60")
-    stream.replay(docs, CFG, str(tmp_path), 3)
+    stream.split_for_stream(docs, f"{tmp_path}/in", 3)
+    stream.run(source(spark, f"{tmp_path}/in"), CFG, f"{tmp_path}/out", f"{tmp_path}/state")
     state = spark.read.format("statestore").option("stateVarName", "numbers").load(f"{tmp_path}/state")
     about = {r.term: r for r in stream.numbers(spark, f"{tmp_path}/state", CFG).collect()}
     assert 0 < state.count() <= stream.PARTS < len(about)
@@ -151,3 +152,11 @@ def test_variable_bytes_of_all_sizes():
     data = codec.vbyte_encode(values)
     assert codec.vbyte_decode(data).tolist() == values.tolist() and len(data) == 1 + 1 + 1 + 2 + 2 + 3 + 6 + 9 + 1
     assert codec.vbyte_encode([]) == b"" and len(codec.vbyte_decode(b"")) == 0
+
+
+def test_many_tasks_read_a_file(spark, tmp_path):
+    docs = spark.range(4000).select(F.col("id").alias("doc_id"), F.concat_ws(" ", *(F.sha2((F.col("id") * 100 + i).cast("string"), 512) for i in range(20))).alias("text"))
+    stream.split_for_stream(docs, f"{tmp_path}/in", 1)
+    rows = spark.read.schema("doc_id long, text string").parquet(f"{tmp_path}/in")
+    assert len(rows.inputFiles()) == 1 and rows.rdd.getNumPartitions() > 1
+    assert sum(r.n > 0 for r in rows.groupBy(F.spark_partition_id()).agg(F.count(F.lit(1)).alias("n")).collect()) > 1
