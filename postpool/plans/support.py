@@ -398,7 +398,7 @@ def streamed(spark, sf_dir):
         base = scratch_path(spark, "stream")
         stream.split_for_stream(read_table(spark, sf_dir, "documents").select("doc_id", "text"), f"{base}/in", 4)
         source = spark.readStream.schema("doc_id long, text string").option("maxFilesPerTrigger", 1).parquet(f"{base}/in")
-        stream.run(source, STREAM, f"{base}/out", f"{base}/state")
+        stream.run(source, STREAM, f"{base}/out", f"{base}/state", buffer_codec="vbyte")
         return base
 
     base = W.once(spark, ("stream", sf_dir), make)
@@ -410,7 +410,7 @@ def stream_index(spark, sf_dir):
     """Documents replayed as a stream: groups as buffers filled, the final flush from state, addresses in flush order."""
     from ..streaming import stream
 
-    _, segments = stream.finish(spark, *streamed(spark, sf_dir), STREAM)
+    _, segments = stream.finish(spark, *streamed(spark, sf_dir), STREAM, "vbyte")
     return segments.select("term", "term_id", "seg_no", "group_no", "n_bytes", "addr", F.col("n_docs").cast("long").alias("n_docs"))
 
 
@@ -419,7 +419,7 @@ def stream_lists(spark, sf_dir):
     """The stream's lists by their pointers."""
     from ..streaming import stream
 
-    return posting_digest(pool.traverse(stream.finish(spark, *streamed(spark, sf_dir), STREAM)[1]))
+    return posting_digest(pool.traverse(stream.finish(spark, *streamed(spark, sf_dir), STREAM, "vbyte")[1]))
 
 
 @query("stream_answers", twin("SELECT query_id, doc_id FROM and_e"))
@@ -427,4 +427,4 @@ def stream_answers(spark, sf_dir):
     """Conjunctive answers from flushed segments and live buffers, before any final flush."""
     from ..streaming import stream
 
-    return stream.answers(spark, *streamed(spark, sf_dir), STREAM, W.query_set(spark, sf_dir, "E"))
+    return stream.answers(spark, *streamed(spark, sf_dir), STREAM, W.query_set(spark, sf_dir, "E"), "vbyte")
