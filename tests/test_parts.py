@@ -34,3 +34,28 @@ def test_intersections(small, monkeypatch, missing):
     out = R.intersect(postings, queries, missing)
     assert sorted(map(tuple, out.collect())) == sorted(want)
     assert "HashAggregate(keys=[query_id" not in plan(out)  # no row for each match
+
+
+def test_best(small, monkeypatch):
+    rows, asked, weights, queries = small
+    monkeypatch.setattr(parts, "PART", 500)
+    w = {(t, d): x for t, d, x in rows}
+    for k in (1, 7, 1000):
+        want = []
+        for q, terms in enumerate(asked):
+            scores = {}
+            for (t, d), x in w.items():
+                if t in terms:
+                    scores[d] = scores.get(d, 0) + x
+            want += [(q, i + 1, d, s) for i, (d, s) in enumerate(sorted(scores.items(), key=lambda e: (-e[1], e[0]))[:k])]
+        out = R.exhaustive(weights, queries, k)
+        assert sorted(map(tuple, out.collect())) == want
+        assert "HashAggregate(keys=[query_id" not in plan(out)
+
+
+def test_best_of_many_equal():
+    """Documents that tie go by id, also beyond the stretches that bound the k-th best."""
+    n = 1000
+    part = parts.Part(np.repeat([0, 1], n), np.tile(np.arange(n)[::-1] * 3, 2), np.repeat([0.25, 0.5], n))
+    docs, scores = part.best((0, 1), 5)
+    assert docs.tolist() == [0, 3, 6, 9, 12] and scores.tolist() == [0.75] * 5
