@@ -39,3 +39,20 @@ def test_empty_shard_and_shared_answers():
     shard = kernels.Shard(shard_table(np.random.default_rng(0), 1).slice(0, 0))
     assert len(shard.svs(("t0",), kernels.new_work())) == 0 and shard.wand({"t0": (1.0, 2.0, 0)}, 3, 9.0) == []
     assert kernels.by_terms([(1, ["a", "b"]), (2, ["c"]), (3, ["b", "a"])]) == [(("a", "b"), [1, 3]), (("c",), [2])]
+
+
+def test_segments_are_decoded_once_for_all_queries(monkeypatch):
+    """Also with windows smaller than a list, and when no decoded list could be kept."""
+    monkeypatch.setattr(kernels, "WINDOW", 50)
+    rng, values = np.random.default_rng(3), []
+    table = shard_table(rng, 12)
+    decode = codec.pfor_decode_many
+    monkeypatch.setattr(codec, "pfor_decode_many", lambda data, at: values.append(0) or (lambda out: values.append(len(out[0])) or out)(decode(data, at)))
+    asked = [tuple(f"t{i}" for i in rng.choice(13, rng.integers(1, 6), replace=False)) for _ in range(60)]
+    about = {f"t{i}": (0.5 + i, (0.5 + i) * 1.9, i) for i in range(13)}
+    found = kernels.Shard(table, 1).wands(asked, about, 7, 90.0)
+    used = {t for terms in asked for t in terms}
+    assert sum(values) == 2 * sum(n for t, n in zip(table["term"].to_pylist(), table["n_docs"].to_pylist()) if t in used)
+    lists = kernels.Lists.of_table(table)
+    for terms, (docs, scores) in zip(asked, found):
+        assert kernels.weak_and(lists, {t: about[t] for t in terms}, 7, 90.0, kernels.new_work()) == list(zip(scores.tolist(), docs.tolist()))
