@@ -56,3 +56,22 @@ def test_segments_are_decoded_once_for_all_queries(monkeypatch):
     lists = kernels.Lists.of_table(table)
     for terms, (docs, scores) in zip(asked, found):
         assert kernels.weak_and(lists, {t: about[t] for t in terms}, 7, 90.0, kernels.new_work()) == list(zip(scores.tolist(), docs.tolist()))
+
+
+@pytest.mark.parametrize("seed,block", [(0, 8), (1, 1), (2, 16), (3, 5)])
+def test_counted_work_is_the_loops(seed, block):
+    rng = np.random.default_rng(seed)
+    table = shard_table(rng, 12, block)
+    lists, shard = kernels.Lists.of_table(table), kernels.Shard(table)
+    passed = 0
+    for _ in range(40):
+        terms = [f"t{i}" for i in rng.choice(13, rng.integers(1, 7), replace=False)]
+        about = {t: (0.5 + int(t[1:]), (0.5 + int(t[1:])) * 1.9, int(t[1:])) for t in terms}
+        for k in (1, 3, 200, 5000):
+            want = kernels.new_work()
+            kernels.weak_and(lists, about, k, 90.0, want)
+            got = shard.wand_work(about, k, 90.0)
+            assert [got[c] for c in kernels.COUNTERS] == [want[c] for c in kernels.COUNTERS]
+            passed += want["pivots"] > want["scored"]
+    assert passed > 20
+    assert kernels._rounded(np.array([0.0000005, 1.0000015, 2.5, 7.1234565])).tolist() == [round(x, 6) for x in (0.0000005, 1.0000015, 2.5, 7.1234565)]
