@@ -75,3 +75,10 @@ def test_counted_work_is_the_loops(seed, block):
             passed += want["pivots"] > want["scored"]
     assert passed > 20
     assert kernels._rounded(np.array([0.0000005, 1.0000015, 2.5, 7.1234565])).tolist() == [round(x, 6) for x in (0.0000005, 1.0000015, 2.5, 7.1234565)]
+
+
+def test_places_in_the_union():
+    for docs in ([np.array([3, 5, 9]), np.array([4, 5])], [np.array([3, 5, 10**12]), np.array([4, 5])], [np.array([7])]):
+        union = sorted({int(d) for some in docs for d in some})
+        place, n = kernels._met(docs)
+        assert n == len(union) and [p.tolist() for p in place] == [[union.index(d) for d in some] for some in docs]
